@@ -37,7 +37,7 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     _made.append((spark, path))
     back = spark.read.schema(df.schema).parquet(path)
     back._blockmv_path = path
@@ -88,7 +88,6 @@ def map_texts(
     ``extra`` is the DDL of the appended columns. ``kernel`` is called once in each task and returns the function from
     a list of texts (None for null) to one Arrow array per appended column. Names in ``extra`` must not clash.
     """
-    spark = df.sparkSession
     from pyspark.sql import types as T
 
     more = T.StructType.fromDDL(extra)
@@ -103,7 +102,6 @@ def map_texts(
             made = [pa.concat_arrays([p[k] for p in parts]) for k in range(len(more))]
             yield pa.RecordBatch.from_arrays([*batch.columns, *made], names=[f.name for f in schema])
 
-    del spark
     return df.mapInArrow(run, schema)
 
 

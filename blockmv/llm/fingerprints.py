@@ -1,13 +1,13 @@
 """Document fingerprints by content-defined chunking.
 
-A gear hash over the last 32 bytes marks chunk boundaries by content, so an insertion moves the boundaries around it
+A gear hash over the last 16 bytes marks chunk boundaries by content, so an insertion moves the boundaries around it
 only. Chunk sizes are normalised: before NORMAL bytes a boundary needs more zero bits than after it. A fingerprint is
 the set of chunk digests with the bytes that each one covers; the containment of a text in another is the share of its
 bytes whose chunks the other has too.
 
 The successor of a document is the one with the next larger doc_id, that of the last is the first. The table is
-range-partitioned by doc_id once; inside a partition successors are neighbours, and between partitions only the first
-and the last row of each one are joined, by partition number.
+range-partitioned by doc_id once; inside a partition successors are neighbours, and the first row of each partition is
+also sent to the partition before it.
 
 Defined results: a null text is empty; an empty text has the empty fingerprint, which contains and is contained in
 empty ones only (likeness 1); a single document is its own successor; rows of equal doc_id come in the order of a
@@ -22,28 +22,29 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import common
 
-NORMAL = 64
-LEAST = 16
-MOST = 256
-#: Zero bits at the top of the hash that make a boundary: before NORMAL bytes, and after.
-HARD, EASY = 7, 5
-_SPAN = 32
-#: A random 32-bit word per byte value, from a rule.
-_GEAR = np.array([xxhash.xxh32_intdigest(bytes([b]), 1) for b in range(256)], dtype=np.uint32)
+NORMAL = 32
+LEAST = 8
+MOST = 128
+#: Zero bits at the top of the 16-bit hash that make a boundary: before NORMAL bytes, and after.
+HARD, EASY = 6, 4
+_SPAN = 16
+#: A random 16-bit word per byte value, from a rule.
+_GEAR = np.array([xxhash.xxh32_intdigest(bytes([b]), 1) >> 16 for b in range(256)], dtype=np.uint16)
+NULL_ID = -(1 << 63)
 
 
 def gear_hashes(data: bytes) -> np.ndarray:
-    """h[i]: sum over the last 32 bytes up to i of gear[byte] << age, by doubling the span."""
+    """h[i]: sum over the last 16 bytes up to i of gear[byte] << age, by doubling the span."""
     h = _GEAR[np.frombuffer(data, dtype=np.uint8)]
     span = 1
     while span < _SPAN:
         older = np.zeros_like(h)
-        older[span:] = h[:-span] << np.uint32(span)
+        older[span:] = h[:-span] << np.uint16(span)
         h = h + older
         span *= 2
     return h
@@ -55,8 +56,8 @@ def chunk_edges(data: bytes) -> list[int]:
     if n <= LEAST:
         return [0, n] if n else [0]
     h = gear_hashes(data)
-    at = np.flatnonzero(h < np.uint32(1 << (32 - EASY)))
-    hard = (h[at] < np.uint32(1 << (32 - HARD))).tolist()
+    at = np.flatnonzero(h < np.uint16(1 << (16 - EASY)))
+    hard = (h[at] < np.uint16(1 << (16 - HARD))).tolist()
     edges = [0]
     begin = 0
     for end, strong in zip((at + 1).tolist(), hard, strict=True):
@@ -150,67 +151,76 @@ def _compared(doc_id: int | None, text: str, own: Fingerprint, following: str, o
     )
 
 
-def _record(rows: list[tuple], edges: list[tuple]) -> pa.RecordBatch:
-    """Finished rows, and rows at the edge of a partition: (kind, doc_id, text)."""
-    n, m = len(rows), len(edges)
+def _record(rows: list[tuple]) -> pa.RecordBatch:
     cols = list(zip(*rows, strict=True)) or [()] * len(_COLUMNS)
-    made = [pa.array([*c, *[None] * m], type=t) for c, t in zip(cols, _COLUMNS.values(), strict=True)]
-    kind, ids, texts = zip(*edges, strict=True) if edges else ((), (), ())
-    made[0] = pa.array([*cols[0], *ids], type=pa.int64())
-    made += [pa.array([*["row"] * n, *kind], type=pa.string()), pa.array([*[None] * n, *texts], type=pa.string())]
-    return pa.RecordBatch.from_arrays(made, names=[*_COLUMNS, "kind", "edge_text"])
+    made = [pa.array(c, type=t) for c, t in zip(cols, _COLUMNS.values(), strict=True)]
+    return pa.RecordBatch.from_arrays(made, names=list(_COLUMNS))
 
 
 def _neighbours(batches) -> Iterator[pa.RecordBatch]:
-    """Sorted rows of one partition: all but the last are finished; the first and the last are handed out as edges."""
+    """Rows (doc_id, text, guest) of one partition in order, then guests: the first row of the next partition."""
     held = None
     for b in batches:
-        rows, edges, size = [], [], 0
-        for doc_id, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+        rows, size = [], 0
+        for doc_id, text, guest in zip(*(c.to_pylist() for c in b.columns[:3]), strict=True):
+            if guest and held is None:
+                break  # guests that share the first one's doc_id
             text = text or ""
             own = fingerprint(text)
-            if held is None:
-                edges.append(("first", doc_id, text))
-            else:
+            if held is not None:
                 rows.append(_compared(*held, text, own))
-            held = (doc_id, text, own)
+            held = None if guest else (doc_id, text, own)
             size += len(text)
             if size > common.SLICE_CHARS:
-                yield _record(rows, edges)
-                rows, edges, size = [], [], 0
-        if rows or edges:
-            yield _record(rows, edges)
-    if held is not None:
-        yield _record([], [("last", held[0], held[1])])
+                yield _record(rows)
+                rows, size = [], 0
+        if rows:
+            yield _record(rows)
 
 
-def _pairs(batches) -> Iterator[pa.RecordBatch]:
+def _dealt(batches, cuts: np.ndarray, heads: dict[int, int]) -> Iterator[pa.RecordBatch]:
+    """Rows with their partition; a row that is the first of a partition also goes to the one before, as a guest."""
+    firsts = np.array(sorted(heads), dtype=np.int64)
     for b in batches:
-        rows = [
-            _compared(d, t or "", fingerprint(t), n or "", fingerprint(n))
-            for d, t, n in zip(*(c.to_pylist() for c in b.columns), strict=True)
-        ]
-        cols = list(zip(*rows, strict=True)) or [()] * len(_COLUMNS)
-        made = [pa.array(c, type=t) for c, t in zip(cols, _COLUMNS.values(), strict=True)]
-        yield pa.RecordBatch.from_arrays(made, names=list(_COLUMNS))
+        key = b.column(2).to_numpy()
+        part = np.searchsorted(cuts, key, side="right")
+        copies = np.flatnonzero(np.isin(key, firsts))
+        guests = b.take(pa.array(copies))
+        to = [heads[k] for k in key[copies].tolist()]
+        for rows, place, guest in ((b, part, False), (guests, to, True)):
+            if rows.num_rows:
+                made = [pa.array([guest] * rows.num_rows), rows.column(2), rows.column(3), pa.array(np.asarray(place, dtype=np.int32))]
+                yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), *made], names=["doc_id", "text", "guest", "key", "tie", "part"])
 
 
 def compare_with_next(docs: DataFrame, partitions: int | None = None) -> DataFrame:
-    """docs (doc_id, text) -> one row per row with the fingerprints of the text, of its edited text, and likenesses."""
+    """docs (doc_id, text) -> one row per row with the fingerprints of the text, of its edited text, and likenesses.
+
+    Two passes over the ids alone give the cuts and the first doc_id of each partition: two numbers per partition reach
+    the driver and the tasks. The texts then move once.
+    """
     spark = docs.sparkSession
     n = partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    tied = docs.select("doc_id", "text", F.xxhash64("text").alias("tie"))
-    ordered = tied.repartitionByRange(n, "doc_id", "tie").sortWithinPartitions("doc_id", "tie").drop("tie")
-    made = ordered.mapInArrow(_neighbours, f"{_DDL}, kind string, edge_text string")
-    held = common.materialise(made.withColumn("place", F.spark_partition_id()), "chunked")
-    done = held.filter("kind = 'row'").select(*_COLUMNS)
-    # a row or two per partition: the last of each meets the first of the next partition that has rows
-    edges = held.filter("kind <> 'row'").select("kind", "place", "doc_id", "edge_text")
-    places = edges.filter("kind = 'first'").select("place")
-    order = Window.orderBy("place")
-    following = places.select("place", F.lead("place").over(order).alias("to"), F.min("place").over(order).alias("least"))
-    following = following.select("place", F.coalesce("to", "least").alias("to"))
-    last = edges.filter("kind = 'last'").select("place", "doc_id", F.col("edge_text").alias("text"))
-    first = edges.filter("kind = 'first'").select(F.col("place").alias("to"), F.col("edge_text").alias("next_text"))
-    met = last.join(following, "place").join(first, "to").select("doc_id", "text", "next_text")
-    return done.unionByName(met.mapInArrow(_pairs, _DDL))
+    key = F.coalesce("doc_id", F.lit(NULL_ID))
+    shares = [k / n for k in range(1, n)] or [0.5]
+    found = docs.select(key.alias("key")).agg(F.percentile_approx("key", shares, 100 * n).alias("cuts")).first()["cuts"]
+    cuts = np.unique(np.array(found if n > 1 and found else [], dtype=np.int64))
+
+    def lowest(batches):
+        least: dict[int, int] = {}
+        for b in batches:
+            values = b.column(0).to_numpy()
+            part = np.searchsorted(cuts, values, side="right")
+            for p in np.unique(part).tolist():
+                least[p] = min(int(values[part == p].min()), least.get(p, 1 << 63))
+        yield pa.RecordBatch.from_arrays([pa.array(list(least), type=pa.int32()), pa.array(list(least.values()), type=pa.int64())], names=["part", "least"])
+
+    ids = docs.select(key.alias("key")).mapInArrow(lowest, "part int, least long")
+    least = {r["part"]: r["least"] for r in ids.groupBy("part").agg(F.min("least").alias("least")).collect()}
+    order = sorted(least)
+    heads = {least[p]: order[k - 1] for k, p in enumerate(order)}  # the first of all follows the last of all
+    rows = docs.select("doc_id", "text", key.alias("key"), F.xxhash64("text").alias("tie"))
+    ddl = "doc_id long, text string, guest boolean, key long, tie long, part int"
+    dealt = rows.mapInArrow(lambda b: _dealt(b, cuts, heads), ddl).repartitionById(len(cuts) + 1, "part")
+    ordered = dealt.select("doc_id", "text", "guest", "key", "tie").sortWithinPartitions("guest", "key", "tie")
+    return ordered.mapInArrow(_neighbours, _DDL)
