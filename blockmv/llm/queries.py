@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, fingerprints, packing, quality_rules, simhash, suffix_dedup, warc
+from . import bpe, chat, fingerprints, importance, packing, quality_rules, simhash, suffix_dedup, toxicity, warc
 from .common import table
 
 
@@ -25,6 +25,18 @@ def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return records.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "archive_id", "error")
 
 
+def op4_tool_call_linking(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.link_conversations(table(spark, sf_dir, "conversations")).drop("message")
+
+
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.toxicity_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op6_importance_resampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return importance.resample(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
@@ -47,6 +59,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_suffix_dedup": op1_suffix_dedup,
     "op2_fingerprints": op2_fingerprints,
     "op3_warc": op3_warc,
+    "op4_tool_call_linking": op4_tool_call_linking,
+    "op5_toxicity": op5_toxicity,
+    "op6_importance_resampling": op6_importance_resampling,
     "op7_best_fit_packing": op7_best_fit_packing,
     "op8_forced_boundary_bpe": op8_forced_boundary_bpe,
     "op9_simhash": op9_simhash,
