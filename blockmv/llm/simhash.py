@@ -86,8 +86,8 @@ def block_masks(radius: int, equal: int) -> list[int]:
 
 
 def blocks_for(rows: int, radius: int) -> int:
-    """The fewest agreeing blocks at which a bucket of random fingerprints has 8 rows or fewer; 4 at most."""
-    return next((e for e in (1, 2, 3) if rows >> (64 * e // (radius + e)) <= 8), 4)
+    """The fewest agreeing blocks at which a bucket of random fingerprints has 256 rows or fewer; 4 at most."""
+    return next((e for e in (1, 2, 3) if rows >> (64 * e // (radius + e)) <= 256), 4)
 
 
 def _signed(x: int) -> int:
@@ -145,51 +145,54 @@ def forest(n: int, pairs) -> np.ndarray:
 
 
 def _links(batches, radius: int):
-    """From batches (g, fp) sorted by g inside the task: forest links (u, v) of every group."""
+    """From batches (g, fp, node) sorted by g and node inside the task: forest links (u, v) of every group.
 
-    def linked(g: np.ndarray, fp: np.ndarray):
+    v is the smallest node that links inside the group reach from u.
+    """
+
+    def linked(g: np.ndarray, fp: np.ndarray, node: np.ndarray):
         label = forest(len(fp), near_pairs(fp.view(np.uint64), g, radius))
         child = np.flatnonzero(label != np.arange(len(fp)))
-        return pa.RecordBatch.from_arrays([pa.array(fp[child]), pa.array(fp[label[child]])], names=["u", "v"])
+        return pa.RecordBatch.from_arrays([pa.array(node[child]), pa.array(node[label[child]])], names=["u", "v"])
 
-    g0, f0 = np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
+    held = [np.zeros(0, dtype=np.int64)] * 3
     for b in batches:
-        g = np.concatenate([g0, b.column(0).to_numpy()])
-        f = np.concatenate([f0, b.column(1).to_numpy()])
-        if not len(g):
+        rows = [np.concatenate([h, c.to_numpy()]) for h, c in zip(held, b.columns, strict=True)]
+        if not len(rows[0]):
             continue
-        cut = int(np.searchsorted(g, g[-1]))  # the last group may go on in the next batch
+        cut = int(np.searchsorted(rows[0], rows[0][-1]))  # the last group may go on in the next batch
         if cut:
-            yield linked(g[:cut], f[:cut])
-        g0, f0 = g[cut:], f[cut:]
-    if len(g0):
-        yield linked(g0, f0)
+            yield linked(*(r[:cut] for r in rows))
+        held = [r[cut:] for r in rows]
+    if len(held[0]):
+        yield linked(*held)
 
 
 def near_links(classes: DataFrame, radius: int = RADIUS, block: int = BLOCK) -> DataFrame:
-    """classes (fp), distinct -> links (u, v) whose components are those of all pairs at most ``radius`` bits apart."""
+    """classes (fp, node), nodes distinct -> links (u, v) between nodes: their components are those of all pairs of
+    fingerprints at most ``radius`` bits apart. v is the smallest node of the component inside a bucket."""
     rows = classes.count()
     masks = block_masks(radius, blocks_for(rows, radius))
     keys = F.array(
         *[F.struct(F.lit(k).alias("mask"), F.col("fp").bitwiseAND(F.lit(_signed(m)).cast("long")).alias("bits")) for k, m in enumerate(masks)]
     )
-    spread = classes.select("fp", F.explode(keys).alias("key")).select("fp", "key.mask", "key.bits")
+    spread = classes.select("fp", "node", F.explode(keys).alias("key")).select("fp", "node", "key.mask", "key.bits")
     sizes = spread.groupBy("mask", "bits").count().filter("count > 1")
     # the same in-bucket cut for every size: one block up to ``block`` rows
     cut = spread.join(sizes, ["mask", "bits"]).withColumn("m", F.ceil(F.col("count") / block).cast("int"))
-    own = F.pmod(F.xxhash64("fp", F.lit(3)), F.col("m")).cast("int")
+    own = F.pmod(F.xxhash64("fp", "node", F.lit(3)), F.col("m")).cast("int")
     other = F.explode(F.sequence(F.lit(0), F.col("m") - 1))
-    pairs = cut.select("fp", "mask", "bits", own.alias("own"), other.alias("other"))
+    pairs = cut.select("fp", "node", "mask", "bits", own.alias("own"), other.alias("other"))
     group = F.xxhash64("mask", "bits", F.least("own", "other"), F.greatest("own", "other"))
     # groups that collide in this hash are compared with each other as well, which is harmless
-    grouped = pairs.select(group.alias("g"), "fp").repartition("g").sortWithinPartitions("g")
+    grouped = pairs.select(group.alias("g"), "fp", "node").repartition("g").sortWithinPartitions("g", "node")
     return grouped.mapInArrow(lambda batches: _links(batches, radius), "u long, v long")
 
 
 def near_duplicates(fingerprinted: DataFrame, radius: int = RADIUS) -> DataFrame:
     """(doc_id, fp), durable -> doc_id, fp, component_id: the smallest doc_id that links of at most ``radius`` bits reach."""
     classes = common.materialise(fingerprinted.groupBy("fp").agg(F.min("doc_id").alias("first")), "classes")
-    member = connected_components(near_links(classes.select("fp"), radius))
+    member = connected_components(near_links(classes.select("fp", F.col("fp").alias("node")), radius))
     rooted = classes.join(member, classes["fp"] == member["node"], "left").select(
         "fp", "first", F.coalesce("root", "fp").alias("root")
     )
@@ -204,9 +207,61 @@ def document_components(docs: DataFrame, words: int = 4, radius: int = RADIUS) -
     return near_duplicates(held, radius)
 
 
-def keep_firsts(docs: DataFrame, words: int = 5, radius: int = RADIUS) -> DataFrame:
-    """The rows of docs, all columns, whose document is the first of its component. Rows of one doc_id stay together."""
-    found = document_components(docs, words, radius)
-    # a doc_id whose rows have different texts stays if any of them is first
-    first = found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_first")).distinct()
-    return docs.join(first, docs["doc_id"].eqNullSafe(first["_first"]), "left_semi")
+# ---- removal, with the similarity of word shingles checked -----------------------------------------------------------
+
+
+def _normal(text: str | None) -> bytes:
+    return b" ".join((text or "").encode().lower().split())
+
+
+def with_contents(docs: DataFrame, words: int) -> DataFrame:
+    """docs (doc_id, text) -> doc_id, fp, content: two hashes of the lower-cased words, equal for equal word sequences."""
+
+    def f(texts: list) -> list[pa.Array]:
+        content = [xxhash.xxh3_128_digest(_normal(t)) for t in texts]
+        return [pa.array(fingerprints(texts, words).view(np.int64)), pa.array(content, type=pa.binary())]
+
+    return common.map_texts(docs.select("doc_id", "text"), "text", "fp long, content binary", lambda: f).drop("text")
+
+
+def similarity(a: str | None, b: str | None, words: int) -> float:
+    """Jaccard similarity of the sets of word shingles; 1 for two texts without words."""
+    x, y = (set(shingle_hashes(t, words).tolist()) for t in (a, b))
+    return len(x & y) / len(x | y) if x or y else 1.0
+
+
+def similar_links(links: DataFrame, texts: DataFrame, words: int, least: float) -> DataFrame:
+    """Links (u, v) whose texts (node, text) have at least the similarity. Only texts that some link names are moved."""
+    u, v = (texts.select(F.col("node").alias(c), F.col("text").alias(f"{c}_text")) for c in "uv")
+    met = links.join(u, "u").join(v, "v").select("u", "v", "u_text", "v_text")
+
+    def run(batches):
+        for b in batches:
+            near = [similarity(x, y, words) >= least for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
+            k = pa.array(np.flatnonzero(np.array(near, dtype=bool)))
+            yield pa.RecordBatch.from_arrays([b.column(0).take(k), b.column(1).take(k)], names=["u", "v"])
+
+    return met.mapInArrow(run, "u long, v long")
+
+
+def keep_firsts(
+    docs: DataFrame, shingle: int = 5, least: float = 0.8, words: int = 2, radius: int = 8, text: str = "text"
+) -> DataFrame:
+    """The rows of docs, all columns, without near copies: of each group the document with the smallest doc_id stays.
+
+    Near copies are documents whose sets of ``shingle``-word shingles have a Jaccard similarity of ``least`` or more.
+    They are searched by SimHash: small edits flip few bits of a fingerprint over ``words``-word shingles, so texts that
+    similar lie within ``radius`` bits as a rule (README has the measured share), and the similarity of each is then
+    checked with the smallest doc_id it links to inside a bucket. Texts that differ in case and white space only are
+    copies. Rows without a doc_id stay; rows of one doc_id are one document and stay or go together.
+    """
+    own = docs.select("doc_id", F.col(text).alias("text")).filter("doc_id is not null")
+    held = common.materialise(with_contents(own, words), "contents")
+    nodes = held.groupBy("content").agg(F.min("doc_id").alias("node"), F.first("fp").alias("fp"))
+    nodes = common.materialise(nodes.groupBy("node").agg(F.min("fp").alias("fp")), "nodes")
+    links = common.materialise(near_links(nodes.select("fp", "node"), radius).distinct(), "links")
+    texts = own.select(F.col("doc_id").alias("node"), "text").dropDuplicates(["node"])
+    member = connected_components(similar_links(links, texts, shingle, least)).filter("node <> root")
+    later = held.join(nodes.select("node"), held["doc_id"] == F.col("node"), "left_anti").select("doc_id")
+    gone = later.union(member.select("node")).distinct().withColumnRenamed("doc_id", "_gone")
+    return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
