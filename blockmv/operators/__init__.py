@@ -1,0 +1 @@
+"""Operators of the block matrix-vector engine."""

@@ -1,0 +1 @@
+"""Plans of the block matrix-vector engine."""

@@ -1,0 +1 @@
+"""Sources of the block matrix-vector engine."""

@@ -1,0 +1 @@
+"""Streaming of the block matrix-vector engine."""
