@@ -18,8 +18,10 @@ def mod(node: Column, b: int) -> Column:
 
 
 def mult(node: Column, b: int) -> Column:
-    low = F.pmod(node, F.lit(1 << 32)) * F.lit(MULTIPLIER) % F.lit(1 << 32)
-    return F.pmod(low, F.lit(b)).cast("int")
+    x = F.pmod(node, F.lit(1 << 32))
+    # the product modulo 2**32 in two halves, since the whole one would not fit a long
+    high = x * F.lit(MULTIPLIER >> 16) % F.lit(1 << 16) * F.lit(1 << 16)
+    return F.pmod((high + x * F.lit(MULTIPLIER & 0xFFFF)) % F.lit(1 << 32), F.lit(b)).cast("int")
 
 
 def md5(node: Column, b: int) -> Column:
