@@ -6,7 +6,7 @@ import uuid
 from collections.abc import Callable
 from functools import partial
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import oracle as O
@@ -583,6 +583,60 @@ _add(
     ),
 )
 
+# ---- experiments, small ----------------------------------------------------------------------------------------------------
+
+
+def _growing(spark: SparkSession, d: str) -> DataFrame:
+    from .experiments import growing
+
+    methods = ("selected", "hybrid", "reshuffle", "vertex_cut_memory", "vertex_centric")
+    return growing(spark, d, iters=1, fractions=(0.5, 1.0), methods=methods).drop("seconds")
+
+
+def _density(spark: SparkSession, d: str) -> DataFrame:
+    from .experiments import density
+
+    return density(spark, d, ("conv_chain", "trade"), (4,), 1).drop("seconds")
+
+
+def _threshold(spark: SparkSession, d: str) -> DataFrame:
+    from .experiments import threshold
+
+    return threshold(spark, d, iters=1, thetas=(0, 64, None)).drop("seconds")
+
+
+def _balance(spark: SparkSession, d: str) -> DataFrame:
+    from .experiments import balance
+
+    return balance(spark, d, workers=(4, 16))
+
+
+def _engines(spark: SparkSession, d: str) -> DataFrame:
+    from .experiments import engines
+
+    return engines(spark, d, iters=1, fractions=(1.0,)).drop("seconds")
+
+
+for _name, _f in (("growing", _growing), ("density", _density), ("threshold", _threshold), ("balance", _balance), ("engines", _engines)):
+    _add(f"exp_{_name}", _f)
+
+
+def _by_type(spark: SparkSession, d: str) -> DataFrame:
+    """Walk counts ranked inside each kind of vertex; the kind is the tag of the id."""
+    found = loop.run(*G.supply_sym(spark, d), G.supply_sym(spark, d)[1].select("node", F.lit(1).cast("bigint").alias("val")), A.count_algebra(), "vertical", 4, max_iter=1)
+    kind = F.floor(F.col("node") / G.TAG).cast("int")
+    w = Window.partitionBy("kind").orderBy(F.desc("walks"), "node")
+    rows = found.state.select("node", kind.alias("kind"), F.col("val").alias("walks"))
+    return rows.withColumn("place", F.row_number().over(w)).filter("place <= 10")
+
+
+_add(
+    "rank_by_type",
+    _by_type,
+    f"WITH {O.graph('supply_sym')}, x AS (SELECT dst AS node, (dst // {O.TAG})::INT AS kind, count(*) AS walks FROM e GROUP BY dst)"
+    " SELECT * FROM (SELECT node, kind, walks, row_number() OVER (PARTITION BY kind ORDER BY walks DESC, node) AS place FROM x) WHERE place <= 10",
+)
+
 # ---- streaming -------------------------------------------------------------------------------------------------------------
 
 
