@@ -3,16 +3,19 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import itertools
 import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 #: Texts are handed to vectorised kernels in slices of about so many characters, to bound a worker's memory.
-SLICE_CHARS = 2_000_000
+SLICE_CHARS = 1_000_000
 
 _made: list[tuple[SparkSession, str]] = []
 
@@ -67,17 +70,40 @@ def _clean() -> None:
             return
 
 
-def slices(texts: list[str | None], chars: int = SLICE_CHARS) -> Iterator[tuple[int, int]]:
-    """Cut a batch into runs of whole texts of about ``chars`` characters."""
+def give_back() -> None:
+    """Hand memory that this process no longer uses back to the system; workers live on for later stages."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        return
+
+
+def map_arrow(df: DataFrame, run: Callable[[Iterable[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema) -> DataFrame:
+    """df.mapInArrow whose tasks use the system's allocator and give their memory back at the end."""
+
+    def frugal(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pa.set_memory_pool(pa.system_memory_pool())
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return df.mapInArrow(frugal, schema)
+
+
+def text_runs(column: pa.Array, chars: int = SLICE_CHARS) -> Iterator[tuple[int, int]]:
+    """Cut a column into runs of whole texts of about ``chars`` bytes, before any of it becomes Python objects."""
+    sizes = pc.fill_null(pc.binary_length(column), 0).to_pylist()
     begin, size = 0, 0
-    for i, t in enumerate(texts):
-        n = len(t) if t else 0
+    for i, n in enumerate(sizes):
         if size and size + n > chars:
             yield begin, i
             begin, size = i, 0
         size += n + 1
-    if begin < len(texts):
-        yield begin, len(texts)
+    if begin < len(sizes):
+        yield begin, len(sizes)
 
 
 def map_texts(
@@ -97,12 +123,12 @@ def map_texts(
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         f = kernel()
         for batch in batches:
-            texts = batch.column(at).to_pylist()
-            parts = [f(texts[a:b]) for a, b in slices(texts)] or [f([])]
+            column = batch.column(at)
+            parts = [f(column.slice(a, b - a).to_pylist()) for a, b in text_runs(column)] or [f([])]
             made = [pa.concat_arrays([p[k] for p in parts]) for k in range(len(more))]
             yield pa.RecordBatch.from_arrays([*batch.columns, *made], names=[f.name for f in schema])
 
-    return df.mapInArrow(run, schema)
+    return map_arrow(df, run, schema)
 
 
 def flat(parts: Iterable[Iterable]) -> list:

@@ -160,7 +160,7 @@ def _record(rows: list[tuple]) -> pa.RecordBatch:
 def _neighbours(batches) -> Iterator[pa.RecordBatch]:
     """Rows (doc_id, text, guest) of one partition in order, then guests: the first row of the next partition."""
     held = None
-    for b in batches:
+    for b in (b.slice(x, y - x) for b in batches for x, y in common.text_runs(b.column(1))):
         rows, size = [], 0
         for doc_id, text, guest in zip(*(c.to_pylist() for c in b.columns[:3]), strict=True):
             if guest and held is None:
@@ -215,12 +215,12 @@ def compare_with_next(docs: DataFrame, partitions: int | None = None) -> DataFra
                 least[p] = min(int(values[part == p].min()), least.get(p, 1 << 63))
         yield pa.RecordBatch.from_arrays([pa.array(list(least), type=pa.int32()), pa.array(list(least.values()), type=pa.int64())], names=["part", "least"])
 
-    ids = docs.select(key.alias("key")).mapInArrow(lowest, "part int, least long")
+    ids = common.map_arrow(docs.select(key.alias("key")), lowest, "part int, least long")
     least = {r["part"]: r["least"] for r in ids.groupBy("part").agg(F.min("least").alias("least")).collect()}
     order = sorted(least)
     heads = {least[p]: order[k - 1] for k, p in enumerate(order)}  # the first of all follows the last of all
     rows = docs.select("doc_id", "text", key.alias("key"), F.xxhash64("text").alias("tie"))
     ddl = "doc_id long, text string, guest boolean, key long, tie long, part int"
-    dealt = rows.mapInArrow(lambda b: _dealt(b, cuts, heads), ddl).repartitionById(len(cuts) + 1, "part")
+    dealt = common.map_arrow(rows, lambda b: _dealt(b, cuts, heads), ddl).repartitionById(len(cuts) + 1, "part")
     ordered = dealt.select("doc_id", "text", "guest", "key", "tie").sortWithinPartitions("guest", "key", "tie")
-    return ordered.mapInArrow(_neighbours, _DDL)
+    return common.map_arrow(ordered, _neighbours, _DDL)

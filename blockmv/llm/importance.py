@@ -56,15 +56,15 @@ def count_ngrams(docs: DataFrame, flag: str) -> np.ndarray:
     def run(batches):
         total = np.zeros((2, BUCKETS), dtype=np.int64)
         for b in batches:
-            texts, chosen = b.column(1).to_pylist(), np.array(b.column(0).to_pylist(), dtype=bool)
-            for lo, hi in common.slices(texts):
-                buckets, sizes = ngram_buckets(texts[lo:hi])
+            chosen = np.array(b.column(0).to_pylist(), dtype=bool)
+            for lo, hi in common.text_runs(b.column(1)):
+                buckets, sizes = ngram_buckets(b.column(1).slice(lo, hi - lo).to_pylist())
                 total[0] += np.bincount(buckets, minlength=BUCKETS)
                 total[1] += np.bincount(buckets[np.repeat(chosen[lo:hi], sizes)], minlength=BUCKETS)
         at = np.flatnonzero(total[0])
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[0][at]), pa.array(total[1][at])], names=["bucket", "raw", "target"])
 
-    counted = docs.select(flag, "text").mapInArrow(run, "bucket long, raw long, target long")
+    counted = common.map_arrow(docs.select(flag, "text"), run, "bucket long, raw long, target long")
     out = np.zeros((2, BUCKETS), dtype=np.int64)
     for r in counted.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect():
         out[:, r["bucket"]] = r["raw"], r["target"]

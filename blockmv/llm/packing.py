@@ -246,7 +246,7 @@ def place(pieces: DataFrame, plan: Plan) -> DataFrame:
             made = [pa.array(base[k] + key - keys[k]), pa.array(offset[k])]
             yield pa.RecordBatch.from_arrays([*b.columns, *made], names=[f.name for f in schema])
 
-    return pieces.mapInArrow(run, schema)
+    return common.map_arrow(pieces, run, schema)
 
 
 def pack_documents(docs: DataFrame, path: str, width: int = WIDTH, with_ids: bool = False) -> DataFrame:

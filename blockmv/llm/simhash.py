@@ -186,7 +186,7 @@ def near_links(classes: DataFrame, radius: int = RADIUS, block: int = BLOCK) ->
     group = F.xxhash64("mask", "bits", F.least("own", "other"), F.greatest("own", "other"))
     # groups that collide in this hash are compared with each other as well, which is harmless
     grouped = pairs.select(group.alias("g"), "fp", "node").repartition("g").sortWithinPartitions("g", "node")
-    return grouped.mapInArrow(lambda batches: _links(batches, radius), "u long, v long")
+    return common.map_arrow(grouped, lambda batches: _links(batches, radius), "u long, v long")
 
 
 def near_duplicates(fingerprinted: DataFrame, radius: int = RADIUS) -> DataFrame:
@@ -236,12 +236,12 @@ def similar_links(links: DataFrame, texts: DataFrame, words: int, least: float)
     met = links.join(u, "u").join(v, "v").select("u", "v", "u_text", "v_text")
 
     def run(batches):
-        for b in batches:
+        for b in (b.slice(x, y - x) for b in batches for x, y in common.text_runs(b.column(2))):
             near = [similarity(x, y, words) >= least for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
             k = pa.array(np.flatnonzero(np.array(near, dtype=bool)))
             yield pa.RecordBatch.from_arrays([b.column(0).take(k), b.column(1).take(k)], names=["u", "v"])
 
-    return met.mapInArrow(run, "u long, v long")
+    return common.map_arrow(met, run, "u long, v long")
 
 
 def keep_firsts(

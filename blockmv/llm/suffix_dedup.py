@@ -43,10 +43,10 @@ WIDTH = 100
 GRAM = 32
 _REACH = WIDTH - GRAM + 1
 #: Bytes handled at once; positions inside such a portion take 24 bits.
-PORTION = 2_000_000
+PORTION = 1_000_000
 _POSITION = np.uint64((1 << 24) - 1)
 #: Spans held by a task before they are handed on, and documents sampled per bucket for the splitters.
-HELD_SPANS = 1_000_000
+HELD_SPANS = 400_000
 SAMPLED_DOCS = 16
 SAMPLED_ROWS = 64
 
@@ -187,7 +187,8 @@ def _portions(batches) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.
         stops = np.cumsum(sizes)
         return data, np.repeat(stops, sizes), np.array([x[0] for x in held], dtype=np.int64), stops - sizes, np.array([x[1] for x in held], dtype=np.int64)
 
-    for b in batches:
+    parts = (b.slice(x, y - x) for b in batches for x, y in common.text_runs(b.column(1)))
+    for b in parts:
         for doc, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
             raw = (text or "").encode()
             doc = NULL_ID if doc is None else doc
@@ -293,10 +294,9 @@ def _sorted_spans(batches) -> Iterator[pa.RecordBatch]:
 def _open_strings(batches) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, list[bytes], np.ndarray]]:
     """From batches (doc, text, ats, ns, gs): per portion the open spans with their bytes and hashes of their strings."""
     for b in batches:
-        docs, texts, *lists = (c.to_pylist() for c in b.columns)
-        for lo, hi in common.slices(texts):
+        for lo, hi in common.text_runs(b.column(1)):
             doc, at, n, g, cut = [], [], [], [], []
-            for d, t, ats, ns, gs in zip(docs[lo:hi], texts[lo:hi], *(x[lo:hi] for x in lists), strict=True):
+            for d, t, ats, ns, gs in zip(*(c.slice(lo, hi - lo).to_pylist() for c in b.columns), strict=True):
                 raw = (t or "").encode()
                 doc += [d] * len(ats)
                 at += ats
@@ -413,7 +413,7 @@ def _keys(df: DataFrame, f, buckets: int) -> list[tuple[int, int, int, int]]:
             pick = np.arange(0, len(token), max(1, len(token) // (SAMPLED_ROWS * 4)))
             yield pa.RecordBatch.from_arrays([_signed(token[pick]), _signed(second[pick]), pa.array(doc[pick]), pa.array(at[pick])], names=["t", "s", "doc", "at"])
 
-    rows = df.mapInArrow(run, "t long, s long, doc long, at long")
+    rows = common.map_arrow(df, run, "t long, s long, doc long, at long")
     got = rows.orderBy(F.xxhash64("t", "s", "doc", "at")).limit(SAMPLED_ROWS * buckets).collect()
     wrap = (1 << 64) - 1
     return [(r["t"] & wrap, r["s"] & wrap, r["doc"], r["at"]) for r in got]
@@ -432,8 +432,8 @@ def repeated_stretches(docs: DataFrame) -> DataFrame:
     cut = spark.sparkContext.broadcast(
         Splitters.sampled(_keys(_sample(texts, SAMPLED_DOCS * buckets), span_keys, buckets), buckets)
     )
-    dealt = texts.mapInArrow(lambda b: _dealt(b, cut.value), "bucket int, spans binary").repartitionById(buckets, "bucket")
-    spans = common.materialise(dealt.mapInArrow(_sorted_spans, "open boolean, doc long, at long, n int, g long"), "spans")
+    dealt = common.map_arrow(texts, lambda b: _dealt(b, cut.value), "bucket int, spans binary").repartitionById(buckets, "bucket")
+    spans = common.materialise(common.map_arrow(dealt, _sorted_spans, "open boolean, doc long, at long, n int, g long"), "spans")
     whole = spans.filter("not open").select("doc", F.col("at").alias("begin"), (F.col("at") + F.col("n") - 1 + WIDTH).alias("end"))
 
     open_ = spans.filter("open").groupBy(F.col("doc").alias("key"))
@@ -449,9 +449,9 @@ def repeated_stretches(docs: DataFrame) -> DataFrame:
     sampled = _sample(texts, SAMPLED_DOCS * buckets).join(open_, F.col("doc") == F.col("key")).select("doc", "text", "at", "n", "g")
     again = spark.sparkContext.broadcast(Splitters.sampled(_keys(sampled, string_keys, buckets), buckets))
     ddl = "bucket int, doc long, at long, n int, g long, bytes binary"
-    strings = with_text.mapInArrow(lambda b: _round_two(b, again.value), ddl).repartitionById(buckets, "bucket")
+    strings = common.map_arrow(with_text, lambda b: _round_two(b, again.value), ddl).repartitionById(buckets, "bucket")
     ddl = "kind string, bucket int, doc long, begin long, end long, bytes binary"
-    runs = common.materialise(strings.mapInArrow(lambda b: _sorted_strings(b, again.value), ddl), "strings")
+    runs = common.materialise(common.map_arrow(strings, lambda b: _sorted_strings(b, again.value), ddl), "strings")
     # two rows per bucket: its first string repeats the last one of the bucket before, or not
     edges = runs.filter("kind <> 'run'").select("kind", "bucket", "doc", "begin", "end", "bytes")
     before = Window.orderBy("bucket", F.col("kind") == "last")
@@ -491,7 +491,7 @@ def removal_report(docs: DataFrame) -> DataFrame:
     """docs (doc_id, text) -> doc_id, n_bytes, n_removed, n_spans, kept_sha256; one row per row of docs."""
 
     def run(batches):
-        for b in batches:
+        for b in (b.slice(x, y - x) for b in batches for x, y in common.text_runs(b.column(1))):
             rows = []
             for doc, text, cut in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 raw = (text or "").encode()
@@ -503,7 +503,7 @@ def removal_report(docs: DataFrame) -> DataFrame:
 
     own = docs.select("doc_id", "text")
     ddl = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
-    return _attached(own, repeated_stretches(own)).mapInArrow(run, ddl)
+    return common.map_arrow(_attached(own, repeated_stretches(own)), run, ddl)
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
@@ -516,7 +516,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     names, at = docs.columns, docs.columns.index("text")
 
     def run(batches):
-        for b in batches:
+        for b in (b.slice(x, y - x) for b in batches for x, y in common.text_runs(b.column(at))):
             texts = []
             for text, cut in zip(b.column(at).to_pylist(), b.column(len(names)).to_pylist(), strict=True):
                 if text is not None and cut:
@@ -526,4 +526,4 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
             cols = [pa.array(texts, type=pa.string()) if k == at else b.column(k) for k in range(len(names))]
             yield pa.RecordBatch.from_arrays(cols, names=names)
 
-    return found.mapInArrow(run, docs.schema)
+    return common.map_arrow(found, run, docs.schema)

@@ -190,9 +190,12 @@ def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Machi
             made = pa.array([terms_of(t).tolist() for t in b.column(0).to_pylist()], type=pa.list_(pa.int32()))
             yield pa.RecordBatch.from_arrays([made, b.column(1)], names=["terms", "toxic"])
 
-    got = texts.mapInArrow(run, "terms array<int>, toxic int").toArrow()
+    got = common.map_arrow(texts, run, "terms array<int>, toxic int").toArrow()
     rows = [x for c in got.column("terms").chunks for x in np.split(c.flatten().to_numpy(), np.cumsum(pc.list_value_length(c))[:-1])] if got.num_rows else []
-    return fit(rows, np.array(got.column("toxic").to_pylist(), dtype=float))
+    machine = fit(rows, np.array(got.column("toxic").to_pylist(), dtype=float))
+    del got, rows
+    common.give_back()
+    return machine
 
 
 def score(docs: DataFrame, machine: Machine, text: str = "text") -> DataFrame:

@@ -254,7 +254,7 @@ def write_archives(pages: DataFrame, least_bytes: int = 0, archive_bytes_limit:
         if records:
             yield close()
 
-    made = mark_revisits(pages, least_bytes).mapInArrow(run, "number long, content binary")
+    made = common.map_arrow(mark_revisits(pages, least_bytes), run, "number long, content binary")
     name = F.concat_ws("-", F.lit("part"), F.spark_partition_id(), F.col("number"))
     return common.materialise(made.select(name.alias("archive_id"), "content"), "warc")
 
@@ -284,7 +284,7 @@ def read_archives(archives: DataFrame) -> DataFrame:
                 if rows:
                     yield out()
 
-    return archives.select("archive_id", "content").mapInArrow(run, f"archive_id string, {FIELDS}")
+    return common.map_arrow(archives.select("archive_id", "content"), run, f"archive_id string, {FIELDS}")
 
 
 def export_archives(archives: DataFrame, folder: str) -> DataFrame:
@@ -302,7 +302,7 @@ def export_archives(archives: DataFrame, folder: str) -> DataFrame:
                 os.replace(part, paths[-1])  # whole or not at all, also when a task is repeated
             yield pa.RecordBatch.from_arrays([pa.array(paths)], names=["path"])
 
-    return archives.select("archive_id", "content").mapInArrow(run, "path string")
+    return common.map_arrow(archives.select("archive_id", "content"), run, "path string")
 
 
 def read_archive_files(spark, glob: str) -> DataFrame:
