@@ -263,5 +263,5 @@ def keep_firsts(
     texts = own.select(F.col("doc_id").alias("node"), "text").dropDuplicates(["node"])
     member = connected_components(similar_links(links, texts, shingle, least)).filter("node <> root")
     later = held.join(nodes.select("node"), held["doc_id"] == F.col("node"), "left_anti").select("doc_id")
-    gone = later.union(member.select("node")).distinct().withColumnRenamed("doc_id", "_gone")
+    gone = later.union(member.select("node")).distinct().select(F.col("doc_id").alias("_gone"))
     return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")

@@ -53,6 +53,8 @@ SAMPLED_ROWS = 64
 _BYTE = np.array([xxhash.xxh64_intdigest(bytes([b]), 11) for b in range(256)], dtype=np.uint64)
 _ODD = [np.uint64(xxhash.xxh64_intdigest(bytes([k]), 13) | 1) for k in range(8)]
 NULL_ID = -(1 << 63)
+#: Name of the column of stretches, which is read by its place only.
+CUT = "_stretches_of_this_document"
 
 
 # ---- hashes of substrings ------------------------------------------------------------------------------------------
@@ -477,10 +479,11 @@ def cut_out(raw: bytes, stretches: list[tuple[int, int]]) -> tuple[list[tuple[in
 
 
 def _attached(docs: DataFrame, stretches: DataFrame) -> DataFrame:
-    """docs with the column _cut: all stretches of the document."""
+    """docs with a last column: all stretches of the document."""
     packed = stretches.select("doc", (F.col("begin") * 65536 * 65536 + F.col("end")).alias("x"))
-    per_doc = packed.groupBy(F.col("doc").alias("_doc")).agg(F.collect_list("x").alias("_cut"))
-    return docs.join(per_doc, F.coalesce(docs["doc_id"], F.lit(NULL_ID)) == F.col("_doc"), "left").drop("_doc")
+    per_doc = packed.groupBy("doc").agg(F.collect_list("x").alias("x"))
+    met = docs.join(per_doc, F.coalesce(docs["doc_id"], F.lit(NULL_ID)) == per_doc["doc"], "left")
+    return met.select(*[docs[c] for c in docs.columns], per_doc["x"].alias(CUT))
 
 
 def _ranges(cut: list[int] | None) -> list[tuple[int, int]]:

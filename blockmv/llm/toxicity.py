@@ -135,6 +135,8 @@ def fit(rows: list[np.ndarray], label: np.ndarray, seed: int = 7) -> Machine:
         share = float(label.mean()) if len(label) else 0.0
         return Machine(none, 30.0 if share else -30.0, none.astype(float), np.zeros((0, FACTORS)))
     terms = _telling(rows, label, MAX_TERMS)
+    if not len(terms):
+        return Machine(none, float(np.log(label.mean() / (1 - label.mean()))), none.astype(float), np.zeros((0, FACTORS)))
     rows = [np.searchsorted(terms, r[np.isin(r, terms)]) for r in rows]
     random = np.random.default_rng(seed)
     m = len(terms)
