@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.algebra import Algebra
-from ..plans.session import loop_settings, reliable, shared_folder
+from ..plans.session import forget, loop_settings, reliable, shared_folder
 from .loop import Result, Round
 
 
@@ -85,7 +85,9 @@ def vertex_cut(
             met = cells.join(s.hint("merge"), (cells["part"] == s["s_part"]) & (cells["src"] == s["s_src"]))
             local = met.groupBy("part", "dst").agg(algebra.fold(algebra.combine(F.col("w"), F.col("val"))).alias("acc"))
             acc = local.groupBy("dst").agg(algebra.fold(F.col("acc")).alias("acc"))
-            state = reliable(_finish(state, acc, algebra))
+            last, state = state, reliable(_finish(state, acc, algebra))
+            if last is not start:
+                forget(last)
             out.history.append(Round(k, float("nan"), n, n, copies + back, 0, time.time() - tick))
         cells.unpersist()
         mirrors.unpersist()
@@ -119,7 +121,9 @@ def vertex_centric(edges: DataFrame, start: DataFrame, algebra: Algebra, iters:
             met = held.join(state.hint("merge"), held["v"] == state["node"])
             messages = met.select(F.explode("out").alias("e"), "val").select("e.dst", algebra.combine(F.col("e.w"), F.col("val")).alias("x"))
             acc = messages.groupBy("dst").agg(algebra.fold(F.col("x")).alias("acc"))
-            state = reliable(_finish(state, acc, algebra))
+            last, state = state, reliable(_finish(state, acc, algebra))
+            if last is not start:
+                forget(last)
             out.history.append(Round(k, float("nan"), n, n, 0, 0, time.time() - tick))
         held.unpersist()
     out.state = state

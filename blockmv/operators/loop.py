@@ -14,7 +14,7 @@ from ..functions.algebra import Algebra
 from ..functions.psi import Psi
 from ..plans import cost
 from ..plans.blocks import BlockedGraph, prepartition
-from ..plans.session import loop_settings, reliable, shared_folder
+from ..plans.session import forget, loop_settings, reliable, shared_folder
 from .multiply import multiply
 
 PLACEMENTS = ("horizontal", "vertical", "selected", "hybrid")
@@ -114,7 +114,8 @@ def iterate(
         for k in range(1, max_iter + 1):
             tick = time.time()
             made = multiply(bg, before(now) if before else now, algebra, copy)
-            now = _kept(made.state, bg, state, folder, k)
+            last, now = now, _kept(made.state, bg, state, folder, k)
+            forget(last)
             seen = made.partials.get if made.partials else {"off_block": 0, "all": 0}
             delta = _change(now, numeric, norm) if tol is not None else float("nan")
             off, all_ = seen.get("off_block") or 0, seen.get("all") or 0

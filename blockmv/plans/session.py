@@ -47,3 +47,18 @@ def reliable(df: DataFrame) -> DataFrame:
     """df written to the shared folder with its partitioning kept: lineage is cut, lost executors cost nothing."""
     shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+def forget(df: DataFrame) -> None:
+    """Delete the files of a frame that ``reliable`` returned and that nothing reads any more; others are left alone.
+
+    Spark keeps checkpoints unless told otherwise, and an iteration would leave one copy of the vector per round.
+    """
+    plan = df._jdf.queryExecution().logical()
+    if plan.getClass().getSimpleName() != "LogicalRDD":
+        return
+    file = plan.rdd().getCheckpointFile()
+    if file.isDefined():
+        spark = df.sparkSession
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(file.get())
+        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)

@@ -159,3 +159,16 @@ def test_settings_are_put_back(spark):
     with loop_settings(spark, 7):
         assert spark.conf.get("spark.sql.shuffle.partitions") == "7"
     assert (spark.conf.get("spark.sql.adaptive.enabled"), spark.conf.get("spark.sql.shuffle.partitions")) == (before, "4")
+
+
+def test_rounds_leave_one_checkpoint(spark, toy):
+    import glob
+
+    from blockmv.plans.session import shared_folder
+
+    count = lambda: len(glob.glob(shared_folder(spark).removeprefix("file://") + "/*/rdd-*"))
+    al.pagerank(*toy, iters=1, placement="vertical", b=2)
+    before = count()
+    out = al.pagerank(*toy, iters=5, placement="vertical", b=2)
+    assert count() == before + 1
+    assert len(values(out.state)) == 6
