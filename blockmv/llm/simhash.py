@@ -9,7 +9,8 @@ Classes are compared as follows, without loss:
 * In a bucket, each fingerprint has a row of distances to fixed reference fingerprints (the pivot table). By the
   triangle inequality a pair with a coordinate difference over ``radius`` is discarded; survivors are verified.
 * Buckets over BLOCK rows are cut into blocks, and each pair of blocks is a group of its own.
-* Of each group only a spanning forest of its links leaves the task; components come from star contractions.
+* Pairs of one component are not looked at again; of each group only a link per row to the smallest node of its
+  component leaves the task. Components of the whole come from star contractions.
 
 Defined results: a null or empty text, or one without words, has the fingerprint zero, which links like any other;
 fewer words than a shingle make one shingle; repeated rows are members of one class; an empty table gives no rows; a
@@ -94,53 +95,53 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def near_pairs(fp: np.ndarray, group: np.ndarray, radius: int):
-    """Index pairs (i, j), i < j, of near fingerprints in equal groups; rows are sorted by group. Yields in portions."""
+def _settle(label: np.ndarray, i: np.ndarray, j: np.ndarray) -> None:
+    """Bring the components of i and j together; labels point at the smallest index of their component."""
+    while True:
+        a, b = label[i], label[j]
+        low, high = np.minimum(a, b), np.maximum(a, b)
+        open_ = low != high
+        if not open_.any():
+            return
+        i, j, low, high = i[open_], j[open_], low[open_], high[open_]
+        np.minimum.at(label, high, low)
+        while True:
+            up = label[label]
+            if (up == label).all():
+                break
+            label[:] = up
+
+
+def link_labels(fp: np.ndarray, group: np.ndarray, radius: int) -> np.ndarray:
+    """Smallest index of each row's component under all links of at most ``radius`` bits inside its group.
+
+    Rows are sorted by group. Pairs that are in one component already are passed over, and groups that have become
+    one component are left out from then on: a group of near copies takes a few steps, not all its pairs.
+    """
+    n = len(fp)
+    label = np.arange(n)
+    if not n:
+        return label
+    begin = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
+    number = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, n)))
     table = np.bitwise_count(fp[:, None] ^ _REFERENCES[None, :]).astype(np.int8)
-    left = np.arange(len(fp))
-    step = 1
+    left, step = np.arange(n), 1
     while len(left):
-        left = left[left + step < len(fp)]
-        left = left[group[left] == group[left + step]]
+        left = left[left + step < n]
+        left = left[number[left] == number[left + step]]
         i, j = left, left + step
+        apart = label[i] != label[j]
+        i, j = i[apart], j[apart]
         for p in range(PIVOTS):
             near = np.abs(table[i, p] - table[j, p]) <= radius
             i, j = i[near], j[near]
         near = np.bitwise_count(fp[i] ^ fp[j]) <= radius
         if near.any():
-            yield i[near], j[near]
+            _settle(label, i[near], j[near])
+        if step & (step - 1) == 0:
+            open_ = ~np.logical_and.reduceat(label == begin[number], begin)
+            left = left[open_[number[left]]]
         step += 1
-
-
-def forest(n: int, pairs) -> np.ndarray:
-    """Smallest index of each row's component under the pairs."""
-    label = np.arange(n)
-
-    def settle(i: np.ndarray, j: np.ndarray) -> None:
-        while True:
-            a, b = label[i], label[j]
-            low, high = np.minimum(a, b), np.maximum(a, b)
-            open_ = low != high
-            if not open_.any():
-                return
-            i, j, low, high = i[open_], j[open_], low[open_], high[open_]
-            np.minimum.at(label, high, low)
-            while True:
-                up = label[label]
-                if (up == label).all():
-                    break
-                label[:] = up
-
-    held: list = []
-    size = 0
-    for i, j in pairs:
-        held.append((i, j))
-        size += len(i)
-        if size > 500_000:
-            settle(*(np.concatenate(x) for x in zip(*held, strict=True)))
-            held, size = [], 0
-    if held:
-        settle(*(np.concatenate(x) for x in zip(*held, strict=True)))
     return label
 
 
@@ -151,7 +152,7 @@ def _links(batches, radius: int):
     """
 
     def linked(g: np.ndarray, fp: np.ndarray, node: np.ndarray):
-        label = forest(len(fp), near_pairs(fp.view(np.uint64), g, radius))
+        label = link_labels(fp.view(np.uint64), g, radius)
         child = np.flatnonzero(label != np.arange(len(fp)))
         return pa.RecordBatch.from_arrays([pa.array(node[child]), pa.array(node[label[child]])], names=["u", "v"])
 
@@ -182,7 +183,9 @@ def near_links(classes: DataFrame, radius: int = RADIUS, block: int = BLOCK) ->
     cut = spread.join(sizes, ["mask", "bits"]).withColumn("m", F.ceil(F.col("count") / block).cast("int"))
     own = F.pmod(F.xxhash64("fp", "node", F.lit(3)), F.col("m")).cast("int")
     other = F.explode(F.sequence(F.lit(0), F.col("m") - 1))
-    pairs = cut.select("fp", "node", "mask", "bits", own.alias("own"), other.alias("other"))
+    pairs = cut.select("fp", "node", "mask", "bits", "m", own.alias("own"), other.alias("other"))
+    # a pair of two blocks holds what each of them holds
+    pairs = pairs.filter("m = 1 or own <> other")
     group = F.xxhash64("mask", "bits", F.least("own", "other"), F.greatest("own", "other"))
     # groups that collide in this hash are compared with each other as well, which is harmless
     grouped = pairs.select(group.alias("g"), "fp", "node").repartition("g").sortWithinPartitions("g", "node")
@@ -247,12 +250,13 @@ def similar_links(links: DataFrame, texts: DataFrame, words: int, least: float)
 def keep_firsts(
     docs: DataFrame, shingle: int = 5, least: float = 0.8, words: int = 2, radius: int = 8, text: str = "text"
 ) -> DataFrame:
-    """The rows of docs, all columns, without near copies: of each group the document with the smallest doc_id stays.
+    """The rows of docs, all columns, without near copies: a document goes if it is a near copy of an earlier one, so of
+    each group the document with the smallest doc_id stays.
 
     Near copies are documents whose sets of ``shingle``-word shingles have a Jaccard similarity of ``least`` or more.
     They are searched by SimHash: small edits flip few bits of a fingerprint over ``words``-word shingles, so texts that
     similar lie within ``radius`` bits as a rule (README has the measured share), and the similarity of each is then
-    checked with the smallest doc_id it links to inside a bucket. Texts that differ in case and white space only are
+    checked with the smallest doc_id of its component in each bucket, the smallest of all first. Texts that differ in case and white space only are
     copies. Rows without a doc_id stay; rows of one doc_id are one document and stay or go together.
     """
     own = docs.select("doc_id", F.col(text).alias("text")).filter("doc_id is not null")
@@ -261,7 +265,11 @@ def keep_firsts(
     nodes = common.materialise(nodes.groupBy("node").agg(F.min("fp").alias("fp")), "nodes")
     links = common.materialise(near_links(nodes.select("fp", "node"), radius).distinct(), "links")
     texts = own.select(F.col("doc_id").alias("node"), "text").dropDuplicates(["node"])
-    member = connected_components(similar_links(links, texts, shingle, least)).filter("node <> root")
+    # one link each first; only those that it does not settle look at the rest of their links
+    lowest = links.groupBy("u").agg(F.min("v").alias("v"))
+    first = common.materialise(similar_links(lowest, texts, shingle, least).select("u"), "similar")
+    rest = links.join(first, "u", "left_anti").join(lowest, ["u", "v"], "left_anti")
+    near = first.union(similar_links(rest, texts, shingle, least).select("u"))
     later = held.join(nodes.select("node"), held["doc_id"] == F.col("node"), "left_anti").select("doc_id")
-    gone = later.union(member.select("node")).distinct().select(F.col("doc_id").alias("_gone"))
+    gone = later.union(near).distinct().select(F.col("doc_id").alias("_gone"))
     return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")

@@ -158,18 +158,18 @@ def test_shingles_and_fingerprints():
     assert len(simhash.shingle_hashes("a a a a a a", 4)) == 3
 
 
-def test_pairs_and_forest_equal_brute_force():
+def test_link_labels_equal_brute_force():
     rng = np.random.default_rng(1)
     base = rng.integers(0, 2**63, 30, dtype=np.uint64)
     fp = np.unique(np.concatenate([base, *[base ^ np.uint64(1 << int(rng.integers(63))) ^ np.uint64(1 << int(rng.integers(63))) for _ in range(6)]]))
-    near = np.bitwise_count(fp[:, None] ^ fp[None, :]) <= 4
-    found = {(i, j) for a, b in simhash.near_pairs(fp, np.zeros(len(fp), dtype=int), 4) for i, j in zip(a.tolist(), b.tolist(), strict=True)}
-    assert found == {(i, j) for i, j in zip(*np.nonzero(near), strict=True) if i < j}
-    label = simhash.forest(len(fp), simhash.near_pairs(fp, np.zeros(len(fp), dtype=int), 4))
-    want = np.arange(len(fp))
-    for _ in range(20):
-        want = np.array([want[near[i]].min() for i in range(len(fp))])
-    assert label.tolist() == want.tolist()
+    rng.shuffle(fp)
+    for group in (np.zeros(len(fp), dtype=int), np.sort(rng.integers(0, 5, len(fp)))):
+        near = (np.bitwise_count(fp[:, None] ^ fp[None, :]) <= 4) & (group[:, None] == group[None, :])
+        want = np.arange(len(fp))
+        for _ in range(20):
+            want = np.array([want[near[i]].min() for i in range(len(fp))])
+        assert simhash.link_labels(fp, group, 4).tolist() == want.tolist()
+    assert simhash.link_labels(fp[:0], group[:0], 4).tolist() == []
 
 
 @pytest.mark.parametrize(("radius", "equal"), [(4, 1), (4, 2), (8, 2), (8, 3)])
