@@ -19,6 +19,7 @@ null doc_id is linked like any other, and never is the smallest of a class unles
 
 from __future__ import annotations
 
+from functools import reduce
 from itertools import combinations
 
 import numpy as np
@@ -37,6 +38,9 @@ BLOCK = 2048
 PIVOTS = 8
 #: Reference fingerprints: the first outputs of a 64-bit mixing of 1, 2, 3, ...
 _REFERENCES = np.array([xxhash.xxh64_intdigest(str(k), 7) for k in range(1, PIVOTS + 1)], dtype=np.uint64)
+#: Bits of the parity sketch of a shingle set, and partners that a document is given in the first verifying round.
+SKETCH_BITS = 1024
+PARTNERS = 8
 
 
 def shingle_hashes(text: str | None, words: int) -> np.ndarray:
@@ -169,26 +173,33 @@ def _links(batches, radius: int):
         yield linked(*held)
 
 
-def near_links(classes: DataFrame, radius: int = RADIUS, block: int = BLOCK) -> DataFrame:
-    """classes (fp, node), nodes distinct -> links (u, v) between nodes: their components are those of all pairs of
-    fingerprints at most ``radius`` bits apart. v is the smallest node of the component inside a bucket."""
+def _grouped(classes: DataFrame, radius: int, block: int) -> DataFrame:
+    """classes (fp, node, ...) -> g, fp, node, ...: one row per group that a row is compared in, sorted by g and node."""
     rows = classes.count()
+    others = [c for c in classes.columns if c not in ("fp", "node")]
     masks = block_masks(radius, blocks_for(rows, radius))
     keys = F.array(
         *[F.struct(F.lit(k).alias("mask"), F.col("fp").bitwiseAND(F.lit(_signed(m)).cast("long")).alias("bits")) for k, m in enumerate(masks)]
     )
-    spread = classes.select("fp", "node", F.explode(keys).alias("key")).select("fp", "node", "key.mask", "key.bits")
+    spread = classes.select("fp", "node", *others, F.explode(keys).alias("key"))
+    spread = spread.select("fp", "node", *others, "key.mask", "key.bits")
     sizes = spread.groupBy("mask", "bits").count().filter("count > 1")
     # the same in-bucket cut for every size: one block up to ``block`` rows
     cut = spread.join(sizes, ["mask", "bits"]).withColumn("m", F.ceil(F.col("count") / block).cast("int"))
     own = F.pmod(F.xxhash64("fp", "node", F.lit(3)), F.col("m")).cast("int")
     other = F.explode(F.sequence(F.lit(0), F.col("m") - 1))
-    pairs = cut.select("fp", "node", "mask", "bits", "m", own.alias("own"), other.alias("other"))
+    pairs = cut.select("fp", "node", *others, "mask", "bits", "m", own.alias("own"), other.alias("other"))
     # a pair of two blocks holds what each of them holds
     pairs = pairs.filter("m = 1 or own <> other")
     group = F.xxhash64("mask", "bits", F.least("own", "other"), F.greatest("own", "other"))
     # groups that collide in this hash are compared with each other as well, which is harmless
-    grouped = pairs.select(group.alias("g"), "fp", "node").repartition("g").sortWithinPartitions("g", "node")
+    return pairs.select(group.alias("g"), "fp", "node", *others).repartition("g").sortWithinPartitions("g", "node")
+
+
+def near_links(classes: DataFrame, radius: int = RADIUS, block: int = BLOCK) -> DataFrame:
+    """classes (fp, node), nodes distinct -> links (u, v) between nodes: their components are those of all pairs of
+    fingerprints at most ``radius`` bits apart. v is the smallest node of the component inside a bucket."""
+    grouped = _grouped(classes.select("fp", "node"), radius, block)
     return common.map_arrow(grouped, lambda batches: _links(batches, radius), "u long, v long")
 
 
@@ -247,29 +258,137 @@ def similar_links(links: DataFrame, texts: DataFrame, words: int, least: float)
     return common.map_arrow(met, run, "u long, v long")
 
 
+def with_sketches(texts: DataFrame, words: int) -> DataFrame:
+    """texts (node, text) with ``size``, the number of distinct shingles, and ``sketch``: the parity of their count in
+    each of SKETCH_BITS cells. A shingle that two sets do not share flips one bit at most, so sketches never differ in
+    more bits than the sets differ in shingles."""
+
+    def f(batch: list) -> list[pa.Array]:
+        sizes, sketches = [], []
+        for t in batch:
+            own = np.unique(shingle_hashes(t, words))
+            cells = np.bincount((own % np.uint64(SKETCH_BITS)).astype(np.int64), minlength=SKETCH_BITS)
+            sizes.append(len(own))
+            sketches.append(np.packbits((cells & 1).astype(np.uint8)).tobytes())
+        return [pa.array(sizes, type=pa.int32()), pa.array(sketches, type=pa.binary())]
+
+    return common.map_texts(texts, "text", "size int, sketch binary", lambda: f)
+
+
+def open_pairs(fp, group, root, size, sketch, radius: int, least: float, most: int):
+    """Pairs (i, j), i < j, of one group that may be similar and have different roots: at most ``most`` for each j.
+
+    Rows are sorted by group. -> i, j, and the rows j that have further pairs. Fingerprints are at most ``radius`` bits
+    apart, and neither sizes nor sketches rule a similarity of ``least`` out.
+    """
+    n = len(fp)
+    found, seen = [], np.zeros(n, dtype=np.int64)
+    last = np.searchsorted(group, group, side="right")
+    left, step = np.arange(n), 1
+    while len(left := left[left + step < last[left]]):
+        i, j = left, left + step
+        near = (root[i] != root[j]) & (np.bitwise_count(fp[i] ^ fp[j]) <= radius)
+        i, j = i[near], j[near]
+        # sets with a similarity of ``least`` differ in so many shingles at most
+        room = (size[i] + size[j]) * (1 - least) + 1e-6
+        near = np.abs(size[i] - size[j]) * (1 + least) <= room
+        i, j, room = i[near], j[near], room[near]
+        near = np.bitwise_count(sketch[i] ^ sketch[j]).sum(axis=1, dtype=np.int64) * (1 + least) <= room
+        i, j = i[near], j[near]
+        seen[j] += 1
+        within = seen[j] <= most
+        found.append((i[within], j[within]))
+        step += 1
+    i, j = (np.concatenate([np.zeros(0, dtype=np.int64), *x]) for x in zip(*found, strict=True)) if found else (np.zeros(0, dtype=np.int64),) * 2
+    return i, j, np.flatnonzero(seen > most)
+
+
+def unsettled_pairs(candidates: DataFrame, radius: int, least: float, most: int, block: int = BLOCK) -> DataFrame:
+    """candidates (fp, node, root, size, sketch) -> pairs (u, v), u > v, still to be verified, at most ``most`` for each
+    u in a group; a row with u = v says that u has more."""
+    names = ("g", "fp", "node", "root", "size", "sketch")
+
+    def pairs(t: pa.Table) -> pa.RecordBatch:
+        g, fp, node, root, size = (t.column(c).to_numpy() for c in names[:-1])
+        sketch = np.frombuffer(b"".join(t.column("sketch").to_pylist()), dtype=np.uint64).reshape(len(g), -1)
+        i, j, more = open_pairs(fp.view(np.uint64), g, root, size, sketch, radius, least, most)
+        u, v = np.concatenate([node[j], node[more]]), np.concatenate([node[i], node[more]])
+        return pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], names=["u", "v"])
+
+    def run(batches):
+        held = None
+        for b in batches:
+            now = pa.Table.from_batches([pa.RecordBatch.from_arrays(b.columns, names=names)])
+            held = pa.concat_tables([held, now]).combine_chunks() if held is not None and held.num_rows else now
+            if not held.num_rows:
+                continue
+            g = held.column("g").to_numpy()
+            cut = int(np.searchsorted(g, g[-1]))  # the last group may go on in the next batch
+            if cut:
+                yield pairs(held.slice(0, cut))
+                held = held.slice(cut)
+        if held is not None and held.num_rows:
+            yield pairs(held)
+
+    grouped = _grouped(candidates, radius, block).select(*names)
+    return common.map_arrow(grouped, run, "u long, v long")
+
+
+def similar_components(nodes: DataFrame, own: DataFrame, words: int, least: float, radius: int) -> DataFrame:
+    """nodes (node, fp), own (doc_id, text) -> node, root: components of all pairs of nodes within ``radius`` bits whose
+    texts have the similarity. Nodes without such a pair do not appear.
+
+    The links of ``near_links`` are verified first, which settles most groups. Then, in each round, every pair that
+    may be similar and is not in one component of verified links yet is verified, up to a number of partners for each
+    node that grows eightfold, until no node has more: groups of true copies take one round, and the number of rounds
+    is bounded by the size of a group, since a round without limit leaves no pair out.
+    """
+    links = common.materialise(near_links(nodes.select("fp", "node"), radius).distinct(), "links")
+    linked = links.select(F.explode(F.array("u", "v")).alias("node")).distinct()
+    # a node without a link has no other within the radius
+    texts = own.select(F.col("doc_id").alias("node"), "text").join(linked, "node", "left_semi").dropDuplicates(["node"])
+    texts = common.materialise(with_sketches(texts, words), "linked")
+    known = nodes.select("node", "fp").join(texts.select("node", "size", "sketch"), "node")
+    # one link each first; only those that it does not settle look at the rest of their links
+    lowest = links.groupBy("u").agg(F.min("v").alias("v"))
+    first = common.materialise(similar_links(lowest, texts, words, least), "similar")
+    rest = links.join(first.select("u"), "u", "left_anti").join(lowest, ["u", "v"], "left_anti")
+    found = [first, common.materialise(similar_links(rest, texts, words, least), "similar")]
+    most = PARTNERS
+    while True:
+        roots = connected_components(reduce(DataFrame.union, found))
+        settled = known.join(roots, "node", "left").select("fp", "node", F.coalesce("root", "node").alias("root"), "size", "sketch")
+        settled = common.materialise(settled, "settled")
+        pairs = common.materialise(unsettled_pairs(settled, radius, least, most).distinct(), "pairs")
+        common.discard(settled)
+        open_ = pairs.agg(F.count_if(F.expr("u <> v")), F.count_if(F.expr("u = v"))).first()
+        if open_[0]:
+            found.append(common.materialise(similar_links(pairs.filter("u <> v"), texts, words, least), "similar"))
+            roots = connected_components(reduce(DataFrame.union, found))
+        common.discard(pairs)
+        if not open_[1]:
+            common.discard(texts)
+            return roots
+        most *= 8
+
+
 def keep_firsts(
     docs: DataFrame, shingle: int = 5, least: float = 0.8, words: int = 2, radius: int = 8, text: str = "text"
 ) -> DataFrame:
-    """The rows of docs, all columns, without near copies: a document goes if it is a near copy of an earlier one, so of
-    each group the document with the smallest doc_id stays.
+    """The rows of docs, all columns, without near copies: of each group of documents that near copies join, the one
+    with the smallest doc_id stays.
 
     Near copies are documents whose sets of ``shingle``-word shingles have a Jaccard similarity of ``least`` or more.
     They are searched by SimHash: small edits flip few bits of a fingerprint over ``words``-word shingles, so texts that
-    similar lie within ``radius`` bits as a rule (README has the measured share), and the similarity of each is then
-    checked with the smallest doc_id of its component in each bucket, the smallest of all first. Texts that differ in case and white space only are
+    similar lie within ``radius`` bits as a rule (README has the measured share). All pairs within the radius count, and
+    groups are components of those whose similarity is verified. Texts that differ in case and white space only are
     copies. Rows without a doc_id stay; rows of one doc_id are one document and stay or go together.
     """
     own = docs.select("doc_id", F.col(text).alias("text")).filter("doc_id is not null")
     held = common.materialise(with_contents(own, words), "contents")
     nodes = held.groupBy("content").agg(F.min("doc_id").alias("node"), F.first("fp").alias("fp"))
     nodes = common.materialise(nodes.groupBy("node").agg(F.min("fp").alias("fp")), "nodes")
-    links = common.materialise(near_links(nodes.select("fp", "node"), radius).distinct(), "links")
-    texts = own.select(F.col("doc_id").alias("node"), "text").dropDuplicates(["node"])
-    # one link each first; only those that it does not settle look at the rest of their links
-    lowest = links.groupBy("u").agg(F.min("v").alias("v"))
-    first = common.materialise(similar_links(lowest, texts, shingle, least).select("u"), "similar")
-    rest = links.join(first, "u", "left_anti").join(lowest, ["u", "v"], "left_anti")
-    near = first.union(similar_links(rest, texts, shingle, least).select("u"))
+    near = similar_components(nodes, own, shingle, least, radius).filter("node <> root").select(F.col("node").alias("u"))
     later = held.join(nodes.select("node"), held["doc_id"] == F.col("node"), "left_anti").select("doc_id")
     gone = later.union(near).distinct().select(F.col("doc_id").alias("_gone"))
     return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")

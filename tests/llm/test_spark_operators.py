@@ -274,6 +274,53 @@ def test_near_copies_go(spark, odd, empty):
     assert simhash.keep_firsts(empty).count() == 0
 
 
+def similar_roots(rows, least=0.8, radius=8):
+    """Components of all pairs within the radius that have the similarity, by looking at each pair."""
+    ids = sorted(rows)
+    fp = simhash.fingerprints([rows[d] for d in ids], 2)
+    root = {d: d for d in ids}
+    pairs = [(a, b) for i, a in enumerate(ids) for j, b in enumerate(ids[:i]) if int(fp[i] ^ fp[j]).bit_count() <= radius and simhash.similarity(rows[a], rows[b], 5) >= least]
+    for _ in ids:
+        for a, b in pairs:
+            root[a] = root[b] = min(root[a], root[b])
+    return root
+
+
+@pytest.mark.parametrize("partners", [1, 8])
+def test_copies_inside_families_go(spark, monkeypatch, partners):
+    """Variants of one text that are near by fingerprint but not similar, each with a copy; the smallest is alone."""
+    rng = random.Random(4)
+    base = [f"w{rng.randrange(3000)}" for _ in range(600)]
+    rows = {}
+    for k in range(40):
+        words = list(base)
+        for p in rng.sample(range(600), 30):
+            words[p] = f"v{rng.randrange(10**6)}"
+        rows[k] = " ".join(words)
+        if k:
+            words[rng.randrange(600)] = "edited"
+            rows[1000 + k] = " ".join(words)
+    monkeypatch.setattr(simhash, "PARTNERS", partners)
+    want = similar_roots(rows)
+    assert sum(d != r for d, r in want.items()) >= 35
+    df = spark.createDataFrame(list(rows.items()), "doc_id bigint, text string")
+    kept = {r["doc_id"] for r in simhash.keep_firsts(df).collect()}
+    assert kept == {d for d, r in want.items() if d == r}
+
+
+def test_open_pairs_lose_none_that_is_similar():
+    rng = random.Random(8)
+    texts = [" ".join(rng.choices([f"w{k}" for k in range(3 + n % 7)], k=n)) for n in range(60)] + ["", "a"]
+    sets = [np.unique(simhash.shingle_hashes(t, 5)) for t in texts]
+    bits = [np.bincount((x % np.uint64(simhash.SKETCH_BITS)).astype(int), minlength=simhash.SKETCH_BITS) & 1 for x in sets]
+    sketch = np.packbits(np.array(bits, dtype=np.uint8), axis=1).view(np.uint64)
+    zero, n = np.zeros(len(texts), dtype=np.int64), np.array([len(x) for x in sets])
+    i, j, more = simhash.open_pairs(zero.view(np.uint64), zero, np.arange(len(texts)), n, sketch, 8, 0.3, 10**6)
+    got = set(zip(i.tolist(), j.tolist(), strict=True))
+    assert not len(more)
+    assert {(a, b) for b in range(len(texts)) for a in range(b) if simhash.similarity(texts[a], texts[b], 5) >= 0.3} <= got
+
+
 def test_quality_verdicts(spark, odd, labels, empty):
     got = {r["doc_id"]: r for r in quality_rules.quality_verdicts(odd, labels).collect()}
     assert got[2]["base_failed"]
