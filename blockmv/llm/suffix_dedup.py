@@ -19,9 +19,9 @@ hash of its WIDTH bytes, document, position) by multikey quicksort. Neighbours w
 byte; all but the first of a run are removed. The first suffix of a bucket is compared with the last one of the bucket
 before, which settles runs that go over a boundary.
 
-Defined results: null and empty texts, and texts under WIDTH bytes, lose nothing; doc_id is the key of a document, so
-rows that repeat a doc_id are taken to repeat its text and get equal results; a null doc_id sorts before all others; an
-empty table gives no rows. Memory of a task: its bucket, and one portion of texts.
+Defined results: null and empty texts, and texts under WIDTH bytes, lose nothing; rows that repeat a doc_id and its text
+are one document and get equal results; differing texts of one doc_id, or without doc_id, are documents of their own, in
+the order of their SHA-256; a null doc_id sorts before all others; an empty table gives no rows. Memory of a task: its bucket, and one portion of texts.
 """
 
 from __future__ import annotations
@@ -55,6 +55,8 @@ _ODD = [np.uint64(xxhash.xxh64_intdigest(bytes([k]), 13) | 1) for k in range(8)]
 NULL_ID = -(1 << 63)
 #: Name of the column of stretches, which is read by its place only.
 CUT = "_stretches_of_this_document"
+#: Name of the column with the key of a row's document, which keeps the order of documents.
+KEY = "_key_of_this_document"
 
 
 # ---- hashes of substrings ------------------------------------------------------------------------------------------
@@ -377,8 +379,8 @@ def _sorted_strings(batches, splitters: Splitters) -> Iterator[pa.RecordBatch]:
     d2, p2 = d2[by], p2[by]
     # strings that overlap or touch make one stretch
     new = np.flatnonzero(np.concatenate([[True], (d2[1:] != d2[:-1]) | (p2[1:] > p2[:-1] + WIDTH)])) if len(d2) else np.zeros(0, dtype=np.int64)
-    last = np.append(new[1:], len(d2)) - 1
     m = len(new)
+    last = np.append(new[1:], len(d2))[:m] - 1
     strings = [data[w : w + WIDTH].tobytes() for w in where[[0, -1]]]
     yield pa.RecordBatch.from_arrays(
         [
@@ -421,11 +423,38 @@ def _keys(df: DataFrame, f, buckets: int) -> list[tuple[int, int, int, int]]:
     return [(r["t"] & wrap, r["s"] & wrap, r["doc"], r["at"]) for r in got]
 
 
-def repeated_stretches(docs: DataFrame) -> DataFrame:
-    """docs (doc_id, text) -> doc (NULL_ID for null), begin, end: byte stretches to remove; they may overlap."""
+def _numbered(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """docs (doc_id, text, ...) -> docs with KEY, and its texts (doc, text), one row per document.
+
+    Where no two rows share a doc_id, it is the key. Otherwise the distinct (doc_id, text) are numbered in their order.
+    """
     spark = docs.sparkSession
-    texts = docs.select(F.coalesce("doc_id", F.lit(NULL_ID)).alias("doc"), "text")
-    buckets = _buckets(docs)
+    plain = F.coalesce("doc_id", F.lit(NULL_ID))
+    if not docs.groupBy(plain.alias("doc")).count().filter("count > 1").limit(1).count():
+        own = docs.withColumn(KEY, plain)
+        return own, own.select(F.col(KEY).alias("doc"), "text")
+    digest = F.sha2(docs["text"], 256)
+    some = docs.select("doc_id", digest.alias("digest")).distinct()
+    order = (F.col("doc_id").asc_nulls_first(), F.col("digest").asc_nulls_first())
+    ranged = some.repartitionByRange(_buckets(docs), *order).sortWithinPartitions(*order)
+    # the low 33 bits of the id count the rows of a partition
+    place = F.monotonically_increasing_id()
+    ranged = common.materialise(ranged.select("doc_id", "digest", F.shiftright(place, 33).alias("part"), place.bitwiseAND(F.lit((1 << 33) - 1)).alias("at")), "documents")
+    offsets, total = [], 0
+    for r in ranged.groupBy("part").count().orderBy("part").collect():
+        offsets.append((r["part"], total))
+        total += r["count"]
+    first = spark.createDataFrame(offsets, "part long, first long")
+    keys = ranged.join(F.broadcast(first), "part").select("doc_id", "digest", (F.col("first") + F.col("at")).alias("doc"))
+    met = docs.join(keys, docs["doc_id"].eqNullSafe(keys["doc_id"]) & digest.eqNullSafe(keys["digest"]))
+    own = met.select(*[docs[c] for c in docs.columns], keys["doc"].alias(KEY))
+    return own, common.materialise(own.select(F.col(KEY).alias("doc"), "text").dropDuplicates(["doc"]), "texts")
+
+
+def repeated_stretches(texts: DataFrame) -> DataFrame:
+    """texts (doc, text), doc distinct and in order -> doc, begin, end: byte stretches to remove; they may overlap."""
+    spark = texts.sparkSession
+    buckets = _buckets(texts)
 
     def span_keys(batches):
         for r in spans_of(batches):
@@ -478,12 +507,13 @@ def cut_out(raw: bytes, stretches: list[tuple[int, int]]) -> tuple[list[tuple[in
     return [(a, b) for a, b in runs], b"".join(kept)
 
 
-def _attached(docs: DataFrame, stretches: DataFrame) -> DataFrame:
-    """docs with a last column: all stretches of the document."""
-    packed = stretches.select("doc", (F.col("begin") * 65536 * 65536 + F.col("end")).alias("x"))
-    per_doc = packed.groupBy("doc").agg(F.collect_list("x").alias("x"))
-    met = docs.join(per_doc, F.coalesce(docs["doc_id"], F.lit(NULL_ID)) == per_doc["doc"], "left")
-    return met.select(*[docs[c] for c in docs.columns], per_doc["x"].alias(CUT))
+def _attached(docs: DataFrame) -> DataFrame:
+    """docs (doc_id, text, ...) with a last column: all stretches of the document."""
+    own, texts = _numbered(docs)
+    packed = repeated_stretches(texts).select("doc", (F.col("begin") * 65536 * 65536 + F.col("end")).alias("x"))
+    per_doc = packed.groupBy("doc").agg(F.collect_list("x").alias("x")).select(F.col("doc").alias("key"), "x")
+    met = own.join(per_doc, own[KEY] == per_doc["key"], "left")
+    return met.select(*[own[c] for c in docs.columns], per_doc["x"].alias(CUT))
 
 
 def _ranges(cut: list[int] | None) -> list[tuple[int, int]]:
@@ -504,9 +534,8 @@ def removal_report(docs: DataFrame) -> DataFrame:
             types = [pa.int64()] * 4 + [pa.string()]
             yield pa.RecordBatch.from_arrays([pa.array(c, type=t) for c, t in zip(cols, types, strict=True)], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
-    own = docs.select("doc_id", "text")
     ddl = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
-    return common.map_arrow(_attached(own, repeated_stretches(own)), run, ddl)
+    return common.map_arrow(_attached(docs.select("doc_id", "text")), run, ddl)
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
@@ -515,7 +544,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     A stretch may begin or end inside a character: what is left of a cut character is removed as well. Null texts stay
     null; a text that is removed whole becomes empty. Other columns are not touched.
     """
-    found = _attached(docs, repeated_stretches(docs.select("doc_id", "text")))
+    found = _attached(docs)
     names, at = docs.columns, docs.columns.index("text")
 
     def run(batches):

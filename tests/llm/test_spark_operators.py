@@ -81,6 +81,22 @@ def test_suffix_dedup_equals_brute_force(spark, odd):
     assert len(kept) == len(rows)
 
 
+def test_suffix_dedup_of_repeated_and_missing_ids(spark):
+    """A row that comes twice is one document; texts without doc_id, or of one doc_id, are told apart."""
+    rng = random.Random(12)
+    a, b, c, d = ("".join(rng.choices("abcdefgh ", k=400)) for _ in range(4))
+    rows = [(1, a), (1, a), (2, b + a[50:250]), (3, c), (3, c[:150] + d), (3, c), (-(1 << 63), b[:300]), (7, None), (7, "")]
+    rows += [(None, d), (None, d[100:350] + b), (None, a[:130] + "é" * 99), (None, None), (None, d)]
+    keys = sorted(set(rows), key=lambda r: (r[0] is not None, r[0] or 0, hashlib.sha256((r[1] or "").encode()).hexdigest() if r[1] is not None else ""))
+    found = brute_removal([(k, t) for k, (_, t) in enumerate(keys)])
+    want = sorted(((d or 0), *found[keys.index((d, t))]) for d, t in rows)
+    df = spark.createDataFrame(rows, "doc_id bigint, text string").repartition(3)
+    assert sorted((r[0] or 0, *r[1:]) for r in map(tuple, suffix_dedup.removal_report(df).collect())) == want
+    kept = suffix_dedup.remove_repeats(df).collect()
+    assert [r["text"] for r in kept if r["doc_id"] == 1] == [a[130:]] * 2  # the rest stands in a row without doc_id
+    assert len(kept) == len(rows)
+
+
 def test_suffix_dedup_over_many_buckets(spark):
     """One passage in every document: the run is split, and settled over the boundaries."""
     rng = random.Random(9)
