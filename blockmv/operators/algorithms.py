@@ -63,41 +63,51 @@ def random_walk_with_restart(edges: DataFrame, vertices: DataFrame, seeds: Colum
     return run(stochastic(edges, weighted), vertices, start, A.restart_algebra(restart, seeds, share), max_iter=iters, **how)
 
 
+def _fixpoint(edges: DataFrame, vertices: DataFrame, start: DataFrame, algebra: A.Algebra, max_iter: int | None, **how) -> Result:
+    """Rounds until nothing changes: no path without a cycle is longer than the number of vertices. Raises if
+    ``max_iter`` rounds do not suffice; only a budget of seconds may end earlier, with its status."""
+    rounds = vertices.count() + 1 if max_iter is None else max_iter
+    out = run(edges, vertices, start, algebra, max_iter=rounds, tol=0.0, **how)
+    if out.status == "done":
+        raise RuntimeError(f"values did not settle in {rounds} rounds")
+    return out
+
+
 def _from_source(vertices: DataFrame, source: int) -> DataFrame:
     return vertices.select("node", F.when(F.col("node") == source, F.lit(0.0)).otherwise(F.lit(A.INF)).alias("val"))
 
 
-def shortest_paths(edges: DataFrame, vertices: DataFrame, source: int, max_iter: int = 100, check: bool = True, **how) -> Result:
+def shortest_paths(edges: DataFrame, vertices: DataFrame, source: int, max_iter: int | None = None, check: bool = True, **how) -> Result:
     """Distances from one vertex; infinity where there is no path. Negative weights are refused."""
     if check and edges.filter("w < 0").limit(1).count():
         raise ValueError("negative weights")
-    return run(edges, vertices, _from_source(vertices, source), A.distance_algebra(), max_iter=max_iter, tol=0.0, **how)
+    return _fixpoint(edges, vertices, _from_source(vertices, source), A.distance_algebra(), max_iter, **how)
 
 
-def hop_levels(edges: DataFrame, vertices: DataFrame, source: int, max_iter: int = 100, **how) -> Result:
-    return run(edges, vertices, _from_source(vertices, source), A.hop_algebra(), max_iter=max_iter, tol=0.0, **how)
+def hop_levels(edges: DataFrame, vertices: DataFrame, source: int, max_iter: int | None = None, **how) -> Result:
+    return _fixpoint(edges, vertices, _from_source(vertices, source), A.hop_algebra(), max_iter, **how)
 
 
-def reachable(edges: DataFrame, vertices: DataFrame, source: int, max_iter: int = 100, **how) -> Result:
+def reachable(edges: DataFrame, vertices: DataFrame, source: int, max_iter: int | None = None, **how) -> Result:
     start = vertices.select("node", (F.col("node") == source).alias("val"))
-    return run(edges, vertices, start, A.reach_algebra(), max_iter=max_iter, tol=0.0, **how)
+    return _fixpoint(edges, vertices, start, A.reach_algebra(), max_iter, **how)
 
 
-def widest_paths(edges: DataFrame, vertices: DataFrame, source: int, max_iter: int = 100, **how) -> Result:
+def widest_paths(edges: DataFrame, vertices: DataFrame, source: int, max_iter: int | None = None, **how) -> Result:
     start = vertices.select("node", F.when(F.col("node") == source, F.lit(A.INF)).otherwise(F.lit(-A.INF)).alias("val"))
-    return run(edges, vertices, start, A.widest_algebra(), max_iter=max_iter, tol=0.0, **how)
+    return _fixpoint(edges, vertices, start, A.widest_algebra(), max_iter, **how)
 
 
-def components(edges: DataFrame, vertices: DataFrame, max_iter: int = 200, symmetric: bool = False, **how) -> Result:
+def components(edges: DataFrame, vertices: DataFrame, max_iter: int | None = None, symmetric: bool = False, **how) -> Result:
     """The smallest id of each vertex's component. Edges are taken both ways unless they already come so."""
     both = edges if symmetric else symmetrise(edges)
     start = vertices.select("node", F.col("node").alias("val"))
-    return run(both, vertices, start, A.label_algebra(), max_iter=max_iter, tol=0.0, **how)
+    return _fixpoint(both, vertices, start, A.label_algebra(), max_iter, **how)
 
 
-def largest_labels(edges: DataFrame, vertices: DataFrame, max_iter: int = 200, **how) -> Result:
+def largest_labels(edges: DataFrame, vertices: DataFrame, max_iter: int | None = None, **how) -> Result:
     start = vertices.select("node", F.col("node").alias("val"))
-    return run(edges, vertices, start, A.label_algebra(largest=True), max_iter=max_iter, tol=0.0, **how)
+    return _fixpoint(edges, vertices, start, A.label_algebra(largest=True), max_iter, **how)
 
 
 def walk_counts(edges: DataFrame, vertices: DataFrame, length: int, **how) -> Result:

@@ -98,6 +98,16 @@ def test_hops_distances_and_labels(toy):
     assert set(values(al.reachable(*toy, source=4, b=3, placement="vertical").state).values()) == {True}
 
 
+def test_long_chains_settle(spark):
+    nodes = spark.range(104).withColumnRenamed("id", "node")
+    edges = spark.range(103).selectExpr("id AS src", "id + 1 AS dst", "1.0D AS w").cache()
+    assert values(al.hop_levels(edges, nodes.cache(), source=0, b=1, placement="vertical").state) == {k: k for k in range(104)}
+    with pytest.raises(RuntimeError):
+        al.components(edges, nodes, max_iter=2, b=1, placement="vertical")
+    with pytest.raises(RuntimeError):
+        al.reachable(edges, nodes, source=0, max_iter=3, b=1, placement="vertical")
+
+
 def test_negative_weights_are_refused(spark, toy):
     with pytest.raises(ValueError, match="negative"):
         al.shortest_paths(toy[0].withColumn("w", F.lit(-1.0)), toy[1], source=1)
