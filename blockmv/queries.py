@@ -608,13 +608,13 @@ def _threshold(spark: SparkSession, d: str) -> DataFrame:
 def _balance(spark: SparkSession, d: str) -> DataFrame:
     from .experiments import balance
 
-    return balance(spark, d, workers=(4, 16))
+    return balance(spark, d)
 
 
 def _engines(spark: SparkSession, d: str) -> DataFrame:
     from .experiments import engines
 
-    return engines(spark, d, iters=1, fractions=(1.0,)).drop("seconds")
+    return engines(spark, d).drop("seconds")
 
 
 for _name, _f in (("growing", _growing), ("density", _density), ("threshold", _threshold), ("balance", _balance), ("engines", _engines)):

@@ -182,3 +182,10 @@ def test_rounds_leave_one_checkpoint(spark, toy):
     out = al.pagerank(*toy, iters=5, placement="vertical", b=2)
     assert count() == before + 1
     assert len(values(out.state)) == 6
+
+
+def test_balance_and_engines_are_registered_in_full(spark):
+    from blockmv import queries
+
+    assert queries._balance(spark, "/root/testdata/sf0.001").count() == 5
+    assert {r["fraction"] for r in queries._engines(spark, "/root/testdata/sf0.001").select("fraction").distinct().collect()} == {0.5, 1.0}
