@@ -4,11 +4,15 @@ A fingerprint has a bit where over half the shingle hashes have it. Documents wi
 Classes are compared as follows, without loss:
 
 * The 64 bits are cut into ``radius + equal`` blocks. Two fingerprints at most ``radius`` apart agree on ``equal``
-  blocks at least, so they meet in one of the buckets keyed by a choice of blocks. ``equal`` follows from the number
-  of classes and changes the cost only.
-* In a bucket, each fingerprint has a row of distances to fixed reference fingerprints (the pivot table). By the
-  triangle inequality a pair with a coordinate difference over ``radius`` is discarded; survivors are verified.
-* Buckets over BLOCK rows are cut into blocks, and each pair of blocks is a group of its own.
+  blocks at least, so they meet in one of the buckets keyed by a choice of blocks. ``equal`` is a parameter and does not
+  depend on the data: a row is written as many times for ten documents as for ten billion. Buckets of random
+  fingerprints hold rows / 2**(64 * equal / (radius + equal)) rows; take one block more where that gets large.
+* In a bucket, each fingerprint has a row of distances to PIVOTS fixed reference fingerprints (the pivot table). Rows
+  are sorted by the first distance and swept: candidates are the pairs whose first distances differ by the radius at
+  most, and by the triangle inequality those with a difference over the radius in any other coordinate are discarded.
+  Survivors are verified by their Hamming distance.
+* Buckets over BLOCK rows are cut into blocks, and each pair of blocks is a group of its own. Large buckets are found by
+  counting the buckets of a sample; it decides how the work is dealt, never what is compared.
 * Pairs of one component are not looked at again; of each group only a link per row to the smallest node of its
   component leaves the task. Components of the whole come from star contractions.
 
@@ -33,9 +37,15 @@ from .components import connected_components
 
 SEED = 42
 RADIUS = 4
+#: Agreeing blocks of a bucket: 35 buckets a fingerprint at the radius of 4, of 27 equal bits each.
+EQUAL = 3
+#: Removal searches by several fingerprints of a text, with hashes mixed anew, each in 28 buckets of 16 equal bits.
+REMOVAL_SEEDS, REMOVAL_RADIUS, REMOVAL_EQUAL = 4, 6, 2
 #: Rows of a bucket that are compared in one task; larger buckets are cut into pairs of blocks.
 BLOCK = 2048
-PIVOTS = 8
+#: One of so many nodes is counted to find the buckets over BLOCK rows, and most of these that are broadcast.
+COUNTED_SHARE, MAX_BROADCAST = 16, 200_000
+PIVOTS = 24
 #: Reference fingerprints: the first outputs of a 64-bit mixing of 1, 2, 3, ...
 _REFERENCES = np.array([xxhash.xxh64_intdigest(str(k), 7) for k in range(1, PIVOTS + 1)], dtype=np.uint64)
 #: Bits of the parity sketch of a shingle set, and partners that a document is given in the first verifying round.
@@ -57,14 +67,29 @@ def shingle_hashes(text: str | None, words: int) -> np.ndarray:
     return np.array([h(line[a:b], SEED) for a, b in zip(begins, ends[words - 1 :].tolist(), strict=True)], dtype=np.uint64)
 
 
-def fingerprints(texts: list[str | None], words: int) -> np.ndarray:
+def _mixed(hashes: np.ndarray, seed: int) -> np.ndarray:
+    """The hashes themselves for seed 0, other hashes of the same shingles for other seeds."""
+    if not seed:
+        return hashes
+    x = hashes ^ np.uint64(xxhash.xxh64_intdigest(str(seed), 9))
+    x = x * np.uint64(0xBF58476D1CE4E5B9)
+    x ^= x >> np.uint64(31)
+    x *= np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(29))
+
+
+def fingerprints(texts: list[str | None], words: int, seed: int = 0) -> np.ndarray:
     """Unsigned 64-bit fingerprints, one per text."""
-    hashes = [shingle_hashes(t, words) for t in texts]
+    return _folded([shingle_hashes(t, words) for t in texts], seed)
+
+
+def _folded(hashes: list[np.ndarray], seed: int) -> np.ndarray:
     counts = np.array([len(h) for h in hashes], dtype=np.int64)
-    out = np.zeros(len(texts), dtype=np.uint64)
+    out = np.zeros(len(hashes), dtype=np.uint64)
     full = np.flatnonzero(counts)
     if len(full):
-        bits = np.unpackbits(np.concatenate(hashes).astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+        flat = _mixed(np.concatenate(hashes), seed)
+        bits = np.unpackbits(flat.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
         starts = np.concatenate([[0], np.cumsum(counts[full])[:-1]])
         ones = np.add.reduceat(bits, starts, axis=0, dtype=np.int32)
         over = (2 * ones > counts[full][:, None]).astype(np.uint8)
@@ -72,10 +97,10 @@ def fingerprints(texts: list[str | None], words: int) -> np.ndarray:
     return out
 
 
-def with_fingerprints(docs: DataFrame, words: int = 4, text: str = "text") -> DataFrame:
-    """docs with ``fp`` appended: the fingerprint's 64 bits as a (signed) long."""
+def with_fingerprints(docs: DataFrame, words: int = 4, text: str = "text", name: str = "fp") -> DataFrame:
+    """docs with a column appended, ``fp`` unless named otherwise: the fingerprint's 64 bits as a (signed) long."""
     return common.map_texts(
-        docs, text, "fp long", lambda: lambda texts: [pa.array(fingerprints(texts, words).view(np.int64))]
+        docs, text, f"{name} long", lambda: lambda texts: [pa.array(fingerprints(texts, words).view(np.int64))]
     )
 
 
@@ -90,11 +115,6 @@ def block_masks(radius: int, equal: int) -> list[int]:
     return [sum(c) for c in combinations(blocks, equal)]
 
 
-def blocks_for(rows: int, radius: int) -> int:
-    """The fewest agreeing blocks at which a bucket of random fingerprints has 256 rows or fewer; 4 at most."""
-    return next((e for e in (1, 2, 3) if rows >> (64 * e // (radius + e)) <= 256), 4)
-
-
 def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
@@ -116,10 +136,53 @@ def _settle(label: np.ndarray, i: np.ndarray, j: np.ndarray) -> None:
             label[:] = up
 
 
+def pivot_table(fp: np.ndarray) -> np.ndarray:
+    """Distances of each fingerprint to the reference fingerprints, one row per fingerprint."""
+    return np.bitwise_count(fp[:, None] ^ _REFERENCES[None, :]).astype(np.int8)
+
+
+def undiscarded(table: np.ndarray, i: np.ndarray, j: np.ndarray, radius: int, first: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """The pairs (i, j) whose distances to every reference from ``first`` on differ by the radius at most."""
+    for p in range(first, table.shape[1]):
+        near = np.abs(table[i, p] - table[j, p]) <= radius
+        i, j = i[near], j[near]
+    return i, j
+
+
+def sweep_order(fp: np.ndarray, group: np.ndarray) -> np.ndarray:
+    """Order by group, then by the distance to the first reference."""
+    return np.lexsort([np.bitwise_count(fp ^ _REFERENCES[0]), group])
+
+
+def swept(fp: np.ndarray, group: np.ndarray, radius: int, wanted):
+    """Pairs (i, j), i < j, of one group at most ``radius`` bits apart. Rows are in sweep order.
+
+    A row is compared with those behind it until their first distances differ by more than the radius. ``wanted`` is
+    asked with (i, j), or with (i, None) for the rows that are still open, and says which to go on with.
+    """
+    n = len(fp)
+    table = pivot_table(fp)
+    left, step = np.arange(n), 1
+    while True:
+        left = left[left + step < n]
+        left = left[(group[left] == group[left + step]) & (table[left + step, 0] - table[left, 0] <= radius)]
+        if step & (step - 1) == 0 and len(left):
+            left = left[wanted(left, None)]
+        if not len(left):
+            return
+        i, j = left, left + step
+        ask = wanted(i, j)
+        i, j = undiscarded(table, i[ask], j[ask], radius, 1)
+        near = np.bitwise_count(fp[i] ^ fp[j]) <= radius
+        if near.any():
+            yield i[near], j[near]
+        step += 1
+
+
 def link_labels(fp: np.ndarray, group: np.ndarray, radius: int) -> np.ndarray:
     """Smallest index of each row's component under all links of at most ``radius`` bits inside its group.
 
-    Rows are sorted by group. Pairs that are in one component already are passed over, and groups that have become
+    Rows are in sweep order. Pairs that are in one component already are passed over, and groups that have become
     one component are left out from then on: a group of near copies takes a few steps, not all its pairs.
     """
     n = len(fp)
@@ -128,85 +191,91 @@ def link_labels(fp: np.ndarray, group: np.ndarray, radius: int) -> np.ndarray:
         return label
     begin = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
     number = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, n)))
-    table = np.bitwise_count(fp[:, None] ^ _REFERENCES[None, :]).astype(np.int8)
-    left, step = np.arange(n), 1
-    while len(left):
-        left = left[left + step < n]
-        left = left[number[left] == number[left + step]]
-        i, j = left, left + step
-        apart = label[i] != label[j]
-        i, j = i[apart], j[apart]
-        for p in range(PIVOTS):
-            near = np.abs(table[i, p] - table[j, p]) <= radius
-            i, j = i[near], j[near]
-        near = np.bitwise_count(fp[i] ^ fp[j]) <= radius
-        if near.any():
-            _settle(label, i[near], j[near])
-        if step & (step - 1) == 0:
-            open_ = ~np.logical_and.reduceat(label == begin[number], begin)
-            left = left[open_[number[left]]]
-        step += 1
+
+    def wanted(i, j):
+        if j is not None:
+            return label[i] != label[j]
+        open_ = ~np.logical_and.reduceat(label == begin[number], begin)
+        return open_[number[i]]
+
+    for i, j in swept(fp, group, radius, wanted):
+        _settle(label, i, j)
     return label
 
 
+def _whole_groups(batches, names: tuple[str, ...]):
+    """Batches sorted by their first column -> tables that hold whole runs of it."""
+    held = None
+    for b in batches:
+        now = pa.Table.from_batches([pa.RecordBatch.from_arrays(b.columns, names=names)])
+        held = pa.concat_tables([held, now]).combine_chunks() if held is not None and held.num_rows else now
+        if not held.num_rows:
+            continue
+        g = held.column(names[0]).to_numpy()
+        cut = int(np.searchsorted(g, g[-1]))  # the last group may go on in the next batch
+        if cut:
+            yield held.slice(0, cut)
+            held = held.slice(cut)
+    if held is not None and held.num_rows:
+        yield held
+
+
 def _links(batches, radius: int):
-    """From batches (g, fp, node) sorted by g and node inside the task: forest links (u, v) of every group.
+    """From batches (g, fp, node) sorted by g inside the task: forest links (u, v) of every group.
 
     v is the smallest node that links inside the group reach from u.
     """
-
-    def linked(g: np.ndarray, fp: np.ndarray, node: np.ndarray):
+    for t in _whole_groups(batches, ("g", "fp", "node")):
+        g, fp, node = (c.to_numpy() for c in t.columns)
+        order = sweep_order(fp.view(np.uint64), g)
+        g, fp, node = g[order], fp[order], node[order]
         label = link_labels(fp.view(np.uint64), g, radius)
-        child = np.flatnonzero(label != np.arange(len(fp)))
-        return pa.RecordBatch.from_arrays([pa.array(node[child]), pa.array(node[label[child]])], names=["u", "v"])
+        low = node.copy()
+        np.minimum.at(low, label, node)
+        child = np.flatnonzero(low[label] != node)
+        yield pa.RecordBatch.from_arrays([pa.array(node[child]), pa.array(low[label[child]])], names=["u", "v"])
 
-    held = [np.zeros(0, dtype=np.int64)] * 3
-    for b in batches:
-        rows = [np.concatenate([h, c.to_numpy()]) for h, c in zip(held, b.columns, strict=True)]
-        if not len(rows[0]):
-            continue
-        cut = int(np.searchsorted(rows[0], rows[0][-1]))  # the last group may go on in the next batch
-        if cut:
-            yield linked(*(r[:cut] for r in rows))
-        held = [r[cut:] for r in rows]
-    if len(held[0]):
-        yield linked(*held)
-
-
-def _grouped(classes: DataFrame, radius: int, block: int) -> DataFrame:
-    """classes (fp, node, ...) -> g, fp, node, ...: one row per group that a row is compared in, sorted by g and node."""
-    rows = classes.count()
-    others = [c for c in classes.columns if c not in ("fp", "node")]
-    masks = block_masks(radius, blocks_for(rows, radius))
-    keys = F.array(
-        *[F.struct(F.lit(k).alias("mask"), F.col("fp").bitwiseAND(F.lit(_signed(m)).cast("long")).alias("bits")) for k, m in enumerate(masks)]
+
+def _grouped(classes: DataFrame, radius: int, equal: int, block: int) -> DataFrame:
+    """classes (fps, node, ...) -> g, fp, node, ...: one row per group that a row is compared in, sorted by g.
+
+    fps: an array of fingerprints; the k-th ones of two rows are compared with each other.
+    """
+    others = [c for c in classes.columns if c not in ("fps", "node")]
+    masks = F.array(*[F.lit(_signed(m)).cast("long") for m in block_masks(radius, equal)])
+    buckets = F.flatten(
+        F.transform(
+            "fps",
+            lambda fp, k: F.transform(masks, lambda m, at: F.struct(F.xxhash64(k, at, fp.bitwiseAND(m)).alias("bucket"), fp.alias("fp"))),
+        )
     )
-    spread = classes.select("fp", "node", *others, F.explode(keys).alias("key"))
-    spread = spread.select("fp", "node", *others, "key.mask", "key.bits")
-    sizes = spread.groupBy("mask", "bits").count().filter("count > 1")
-    # the same in-bucket cut for every size: one block up to ``block`` rows
-    cut = spread.join(sizes, ["mask", "bits"]).withColumn("m", F.ceil(F.col("count") / block).cast("int"))
+    spread = classes.select("node", *others, F.explode(buckets).alias("x")).select("x.bucket", "x.fp", "node", *others)
+    # buckets that collide in their hash are compared with each other as well, which is harmless
+    counted = spread.filter(F.pmod(F.xxhash64("node", F.lit(77)), F.lit(COUNTED_SHARE)) == 0).groupBy("bucket").count()
+    blocks = F.ceil(F.col("count") * COUNTED_SHARE / block).cast("int")
+    large = common.materialise(counted.select(F.col("bucket").alias("b"), blocks.alias("m")).filter("m > 1"), "large")
+    known = F.broadcast(large) if large.count() <= MAX_BROADCAST else large
+    met = spread.join(known, spread["bucket"] == known["b"], "left")
     own = F.pmod(F.xxhash64("fp", "node", F.lit(3)), F.col("m")).cast("int")
-    other = F.explode(F.sequence(F.lit(0), F.col("m") - 1))
-    pairs = cut.select("fp", "node", *others, "mask", "bits", "m", own.alias("own"), other.alias("other"))
     # a pair of two blocks holds what each of them holds
-    pairs = pairs.filter("m = 1 or own <> other")
-    group = F.xxhash64("mask", "bits", F.least("own", "other"), F.greatest("own", "other"))
-    # groups that collide in this hash are compared with each other as well, which is harmless
-    return pairs.select(group.alias("g"), "fp", "node", *others).repartition("g").sortWithinPartitions("g", "node")
+    pair = lambda k: F.xxhash64("bucket", F.least("own", k), F.greatest("own", k))
+    other = F.filter(F.sequence(F.lit(0), F.col("m") - 1), lambda k: k != F.col("own"))
+    groups = F.when(F.col("m").isNull(), F.array("bucket")).otherwise(F.transform(other, pair))
+    dealt = met.withColumn("own", own).select(F.explode(groups).alias("g"), "fp", "node", *others)
+    return dealt.repartition("g").sortWithinPartitions("g")
 
 
-def near_links(classes: DataFrame, radius: int = RADIUS, block: int = BLOCK) -> DataFrame:
-    """classes (fp, node), nodes distinct -> links (u, v) between nodes: their components are those of all pairs of
-    fingerprints at most ``radius`` bits apart. v is the smallest node of the component inside a bucket."""
-    grouped = _grouped(classes.select("fp", "node"), radius, block)
+def near_links(classes: DataFrame, radius: int = RADIUS, equal: int = EQUAL, block: int = BLOCK) -> DataFrame:
+    """classes (fps, node), nodes distinct -> links (u, v) between nodes: their components are those of all pairs of
+    k-th fingerprints at most ``radius`` bits apart. v is the smallest node of the component inside a bucket."""
+    grouped = _grouped(classes.select("fps", "node"), radius, equal, block)
     return common.map_arrow(grouped, lambda batches: _links(batches, radius), "u long, v long")
 
 
 def near_duplicates(fingerprinted: DataFrame, radius: int = RADIUS) -> DataFrame:
     """(doc_id, fp), durable -> doc_id, fp, component_id: the smallest doc_id that links of at most ``radius`` bits reach."""
     classes = common.materialise(fingerprinted.groupBy("fp").agg(F.min("doc_id").alias("first")), "classes")
-    member = connected_components(near_links(classes.select("fp", F.col("fp").alias("node")), radius))
+    member = connected_components(near_links(classes.select(F.array("fp").alias("fps"), F.col("fp").alias("node")), radius))
     rooted = classes.join(member, classes["fp"] == member["node"], "left").select(
         "fp", "first", F.coalesce("root", "fp").alias("root")
     )
@@ -228,14 +297,17 @@ def _normal(text: str | None) -> bytes:
     return b" ".join((text or "").encode().lower().split())
 
 
-def with_contents(docs: DataFrame, words: int) -> DataFrame:
-    """docs (doc_id, text) -> doc_id, fp, content: two hashes of the lower-cased words, equal for equal word sequences."""
+def with_contents(docs: DataFrame, words: int, seeds: int) -> DataFrame:
+    """docs (doc_id, text) -> doc_id, fps, content: fingerprints, and a hash of the lower-cased words that is equal for
+    equal word sequences."""
 
     def f(texts: list) -> list[pa.Array]:
         content = [xxhash.xxh3_128_digest(_normal(t)) for t in texts]
-        return [pa.array(fingerprints(texts, words).view(np.int64)), pa.array(content, type=pa.binary())]
+        hashes = [shingle_hashes(t, words) for t in texts]
+        fps = np.stack([_folded(hashes, k).view(np.int64) for k in range(seeds)], axis=1)
+        return [pa.array(list(fps), type=pa.list_(pa.int64())), pa.array(content, type=pa.binary())]
 
-    return common.map_texts(docs.select("doc_id", "text"), "text", "fp long, content binary", lambda: f).drop("text")
+    return common.map_texts(docs.select("doc_id", "text"), "text", "fps array<long>, content binary", lambda: f).drop("text")
 
 
 def similarity(a: str | None, b: str | None, words: int) -> float:
@@ -275,95 +347,101 @@ def with_sketches(texts: DataFrame, words: int) -> DataFrame:
     return common.map_texts(texts, "text", "size int, sketch binary", lambda: f)
 
 
-def open_pairs(fp, group, root, size, sketch, radius: int, least: float, most: int):
-    """Pairs (i, j), i < j, of one group that may be similar and have different roots: at most ``most`` for each j.
+def open_pairs(fp, group, root, size, radius: int, least: float, most: int):
+    """Pairs (i, j) of one group that may be similar and have different roots: at most ``most`` for each j.
 
-    Rows are sorted by group. -> i, j, and the rows j that have further pairs. Fingerprints are at most ``radius`` bits
-    apart, and neither sizes nor sketches rule a similarity of ``least`` out.
+    Rows are in sweep order. -> i, j, and the rows j that have further pairs. Fingerprints are at most ``radius`` bits
+    apart, and the sizes do not rule a similarity of ``least`` out. Groups of one root are left out as a whole.
     """
-    n = len(fp)
-    found, seen = [], np.zeros(n, dtype=np.int64)
-    last = np.searchsorted(group, group, side="right")
-    left, step = np.arange(n), 1
-    while len(left := left[left + step < last[left]]):
-        i, j = left, left + step
-        near = (root[i] != root[j]) & (np.bitwise_count(fp[i] ^ fp[j]) <= radius)
-        i, j = i[near], j[near]
+    seen = np.zeros(len(fp), dtype=np.int64)
+    none = np.zeros(0, dtype=np.int64)
+    if not len(fp):
+        return none, none, none
+    begin = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
+    number = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, len(group))))
+    mixed = np.minimum.reduceat(root, begin) != np.maximum.reduceat(root, begin)
+
+    def wanted(i, j):
+        if j is None:
+            return mixed[number[i]]
         # sets with a similarity of ``least`` differ in so many shingles at most
         room = (size[i] + size[j]) * (1 - least) + 1e-6
-        near = np.abs(size[i] - size[j]) * (1 + least) <= room
-        i, j, room = i[near], j[near], room[near]
-        near = np.bitwise_count(sketch[i] ^ sketch[j]).sum(axis=1, dtype=np.int64) * (1 + least) <= room
-        i, j = i[near], j[near]
+        return (root[i] != root[j]) & (np.abs(size[i] - size[j]) * (1 + least) <= room)
+
+    found = [(none, none)]
+    for i, j in swept(fp, group, radius, wanted):
         seen[j] += 1
         within = seen[j] <= most
         found.append((i[within], j[within]))
-        step += 1
-    i, j = (np.concatenate([np.zeros(0, dtype=np.int64), *x]) for x in zip(*found, strict=True)) if found else (np.zeros(0, dtype=np.int64),) * 2
+    i, j = (np.concatenate(x) for x in zip(*found, strict=True))
     return i, j, np.flatnonzero(seen > most)
 
 
-def unsettled_pairs(candidates: DataFrame, radius: int, least: float, most: int, block: int = BLOCK) -> DataFrame:
-    """candidates (fp, node, root, size, sketch) -> pairs (u, v), u > v, still to be verified, at most ``most`` for each
-    u in a group; a row with u = v says that u has more."""
-    names = ("g", "fp", "node", "root", "size", "sketch")
+def unsettled_pairs(candidates: DataFrame, radius: int, equal: int, least: float, most: int, block: int = BLOCK) -> DataFrame:
+    """candidates (fps, node, root, size) -> pairs (u, v), u > v, still to be verified, at most ``most`` for each node in
+    a group; a row with u = v says that u has more."""
+
+    def run(batches):
+        for t in _whole_groups(batches, ("g", "fp", "node", "root", "size")):
+            g, fp, node, root, size = (c.to_numpy() for c in t.columns)
+            order = sweep_order(fp.view(np.uint64), g)
+            g, fp, node, root, size = (x[order] for x in (g, fp, node, root, size))
+            i, j, more = open_pairs(fp.view(np.uint64), g, root, size, radius, least, most)
+            u = np.concatenate([np.maximum(node[i], node[j]), node[more]])
+            v = np.concatenate([np.minimum(node[i], node[j]), node[more]])
+            yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], names=["u", "v"])
+
+    grouped = _grouped(candidates.select("fps", "node", "root", "size"), radius, equal, block)
+    return common.map_arrow(grouped, run, "u long, v long")
 
-    def pairs(t: pa.Table) -> pa.RecordBatch:
-        g, fp, node, root, size = (t.column(c).to_numpy() for c in names[:-1])
-        sketch = np.frombuffer(b"".join(t.column("sketch").to_pylist()), dtype=np.uint64).reshape(len(g), -1)
-        i, j, more = open_pairs(fp.view(np.uint64), g, root, size, sketch, radius, least, most)
-        u, v = np.concatenate([node[j], node[more]]), np.concatenate([node[i], node[more]])
-        return pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], names=["u", "v"])
+
+def _may_be_similar(pairs: DataFrame, texts: DataFrame, least: float) -> DataFrame:
+    """The pairs whose sketches do not rule the similarity out."""
+    u, v = (texts.select(F.col("node").alias(c), F.col("size").alias(f"{c}_size"), F.col("sketch").alias(f"{c}_sketch")) for c in "uv")
+    met = pairs.join(u, "u").join(v, "v").select("u", "v", "u_size", "v_size", "u_sketch", "v_sketch")
 
     def run(batches):
-        held = None
         for b in batches:
-            now = pa.Table.from_batches([pa.RecordBatch.from_arrays(b.columns, names=names)])
-            held = pa.concat_tables([held, now]).combine_chunks() if held is not None and held.num_rows else now
-            if not held.num_rows:
-                continue
-            g = held.column("g").to_numpy()
-            cut = int(np.searchsorted(g, g[-1]))  # the last group may go on in the next batch
-            if cut:
-                yield pairs(held.slice(0, cut))
-                held = held.slice(cut)
-        if held is not None and held.num_rows:
-            yield pairs(held)
-
-    grouped = _grouped(candidates, radius, block).select(*names)
-    return common.map_arrow(grouped, run, "u long, v long")
+            x, y = (np.frombuffer(b"".join(b.column(k).to_pylist()), dtype=np.uint64).reshape(b.num_rows, -1) for k in (4, 5))
+            room = (b.column(2).to_numpy() + b.column(3).to_numpy()) * (1 - least) + 1e-6
+            k = pa.array(np.flatnonzero(np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64) * (1 + least) <= room))
+            yield pa.RecordBatch.from_arrays([b.column(0).take(k), b.column(1).take(k)], names=["u", "v"])
+
+    return common.map_arrow(met, run, "u long, v long")
 
 
-def similar_components(nodes: DataFrame, own: DataFrame, words: int, least: float, radius: int) -> DataFrame:
-    """nodes (node, fp), own (doc_id, text) -> node, root: components of all pairs of nodes within ``radius`` bits whose
-    texts have the similarity. Nodes without such a pair do not appear.
+def similar_components(nodes: DataFrame, own: DataFrame, words: int, least: float, radius: int, equal: int) -> DataFrame:
+    """nodes (node, fps), own (doc_id, text) -> node, root: components of all pairs of nodes with a fingerprint within
+    ``radius`` bits whose texts have the similarity. Nodes without such a pair do not appear.
 
     The links of ``near_links`` are verified first, which settles most groups. Then, in each round, every pair that
     may be similar and is not in one component of verified links yet is verified, up to a number of partners for each
     node that grows eightfold, until no node has more: groups of true copies take one round, and the number of rounds
     is bounded by the size of a group, since a round without limit leaves no pair out.
     """
-    links = common.materialise(near_links(nodes.select("fp", "node"), radius).distinct(), "links")
+    links = common.materialise(near_links(nodes.select("fps", "node"), radius, equal).distinct(), "links")
     linked = links.select(F.explode(F.array("u", "v")).alias("node")).distinct()
     # a node without a link has no other within the radius
     texts = own.select(F.col("doc_id").alias("node"), "text").join(linked, "node", "left_semi").dropDuplicates(["node"])
     texts = common.materialise(with_sketches(texts, words), "linked")
-    known = nodes.select("node", "fp").join(texts.select("node", "size", "sketch"), "node")
+    known = nodes.select("node", "fps").join(texts.select("node", "size"), "node")
     # one link each first; only those that it does not settle look at the rest of their links
     lowest = links.groupBy("u").agg(F.min("v").alias("v"))
     first = common.materialise(similar_links(lowest, texts, words, least), "similar")
     rest = links.join(first.select("u"), "u", "left_anti").join(lowest, ["u", "v"], "left_anti")
-    found = [first, common.materialise(similar_links(rest, texts, words, least), "similar")]
+    found = [first, common.materialise(similar_links(_may_be_similar(rest, texts, least), texts, words, least), "similar")]
+    common.discard(links)
     most = PARTNERS
     while True:
         roots = connected_components(reduce(DataFrame.union, found))
-        settled = known.join(roots, "node", "left").select("fp", "node", F.coalesce("root", "node").alias("root"), "size", "sketch")
+        settled = known.join(roots, "node", "left").select("fps", "node", F.coalesce("root", "node").alias("root"), "size")
         settled = common.materialise(settled, "settled")
-        pairs = common.materialise(unsettled_pairs(settled, radius, least, most).distinct(), "pairs")
+        pairs = common.materialise(unsettled_pairs(settled, radius, equal, least, most).distinct(), "pairs")
         common.discard(settled)
         open_ = pairs.agg(F.count_if(F.expr("u <> v")), F.count_if(F.expr("u = v"))).first()
         if open_[0]:
-            found.append(common.materialise(similar_links(pairs.filter("u <> v"), texts, words, least), "similar"))
+            may_be = _may_be_similar(pairs.filter("u <> v"), texts, least)
+            found.append(common.materialise(similar_links(may_be, texts, words, least), "similar"))
             roots = connected_components(reduce(DataFrame.union, found))
         common.discard(pairs)
         if not open_[1]:
@@ -373,22 +451,30 @@ def similar_components(nodes: DataFrame, own: DataFrame, words: int, least: floa
 
 
 def keep_firsts(
-    docs: DataFrame, shingle: int = 5, least: float = 0.8, words: int = 2, radius: int = 8, text: str = "text"
+    docs: DataFrame,
+    shingle: int = 5,
+    least: float = 0.8,
+    words: int = 2,
+    radius: int = REMOVAL_RADIUS,
+    equal: int = REMOVAL_EQUAL,
+    seeds: int = REMOVAL_SEEDS,
+    text: str = "text",
 ) -> DataFrame:
     """The rows of docs, all columns, without near copies: of each group of documents that near copies join, the one
     with the smallest doc_id stays.
 
     Near copies are documents whose sets of ``shingle``-word shingles have a Jaccard similarity of ``least`` or more.
-    They are searched by SimHash: small edits flip few bits of a fingerprint over ``words``-word shingles, so texts that
-    similar lie within ``radius`` bits as a rule (README has the measured share). All pairs within the radius count, and
-    groups are components of those whose similarity is verified. Texts that differ in case and white space only are
-    copies. Rows without a doc_id stay; rows of one doc_id are one document and stay or go together.
+    They are searched by SimHash: small edits flip few bits of a fingerprint over ``words``-word shingles, so of the
+    ``seeds`` fingerprints of texts that similar one at least lies within ``radius`` bits as a rule (README has the
+    measured share). All pairs within the radius count, and groups are components of those whose similarity is verified.
+    Texts that differ in case and white space only are copies. Rows without a doc_id stay; rows of one doc_id are one
+    document and stay or go together.
     """
     own = docs.select("doc_id", F.col(text).alias("text")).filter("doc_id is not null")
-    held = common.materialise(with_contents(own, words), "contents")
-    nodes = held.groupBy("content").agg(F.min("doc_id").alias("node"), F.first("fp").alias("fp"))
-    nodes = common.materialise(nodes.groupBy("node").agg(F.min("fp").alias("fp")), "nodes")
-    near = similar_components(nodes, own, shingle, least, radius).filter("node <> root").select(F.col("node").alias("u"))
+    held = common.materialise(with_contents(own, words, seeds), "contents")
+    nodes = held.groupBy("content").agg(F.min("doc_id").alias("node"), F.first("fps").alias("fps"))
+    nodes = common.materialise(nodes.groupBy("node").agg(F.min("fps").alias("fps")), "nodes")
+    near = similar_components(nodes, own, shingle, least, radius, equal).filter("node <> root").select(F.col("node").alias("u"))
     later = held.join(nodes.select("node"), held["doc_id"] == F.col("node"), "left_anti").select("doc_id")
     gone = later.union(near).distinct().select(F.col("doc_id").alias("_gone"))
     return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")

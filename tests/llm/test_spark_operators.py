@@ -259,20 +259,26 @@ def test_simhash_equals_brute_force(spark, odd):
     got = {r["doc_id"]: r for r in simhash.document_components(df).collect()}
     assert {d: r["fp"] % (1 << 64) for d, r in got.items()} == f
     assert {d: r["component_id"] for d, r in got.items()} == root
-    small = simhash.near_links(spark.createDataFrame([(int(np.uint64(x).view(np.int64)), k) for k, x in enumerate(set(f.values()))], "fp bigint, node bigint"), 4, block=4)
-    assert small.count() >= 0  # cut into pairs of blocks
 
 
-def test_blocks_of_large_buckets_lose_nothing(spark):
+def test_blocks_of_large_buckets_lose_nothing(spark, monkeypatch):
     rng = np.random.default_rng(5)
     fp = np.unique(rng.integers(0, 2**12, 300))  # all in one bucket of every mask that leaves the low bits out
-    df = spark.createDataFrame([(int(x), int(x)) for x in fp], "fp bigint, node bigint")
+    df = spark.createDataFrame([([int(x)], int(x)) for x in fp], "fps array<bigint>, node bigint")
     root = {int(x): int(x) for x in fp}
     near = np.bitwise_count((fp[:, None] ^ fp[None, :]).astype(np.uint64)) <= 2
     for _ in fp:
         root = {int(x): min(root[int(y)] for y in fp[near[i]]) for i, x in enumerate(fp)}
-    found = {r["node"]: r["root"] for r in components.connected_components(simhash.near_links(df, 2, block=16)).collect()}
-    assert {int(x): found.get(int(x), int(x)) for x in fp} == root
+    for limit in (simhash.MAX_BROADCAST, 0):
+        monkeypatch.setattr(simhash, "MAX_BROADCAST", limit)
+        found = {r["node"]: r["root"] for r in components.connected_components(simhash.near_links(df, 2, block=16)).collect()}
+        assert {int(x): found.get(int(x), int(x)) for x in fp} == root
+
+
+def test_rows_of_a_fingerprint_do_not_depend_on_the_table(spark):
+    for n in (3, 3000):
+        df = spark.range(n).select(F.array(F.xxhash64("id")).alias("fps"), F.col("id").alias("node"))
+        assert simhash._grouped(df, 4, 3, 2048).count() == 35 * n
 
 
 def test_components_of_chains_and_hubs(spark):
@@ -290,12 +296,13 @@ def test_near_copies_go(spark, odd, empty):
     assert simhash.keep_firsts(empty).count() == 0
 
 
-def similar_roots(rows, least=0.8, radius=8):
-    """Components of all pairs within the radius that have the similarity, by looking at each pair."""
+def similar_roots(rows, least=0.8):
+    """Components of all pairs with a fingerprint within the radius that have the similarity, by looking at each pair."""
     ids = sorted(rows)
-    fp = simhash.fingerprints([rows[d] for d in ids], 2)
+    fps = [simhash.fingerprints([rows[d] for d in ids], 2, k) for k in range(simhash.REMOVAL_SEEDS)]
     root = {d: d for d in ids}
-    pairs = [(a, b) for i, a in enumerate(ids) for j, b in enumerate(ids[:i]) if int(fp[i] ^ fp[j]).bit_count() <= radius and simhash.similarity(rows[a], rows[b], 5) >= least]
+    near = lambda i, j: any(int(fp[i] ^ fp[j]).bit_count() <= simhash.REMOVAL_RADIUS for fp in fps)
+    pairs = [(a, b) for i, a in enumerate(ids) for j, b in enumerate(ids[:i]) if near(i, j) and simhash.similarity(rows[a], rows[b], 5) >= least]
     for _ in ids:
         for a, b in pairs:
             root[a] = root[b] = min(root[a], root[b])
@@ -324,17 +331,43 @@ def test_copies_inside_families_go(spark, monkeypatch, partners):
     assert kept == {d for d, r in want.items() if d == r}
 
 
-def test_open_pairs_lose_none_that_is_similar():
+def test_open_pairs_lose_none_that_is_similar(spark):
     rng = random.Random(8)
     texts = [" ".join(rng.choices([f"w{k}" for k in range(3 + n % 7)], k=n)) for n in range(60)] + ["", "a"]
     sets = [np.unique(simhash.shingle_hashes(t, 5)) for t in texts]
-    bits = [np.bincount((x % np.uint64(simhash.SKETCH_BITS)).astype(int), minlength=simhash.SKETCH_BITS) & 1 for x in sets]
-    sketch = np.packbits(np.array(bits, dtype=np.uint8), axis=1).view(np.uint64)
     zero, n = np.zeros(len(texts), dtype=np.int64), np.array([len(x) for x in sets])
-    i, j, more = simhash.open_pairs(zero.view(np.uint64), zero, np.arange(len(texts)), n, sketch, 8, 0.3, 10**6)
+    i, j, more = simhash.open_pairs(zero.view(np.uint64), zero, np.arange(len(texts)), n, 8, 0.3, 10**6)
     got = set(zip(i.tolist(), j.tolist(), strict=True))
+    similar = {(a, b) for b in range(len(texts)) for a in range(b) if simhash.similarity(texts[a], texts[b], 5) >= 0.3}
     assert not len(more)
-    assert {(a, b) for b in range(len(texts)) for a in range(b) if simhash.similarity(texts[a], texts[b], 5) >= 0.3} <= got
+    assert similar <= got
+    frame = simhash.with_sketches(spark.createDataFrame(list(enumerate(texts)), "node bigint, text string"), 5)
+    pairs = spark.createDataFrame(sorted(got), "u bigint, v bigint")
+    left = {tuple(r) for r in simhash._may_be_similar(pairs, frame, 0.3).collect()}
+    assert similar <= left
+    assert len(left) < len(got)
+
+
+def test_removal_finds_near_copies(spark):
+    """Recall over copies edited in several ways, against the similarity of the texts themselves."""
+    rng = random.Random(21)
+    rows, pairs = {}, []
+    for k in range(150):
+        words = [f"w{rng.randrange(4000)}" for _ in range(rng.randrange(80, 500))]
+        other, share = list(words), rng.uniform(0.002, 0.03)
+        for p in range(len(other)):
+            if rng.random() < share:
+                other[p] = rng.choice(["", f"new{rng.randrange(9)}"])
+        cut = rng.randrange(len(words) // 10)
+        rows[k], rows[1000 + k] = " ".join(words), " ".join(other[cut:])
+        if simhash.similarity(rows[k], rows[1000 + k], 5) >= 0.8:
+            pairs.append(k)
+    kept = {r["doc_id"] for r in simhash.keep_firsts(spark.createDataFrame(list(rows.items()), "doc_id bigint, text string")).collect()}
+    found = sum(1000 + k not in kept for k in pairs)
+    assert len(pairs) > 40
+    assert found >= 0.9 * len(pairs)
+    assert all(k in kept for k in range(150))
+    assert all(1000 + k in kept for k in range(150) if k not in pairs)
 
 
 def test_quality_verdicts(spark, odd, labels, empty):

@@ -164,6 +164,7 @@ def test_link_labels_equal_brute_force():
     fp = np.unique(np.concatenate([base, *[base ^ np.uint64(1 << int(rng.integers(63))) ^ np.uint64(1 << int(rng.integers(63))) for _ in range(6)]]))
     rng.shuffle(fp)
     for group in (np.zeros(len(fp), dtype=int), np.sort(rng.integers(0, 5, len(fp)))):
+        fp = fp[simhash.sweep_order(fp, group)]
         near = (np.bitwise_count(fp[:, None] ^ fp[None, :]) <= 4) & (group[:, None] == group[None, :])
         want = np.arange(len(fp))
         for _ in range(20):
@@ -172,7 +173,33 @@ def test_link_labels_equal_brute_force():
     assert simhash.link_labels(fp[:0], group[:0], 4).tolist() == []
 
 
-@pytest.mark.parametrize(("radius", "equal"), [(4, 1), (4, 2), (8, 2), (8, 3)])
+def test_pivots_discard_pairs_but_none_within_the_radius():
+    rng = np.random.default_rng(2)
+    fp = rng.integers(0, 2**63, 2000, dtype=np.uint64)
+    table = simhash.pivot_table(fp)
+    i, j = np.triu_indices(2000, 1)
+    left, _ = simhash.undiscarded(table, i, j, 4)
+    assert len(left) < 1e-4 * len(i)  # the table alone, before any distance is looked at
+    flips = rng.integers(0, 63, (2000, 4), dtype=np.uint64)
+    near = fp.copy()
+    for k in range(4):
+        near ^= np.uint64(1) << flips[:, k]
+    both = simhash.pivot_table(np.concatenate([fp, near]))
+    assert len(simhash.undiscarded(both, np.arange(2000), np.arange(2000, 4000), 4)[0]) == 2000
+
+
+def test_sweep_yields_exactly_the_pairs_within_the_radius():
+    rng = np.random.default_rng(3)
+    fp = rng.integers(0, 2**9, 400, dtype=np.uint64)
+    group = np.sort(rng.integers(0, 7, 400))
+    fp = fp[simhash.sweep_order(fp, group)]
+    everything = lambda i, j: np.ones(len(i), dtype=bool)
+    got = {p for i, j in simhash.swept(fp, group, 2, everything) for p in zip(i.tolist(), j.tolist(), strict=True)}
+    near = (np.bitwise_count(fp[:, None] ^ fp[None, :]) <= 2) & (group[:, None] == group[None, :])
+    assert got == {(i, j) for i, j in zip(*map(np.ndarray.tolist, np.nonzero(near)), strict=True) if i < j}
+
+
+@pytest.mark.parametrize(("radius", "equal"), [(4, 1), (4, 2), (4, 3), (6, 2), (8, 3)])
 def test_masks_lose_no_pair(radius, equal):
     masks = np.array(simhash.block_masks(radius, equal), dtype=np.uint64)
     rng = np.random.default_rng(2)
