@@ -6,10 +6,20 @@ logistic function of a bias, a weight per term and the products of k-dimensional
 pair such as an insult next to the mention of a group can count when neither word does alone.
 
 The machine is fitted on the driver, on at most MAX_ROWS labelled documents (those of the smallest hashes of doc_id, so
-the choice does not depend on partitions) and on the MAX_TERMS terms that the labels tell apart best. The chosen ids
-are at most MAX_ROWS numbers, so they are broadcast and no text is shuffled. Scoring reads every whole text once.
+the choice does not depend on partitions). Its terms are found in two steps:
 
-Learning leaves out the documents with crc32(doc_id as text) mod 5 = 0. Inputs of a score are the words alone.
+1. Terms that tell alone: their shares in the two classes are TELLING standard errors apart or more. An additive
+   model (no factors) is fitted to them.
+2. Terms that tell in pairs: of PAIR_TERMS terms - the most telling ones, and those nearest to half of the documents,
+   where a pair can be seen best - all pairs are compared with what the additive model leaves unexplained. Pairs whose
+   product goes with that residual beyond what the largest of so many random pairs would join with both their terms,
+   whether or not the terms tell alone.
+
+The machine with factors is then fitted to all of them. Without this choice, on all terms that three documents have, a
+few hundred labels do not suffice: recall over five folds of sf0.01 falls from 44 to 19 of 51.
+
+The chosen ids are at most MAX_ROWS numbers, so they are broadcast and no text is shuffled. Scoring reads every whole
+text once. Learning leaves out the documents with crc32(doc_id as text) mod 5 = 0. Inputs of a score are the words alone.
 
 Defined results: a null or empty text has no terms and gets the score of the bias; without labels, or with labels of
 one class only, all scores are that class's share (0 without labels); repeated rows are scored one by one; an empty
@@ -36,6 +46,11 @@ STEMS = range(4, 8)
 #: Occurrences from which on a stem counts as one term more.
 LEVELS = (2, 3)
 MAX_TERMS = 4096
+#: Standard errors from which on a term tells alone, and terms whose pairs are looked at.
+TELLING = 4.0
+PAIR_TERMS = 1024
+#: Terms whose columns are that close are one, and their product says nothing new.
+ALIKE = 0.9
 FACTORS = 8
 #: Passes over the rows: EPOCHS, and more where that makes fewer than LEAST_STEPS batches.
 EPOCHS = 12
@@ -99,16 +114,16 @@ def _logistic(x: np.ndarray) -> np.ndarray:
 def _raw(bias, weight, factor, flat, owner, n):
     """Sum of weights and of all pairs' factor products, by the square of the sum less the sum of squares."""
     out = bias + np.bincount(owner, weights=weight[flat], minlength=n)
+    if not factor.shape[1]:
+        return out, None
     sums = np.stack([np.bincount(owner, weights=factor[flat, k], minlength=n) for k in range(factor.shape[1])], axis=1)
     squares = np.bincount(owner, weights=(factor[flat] ** 2).sum(axis=1), minlength=n)
     return out + 0.5 * ((sums**2).sum(axis=1) - squares), sums
 
 
-def _telling(rows: list[np.ndarray], label: np.ndarray, most: int) -> np.ndarray:
-    """Terms by how far apart their shares in the two classes are, in standard errors.
-
-    Left out are those within the distance that the largest of so many random terms would have.
-    """
+def _telling(rows: list[np.ndarray], label: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """Terms of three documents or more whose shares in the two classes are TELLING standard errors apart, and the
+    candidates for pairs; both ascending."""
     seen, all_ = np.unique(np.concatenate(rows), return_counts=True)
     ones, count = np.unique(np.concatenate([r for r, y in zip(rows, label, strict=True) if y]), return_counts=True)
     one = np.zeros(len(seen))
@@ -120,28 +135,45 @@ def _telling(rows: list[np.ndarray], label: np.ndarray, most: int) -> np.ndarray
     gap = one / n1 - (all_ - one) / (n - n1)
     z = np.abs(gap) / np.sqrt(share * (1 - share) * (1 / n1 + 1 / (n - n1)) + 1e-9)
     order = np.argsort(-z, kind="stable")[:most]
-    return np.sort(seen[order[z[order] > np.sqrt(2 * np.log(max(2, len(seen))))]])
+    alone = order[z[order] > TELLING]
+    common_ = np.argsort(np.abs(share - 0.5), kind="stable")
+    pick = np.concatenate([alone[: PAIR_TERMS // 2], common_[~np.isin(common_, alone)]])[:PAIR_TERMS]
+    return np.sort(seen[alone]), np.sort(seen[pick])
 
 
-def fit(rows: list[np.ndarray], label: np.ndarray, seed: int = 7) -> Machine:
-    """Adaptive stochastic gradient on the logistic loss, with a lasso on the weights and a ridge on the factors.
-
-    Documents with the same terms and label count once, so that many copies of one text do not make its words tell.
-    """
-    none = np.zeros(0, dtype=np.int64)
-    kept = list({(r.tobytes(), int(y)): k for k, (r, y) in enumerate(zip(rows, label, strict=True)) if len(r)}.values())
-    rows, label = [rows[k] for k in kept], np.asarray(label, dtype=float)[kept]
-    if not len(label) or label.min() == label.max():
-        share = float(label.mean()) if len(label) else 0.0
-        return Machine(none, 30.0 if share else -30.0, none.astype(float), np.zeros((0, FACTORS)))
-    terms = _telling(rows, label, MAX_TERMS)
-    if not len(terms):
-        return Machine(none, float(np.log(label.mean() / (1 - label.mean()))), none.astype(float), np.zeros((0, FACTORS)))
-    rows = [np.searchsorted(terms, r[np.isin(r, terms)]) for r in rows]
-    random = np.random.default_rng(seed)
+def _in_pairs(rows: list[np.ndarray], residual: np.ndarray, terms: np.ndarray) -> np.ndarray:
+    """Those of the terms that have a partner whose product with them goes with the residual."""
     m = len(terms)
-    weight, factor = np.zeros(m), random.normal(0, 0.05, (m, FACTORS))
-    gw, gf, gb = np.full(m, 1e-3), np.full((m, FACTORS), 1e-3), 1e-3
+    if m < 2:
+        return terms[:0]
+    found = [np.searchsorted(terms, r[np.isin(r, terms)]) for r in rows]
+    share = np.bincount(np.concatenate(found), minlength=m).astype(np.float32) / len(rows)
+    product, spread, same = (np.zeros((m, m), dtype=np.float32) for _ in range(3))
+    for a in range(0, len(rows), 2048):
+        x = np.zeros((len(found[a : a + 2048]), m), dtype=np.float32)
+        for k, f in enumerate(found[a : a + 2048]):
+            x[k, f] = 1
+        x -= share
+        r = residual[a : a + 2048, None].astype(np.float32)
+        product += x.T @ (r * x)
+        spread += (x * x).T @ (r * r * x * x)
+        same += x.T @ x
+    size = np.sqrt(np.diag(same)) + 1e-9
+    z = np.abs(product) / np.sqrt(spread + 1e-9)
+    z[np.abs(same) > ALIKE * size[:, None] * size[None, :]] = 0
+    # 1 more than the largest of so many random pairs
+    return terms[(z > np.sqrt(2 * np.log(m * (m - 1) / 2 + 2)) + 1).any(axis=1)]
+
+
+def _places(rows: list[np.ndarray], terms: np.ndarray) -> list[np.ndarray]:
+    return [np.searchsorted(terms, r[np.isin(r, terms)]) for r in rows]
+
+
+def _descend(rows: list[np.ndarray], label: np.ndarray, m: int, factors: int, seed: int) -> tuple[float, np.ndarray, np.ndarray]:
+    """Adaptive stochastic gradient on the logistic loss, with a lasso on the weights and a ridge on the factors."""
+    random = np.random.default_rng(seed)
+    weight, factor = np.zeros(m), random.normal(0, 0.05, (m, factors))
+    gw, gf, gb = np.full(m, 1e-3), np.full((m, factors), 1e-3), 1e-3
     bias = float(np.log(label.mean() / (1 - label.mean())))
     for _ in range(max(EPOCHS, -(-LEAST_STEPS * BATCH // len(rows)))):
         order = random.permutation(len(rows))
@@ -155,20 +187,45 @@ def fit(rows: list[np.ndarray], label: np.ndarray, seed: int = 7) -> Machine:
             used, back = np.unique(flat, return_inverse=True)
             by_row = error[owner]
             dw = np.bincount(back, weights=by_row, minlength=len(used))
-            df = np.stack(
-                [np.bincount(back, weights=by_row * (sums[owner, k] - factor[flat, k]), minlength=len(used)) for k in range(FACTORS)],
-                axis=1,
-            )
-            df += RIDGE * factor[used]
             gw[used] += dw**2
-            gf[used] += df**2
             gb += float(error.sum()) ** 2
             step = RATE / np.sqrt(gw[used])
             moved = weight[used] - step * dw
+            if factors:
+                df = np.stack(
+                    [np.bincount(back, weights=by_row * (sums[owner, k] - factor[flat, k]), minlength=len(used)) for k in range(factors)],
+                    axis=1,
+                )
+                df += RIDGE * factor[used]
+                gf[used] += df**2
+                factor[used] -= 0.3 * RATE / np.sqrt(gf[used]) * df
             weight[used] = np.sign(moved) * np.maximum(0, np.abs(moved) - step * LASSO)
-            factor[used] -= 0.3 * RATE / np.sqrt(gf[used]) * df
             bias -= RATE / np.sqrt(gb) * float(error.sum())
-    live = np.flatnonzero((weight != 0) | (np.abs(factor).max(axis=1) > 1e-4))
+    return bias, weight, factor
+
+
+def fit(rows: list[np.ndarray], label: np.ndarray, seed: int = 7, factors: int = FACTORS) -> Machine:
+    """The machine of the labelled rows of terms; without factors, the best additive model.
+
+    Documents with the same terms and label count once, so that many copies of one text do not make its words tell.
+    """
+    none = np.zeros(0, dtype=np.int64)
+    kept = list({(r.tobytes(), int(y)): k for k, (r, y) in enumerate(zip(rows, label, strict=True)) if len(r)}.values())
+    rows, label = [rows[k] for k in kept], np.asarray(label, dtype=float)[kept]
+    if not len(label) or label.min() == label.max():
+        share = float(label.mean()) if len(label) else 0.0
+        return Machine(none, 30.0 if share else -30.0, none.astype(float), np.zeros((0, factors)))
+    terms, candidates = _telling(rows, label, MAX_TERMS)
+    even = float(np.log(label.mean() / (1 - label.mean())))
+    if factors:
+        at = _places(rows, terms)
+        told = Machine(terms, *_descend(at, label, len(terms), 0, seed)) if len(terms) else Machine(terms, even, terms.astype(float), np.zeros((0, 0)))
+        pairs = _in_pairs(rows, label - told.scores([r.tolist() for r in at]), candidates)
+        terms = np.union1d(terms, pairs)
+    if not len(terms):
+        return Machine(none, even, none.astype(float), np.zeros((0, factors)))
+    bias, weight, factor = _descend(_places(rows, terms), label, len(terms), factors, seed)
+    live = np.flatnonzero((weight != 0) | (np.abs(factor).max(axis=1, initial=0.0) > 1e-4))
     return Machine(terms[live], bias, weight[live], factor[live])
 
 
@@ -201,7 +258,8 @@ def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Machi
 
 
 def score(docs: DataFrame, machine: Machine, text: str = "text") -> DataFrame:
-    """docs with ``score`` (double, 0 to 1) appended. The model's size is bounded by MAX_TERMS."""
+    """docs with ``score`` (double, 0 to 1) appended. The model's size is bounded by MAX_TERMS and
+    PAIR_TERMS."""
     held = docs.sparkSession.sparkContext.broadcast(machine)
 
     def kernel():
