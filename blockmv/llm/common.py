@@ -6,6 +6,7 @@ import atexit
 import ctypes
 import gc
 import itertools
+import re
 import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
@@ -25,9 +26,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors see: spark.checkpoint.dir, or one of our own where it is unset."""
+    """The folder that the driver and all executors see: spark.checkpoint.dir, or one of our own where it is unset and
+    all executors are threads of the driver. Elsewhere it must be set: a folder of one machine would lose rows."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir is not set: no folder is known that all executors share")
         found = tempfile.mkdtemp(prefix="blockmv-")
         spark.sparkContext.setCheckpointDir(found)
     return found
@@ -112,12 +116,14 @@ def map_texts(
     """Append columns that a vectorised kernel computes from one text column; all other columns pass through.
 
     ``extra`` is the DDL of the appended columns. ``kernel`` is called once in each task and returns the function from
-    a list of texts (None for null) to one Arrow array per appended column. Names in ``extra`` must not clash.
+    a list of texts (None for null) to one Arrow array per appended column. A column of df whose name is appended is
+    replaced, as ``withColumn`` does.
     """
     from pyspark.sql import types as T
 
     more = T.StructType.fromDDL(extra)
-    schema = T.StructType([*df.schema.fields, *more.fields])
+    stay = [k for k, c in enumerate(df.columns) if c.lower() not in {f.name.lower() for f in more}]
+    schema = T.StructType([*[df.schema.fields[k] for k in stay], *more.fields])
     at = df.columns.index(text)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -126,7 +132,7 @@ def map_texts(
             column = batch.column(at)
             parts = [f(column.slice(a, b - a).to_pylist()) for a, b in text_runs(column)] or [f([])]
             made = [pa.concat_arrays([p[k] for p in parts]) for k in range(len(more))]
-            yield pa.RecordBatch.from_arrays([*batch.columns, *made], names=[f.name for f in schema])
+            yield pa.RecordBatch.from_arrays([*[batch.column(k) for k in stay], *made], names=[f.name for f in schema])
 
     return map_arrow(df, run, schema)
 

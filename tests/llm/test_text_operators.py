@@ -84,7 +84,7 @@ def naive_features(t):
     grams = Counter(tuple(w[i : i + 5]) for i in range(len(w) - 4))
     inside = {j for i in range(len(w) - 4) if grams[tuple(w[i : i + 5])] > 1 for j in range(i, i + 5)}
     lines = [x for x in (t or "").split("\n") if x.strip(" \t\n\x0b\x0c\r")]
-    return [len(w), sum(map(len, w)), sum((t or "").count(c) for c in "#*$%&|<>"), len(lines) - len(set(lines)), len(inside), len(lines)]
+    return [len(w), sum(map(len, w)), sum((t or "").count(c) for c in "#*$%&|<>"), len(lines) - len(set(lines)), len(inside), len(lines), (t or "").count("!"), sum(bytes(b for b in x.encode() if b < 128).isupper() for x in w)]
 
 
 def test_quality_counts():
@@ -96,13 +96,28 @@ def test_quality_counts():
 
 
 def test_certified_losses_are_rare():
-    """With a true risk above the limit, the exact test accepts in at most the stated share of samples."""
+    """With true losses above the limit at every step of three strata, any certificate is wrong: they must be rare."""
     rng = np.random.default_rng(3)
-    wrong = sum(quality_rules.certified(int(k), 500, 0.05, 0.05) for k in rng.binomial(500, 0.0501, 2000))
+    steps = [(0.5,), (0.4,), (0.3,)]
+    paths = {(s,): steps for s in "abc"}
+    wrong = 0
+    for _ in range(2000):
+        losses = {s: [int(k), 2, 1, 500 - int(k) - 3] for s, k in zip(paths, rng.binomial(500, 0.0501, 3), strict=True)}
+        wrong += bool(quality_rules.certify(paths, losses, 0.05, 0.05))
     assert wrong <= 2000 * 0.05 + 3 * (2000 * 0.05) ** 0.5
-    assert quality_rules.certified(0, 1000, 0.01, 0.05)
-    assert not quality_rules.certified(0, 100, 0.01, 0.05)
     assert quality_rules.binomial_cdf(2, 10, 0.5) == pytest.approx(56 / 1024)
+    assert quality_rules.least_good(0.02, 0.05 / 4) == 217
+    assert quality_rules.upper_bound(0, 217, 0.05 / 4) <= 0.02 < quality_rules.upper_bound(0, 216, 0.05 / 4)
+
+
+def test_levels_go_on_to_other_strata():
+    """b alone fails at delta / 2; once a is certified to its end, b is tested at the whole of delta."""
+    paths = {("a",): [(0.5,), (0.4,)], ("b",): [(0.5,)]}
+    fit = {("a",): [0, 0, 400], ("b",): [0, 170]}  # 0.98**170 lies between 0.025 and 0.05
+    assert [v.strata for v in quality_rules.certify(paths, fit, 0.02, 0.05)] == [("a",), ("b",)]
+    bad = {("a",): [0, 40, 360], ("b",): [0, 170]}
+    got = quality_rules.certify(paths, bad, 0.02, 0.05)
+    assert [(v.strata, v.cutoffs, v.good, v.lost) for v in got] == [(("a",), (0.5,), 400, 0)]
 
 
 def test_fingerprint_string_round_trip_and_containment():
@@ -234,20 +249,36 @@ def test_splitters_split_inside_a_run():
     assert Counter(got.tolist()) == {0: 25, 1: 25, 2: 25, 3: 25}
 
 
-def test_machine_learns_a_pair():
-    """Neither word tells alone; both together do."""
-    random.seed(3)
-    rows, label = [], []
-    for _ in range(3000):
-        a, b = random.random() < 0.5, random.random() < 0.5
-        text = " ".join(random.choices(["one", "two", "six"], k=3) + ["insult"] * a + ["group"] * b)
-        rows.append(toxicity.terms_of(text + f" id{random.random()}"))
-        label.append(float(a and b))
-    m = toxicity.fit(rows, np.array(label))
+def _machine_accuracy(agree: bool, factors: int) -> float:
+    """Two words among others: the label says whether they come together (agree) or one alone; both are neutral alone."""
+    rng = random.Random(3 + agree)
+
+    def made(n):
+        out = []
+        for _ in range(n):
+            a, b = rng.random() < 0.5, rng.random() < 0.5
+            words = [f"w{int(rng.paretovariate(0.7)) % 800}" for _ in range(20)] + ["insult"] * a + ["group"] * b
+            out.append((toxicity.terms_of(" ".join(words)), float((a == b) == agree)))
+        return out
+
+    learn, ask = made(3000), made(600)
+    m = toxicity.fit([r for r, _ in learn], np.array([y for _, y in learn]), factors=factors)
     place = {int(t): k for k, t in enumerate(m.terms)}
-    ask = lambda t: m.scores([[place[x] for x in toxicity.terms_of(t).tolist() if x in place]])[0]
-    assert ask("one insult group") > 0.5
-    assert max(ask("one insult"), ask("two group"), ask("six"), ask("")) < 0.5
+    scores = m.scores([[place[x] for x in r.tolist() if x in place] for r, _ in ask])
+    return float(((scores >= 0.5) == np.array([y for _, y in ask], dtype=bool)).mean())
+
+
+@pytest.mark.parametrize("agree", [True, False])
+def test_machine_learns_what_no_additive_model_can(agree):
+    assert _machine_accuracy(agree, 0) < 0.6
+    assert _machine_accuracy(agree, toxicity.FACTORS) > 0.95
+
+
+def test_random_pairs_are_not_taken():
+    rng = np.random.default_rng(4)
+    rows = [np.unique(rng.integers(0, 300, 60)).astype(np.int32) for _ in range(1500)]
+    found = toxicity._in_pairs(rows, rng.choice([-0.5, 0.5], 1500), np.arange(300, dtype=np.int32))
+    assert len(found) <= 2
 
 
 def test_machine_without_two_classes():
