@@ -7,17 +7,20 @@ in two rounds that together decide every WIDTH-byte string exactly.
 Round 1, anchored suffixes. Each string of WIDTH bytes is assigned the position of the smallest hash among its GRAM-byte
 substrings. Equal strings have equal anchors, so strings of one anchor are compared with each other only. The strings
 of one anchor start at consecutive positions and form a span; there is one span for about every 35 bytes. Spans are
-ordered by their leading tokens - hash of the anchor, hash of the whole span - then by document and position.
-Splitters sampled from the corpus range-partition them, also inside a run of equal spans, so a passage that stands in a
-third of all documents is dealt over as many tasks as its share. Each bucket is sorted by multikey quicksort. All but
-the first of a run of equal spans are removed whole. Different spans with the same anchor, and those at the edges of a
-bucket, go to round 2.
-
-Round 2, full suffixes. The remaining spans are shipped with their bytes, range-partitioned by the tokens of their
-single strings with splitters sampled anew, and expanded: every start in the span is a suffix, ordered by (anchor,
-hash of its WIDTH bytes, document, position) by multikey quicksort. Neighbours with equal tokens are compared byte by
-byte; all but the first of a run are removed. The first suffix of a bucket is compared with the last one of the bucket
-before, which settles runs that go over a boundary.
+ordered by the suffix at their anchor - its 8 leading bytes, then a hash of GRAM bytes - then by a 128-bit digest of the
+whole span, by document and position. Splitters sampled from the corpus range-partition them by these keys, also inside
+a run of equal spans, so a passage that stands in a third of all documents is dealt over as many tasks as its share. Each
+bucket is sorted by multikey quicksort. All but the first of a run of equal spans are removed whole; that two spans are
+equal is told by their digests. Different spans with the same anchor, and those at the edges of a bucket, go to round 2.
+
+Round 2, full suffixes. The remaining spans are shipped with their bytes, range-partitioned by the keys of their single
+strings with splitters sampled anew, and expanded: every start in the span is a suffix. A bucket sorts them by multikey
+quicksort over the anchor's keys, then over the suffixes' own bytes, WORDS words of 8 bytes that cover WIDTH bytes, then by
+document and position. Neighbours with equal bytes form a run; all but its first are removed. The first suffix of a bucket,
+in the order of the splitters, is compared with the last one of the bucket before, which settles runs that go over a
+boundary.
+
+A bucket holds about BUCKET_BYTES of text, whatever the size of the corpus: there are as many as that takes.
 
 Defined results: null and empty texts, and texts under WIDTH bytes, lose nothing; rows that repeat a doc_id and its text
 are one document and get equal results; differing texts of one doc_id, or without doc_id, are documents of their own, in
@@ -29,6 +32,7 @@ from __future__ import annotations
 import hashlib
 from bisect import bisect_right
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -49,6 +53,10 @@ _POSITION = np.uint64((1 << 24) - 1)
 HELD_SPANS = 400_000
 SAMPLED_DOCS = 16
 SAMPLED_ROWS = 64
+#: Text of a bucket, which bounds the memory of a task; there are spark.sql.shuffle.partitions buckets at least.
+BUCKET_BYTES = 12_000_000
+#: 8-byte words that cover WIDTH bytes.
+WORDS = -(-WIDTH // 8)
 
 _BYTE = np.array([xxhash.xxh64_intdigest(bytes([b]), 11) for b in range(256)], dtype=np.uint64)
 _ODD = [np.uint64(xxhash.xxh64_intdigest(bytes([k]), 13) | 1) for k in range(8)]
@@ -102,49 +110,60 @@ def _sliding_min(x: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(m[: len(m) - (width - size)], m[width - size :]) if width > size else m
 
 
-def find_spans(data: np.ndarray, ends: np.ndarray):
+def words_at(data: np.ndarray, at: np.ndarray, size: int = 8) -> np.ndarray:
+    """The ``size`` bytes from each position as a number in the order of the bytes; at most 8, the rest is zero."""
+    out = np.zeros((len(at), 8), dtype=np.uint8)
+    for k in range(size):
+        out[:, k] = data[at + k]
+    return out.view(">u8").ravel().astype(np.uint64)
+
+
+def find_spans(data: np.ndarray, ends: np.ndarray) -> dict[str, np.ndarray]:
     """Spans of the texts concatenated in data. ends: end of its text for each byte.
 
-    -> (start, number of strings, anchor hash, span hash); a start is a position in data.
+    -> start (a position in data), n (number of strings), w and g (leading bytes and hash of the suffix at the anchor),
+    s and t (digest of the span).
     """
-    n = len(data)
-    none = np.zeros(0, dtype=np.int64)
-    if n < WIDTH:
-        return none, none, none.view(np.uint64), none.view(np.uint64)
+    kinds = {"start": np.int64, "n": np.int64, "w": np.uint64, "g": np.uint64, "s": np.uint64, "t": np.uint64}
+    none = {k: np.zeros(0, dtype=kind) for k, kind in kinds.items()}
+    if len(data) < WIDTH:
+        return none
     h = substring_hashes(data)
     grams = h[32]
     packed = (grams & ~_POSITION) | np.arange(len(grams), dtype=np.uint64)
     low = _sliding_min(packed, _REACH)
     at = np.flatnonzero(ends[: len(low)] - np.arange(len(low)) >= WIDTH)
     if not len(at):
-        return none, none, none.view(np.uint64), none.view(np.uint64)
+        return none
     anchor = (low[at] & _POSITION).astype(np.int64)
     new = np.flatnonzero(np.concatenate([[True], anchor[1:] != anchor[:-1]]))
     start, anchor = at[new], anchor[new]
-    count = np.diff(np.append(new, len(at)))
-    size = count - 1 + WIDTH
-    # three stretches of 64 bytes cover any span: it has at most 2 * WIDTH - GRAM bytes
-    x = _fold(h[64][start], 3) + h[64][start + (size - 64) // 2]
-    x = _fold(x, 4) + h[64][start + size - 64]
-    x = _fold(x, 5) + (size * 256 + anchor - start).astype(np.uint64)
-    return start, count, _fold(grams[anchor], 6), _fold(x, 7)
+    n = np.diff(np.append(new, len(at)))
+    raw, digest = data.tobytes(), xxhash.xxh3_128_digest
+    marks = b"".join([digest(raw[a:b]) for a, b in zip(start.tolist(), (start + n - 1 + WIDTH).tolist(), strict=True)])
+    halves = np.frombuffer(marks, dtype="<u8").reshape(-1, 2)
+    return {"start": start, "n": n, "w": words_at(data, anchor), "g": _fold(grams[anchor], 6), "s": halves[:, 0], "t": halves[:, 1]}
 
 
 # ---- sorting and dealing ---------------------------------------------------------------------------------------------
 
 
-def multikey_order(columns: list[np.ndarray], small: int = 8192) -> np.ndarray:
-    """Order of the rows by their key columns: three-way quicksort that goes one column deeper among equals."""
+def multikey_order(columns: list, small: int = 8192) -> np.ndarray:
+    """Order of the rows by their key columns: three-way quicksort that goes one column deeper among equals.
+
+    A column is an array, or a function from row numbers to their keys, which is asked only as deep as ties go.
+    """
     n = len(columns[0])
+    look = [(lambda rows, c=c: c[rows]) if isinstance(c, np.ndarray) else c for c in columns]
     order = np.arange(n)
     todo = [(0, n, 0)]
     while todo:
         a, b, depth = todo.pop()
         rows = order[a:b]
         if b - a <= small:
-            order[a:b] = rows[np.lexsort([c[rows] for c in columns[depth:][::-1]])]
+            order[a:b] = _small_order(look, rows, depth)
             continue
-        key = columns[depth][rows]
+        key = look[depth](rows)
         pivot = np.sort(key[:: max(1, (b - a) // 255)])[len(key[:: max(1, (b - a) // 255)]) // 2]
         low, high = key < pivot, key > pivot
         equal = ~(low | high)
@@ -156,23 +175,47 @@ def multikey_order(columns: list[np.ndarray], small: int = 8192) -> np.ndarray:
     return order
 
 
+def _small_order(look: list, rows: np.ndarray, depth: int) -> np.ndarray:
+    """Rows by their keys from ``depth`` on: column by column, among those that are still tied."""
+    key = look[depth](rows)
+    by = np.argsort(key, kind="stable")
+    rows, key = rows[by], key[by]
+    tie = np.concatenate([[0], np.cumsum(key[1:] != key[:-1])])
+    for get in look[depth + 1 :]:
+        size = np.bincount(tie)
+        open_ = np.flatnonzero(size[tie] > 1)
+        if not len(open_):
+            break
+        key = get(rows[open_])
+        by = np.lexsort([key, tie[open_]])
+        rows[open_], key = rows[open_][by], key[by]
+        # a tie ends where the run ends or the key changes
+        step = np.ones(len(rows), dtype=np.int64)
+        step[0] = 0
+        step[1:] = tie[1:] != tie[:-1]
+        step[open_[1:][key[1:] != key[:-1]]] = 1
+        tie = np.cumsum(step)
+    return rows
+
+
 class Splitters:
-    """Sampled keys (token, token, document, position) that cut the order of suffixes into buckets."""
+    """Sampled keys (leading bytes, further tokens, document, position) that cut the order of suffixes into buckets."""
 
-    def __init__(self, keys: list[tuple[int, int, int, int]]) -> None:
+    def __init__(self, keys: list[tuple]) -> None:
         self.keys = sorted(keys)
         self.lead = np.array([k[0] for k in self.keys], dtype=np.uint64)
 
     @classmethod
-    def sampled(cls, keys: list[tuple[int, int, int, int]], buckets: int) -> Splitters:
+    def sampled(cls, keys: list[tuple], buckets: int) -> Splitters:
         keys = sorted(set(keys))
         return cls([keys[len(keys) * k // buckets] for k in range(1, buckets)] if keys else [])
 
-    def buckets(self, token: np.ndarray, second: np.ndarray, doc: np.ndarray, at: np.ndarray) -> np.ndarray:
-        """Bucket of each key; only keys whose first token is a splitter's are looked at in full."""
-        out = np.searchsorted(self.lead, token, side="left")
-        for k in np.flatnonzero(out != np.searchsorted(self.lead, token, side="right")):
-            out[k] = bisect_right(self.keys, (int(token[k]), int(second[k]), int(doc[k]), int(at[k])))
+    def buckets(self, *columns: np.ndarray) -> np.ndarray:
+        """Bucket of each key; only keys whose leading bytes are a splitter's are looked at in full."""
+        out = np.searchsorted(self.lead, columns[0], side="left")
+        some = np.flatnonzero(out != np.searchsorted(self.lead, columns[0], side="right"))
+        for k, key in zip(some.tolist(), zip(*(c[some].tolist() for c in columns), strict=True), strict=False):
+            out[k] = bisect_right(self.keys, key)
         return out
 
 
@@ -209,22 +252,27 @@ def _portions(batches) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.
         yield out()
 
 
-_SPAN = np.dtype([("g", "<u8"), ("s", "<u8"), ("doc", "<i8"), ("at", "<i8"), ("n", "<i2")])
+_SPAN = np.dtype([("w", "<u8"), ("g", "<u8"), ("s", "<u8"), ("t", "<u8"), ("doc", "<i8"), ("at", "<i8"), ("n", "<i2")])
+
+
+SPAN_KEYS = ("w", "g", "s", "doc", "at")
 
 
 def spans_of(batches) -> Iterator[np.ndarray]:
     """Spans of whole texts, as records of _SPAN."""
     for data, ends, docs, begins, bases in _portions(batches):
-        start, count, g, s = find_spans(data, ends)
+        found = find_spans(data, ends)
+        start = found["start"]
         piece = np.searchsorted(begins, start, side="right") - 1
         rows = np.empty(len(start), dtype=_SPAN)
-        rows["g"], rows["s"], rows["n"] = g, s, count
+        for c in "wgstn":
+            rows[c] = found[c]
         rows["doc"], rows["at"] = docs[piece], start - begins[piece] + bases[piece]
         yield rows
 
 
 def _packed(rows: np.ndarray) -> bytes:
-    """Columns one after the other, compressed: the two hashes are all that does not shrink."""
+    """Columns one after the other, compressed: the hashes are all that does not shrink."""
     order = np.lexsort([rows["at"], rows["doc"]])
     rows = rows[order]
     cols = [np.diff(rows[c], prepend=0) if c == "doc" else rows[c] for c in _SPAN.names]
@@ -251,7 +299,7 @@ def _dealt(batches, splitters: Splitters) -> Iterator[pa.RecordBatch]:
 
     def out():
         rows = np.concatenate(held)
-        bucket = splitters.buckets(rows["g"], rows["s"], rows["doc"], rows["at"])
+        bucket = splitters.buckets(*(rows[c] for c in SPAN_KEYS))
         order = np.argsort(bucket, kind="stable")
         edges = np.flatnonzero(np.diff(bucket[order], prepend=-1, append=len(splitters.keys) + 1))
         blobs = [_packed(rows[order[a:b]]) for a, b in zip(edges, edges[1:], strict=False)]
@@ -278,11 +326,12 @@ def _sorted_spans(batches) -> Iterator[pa.RecordBatch]:
         return
     rows = np.concatenate([_unpacked(x) for x in blobs])
     del blobs
-    order = multikey_order([rows[c] for c in ("g", "s", "doc", "at")])
+    order = multikey_order([np.ascontiguousarray(rows[c]) for c in ("w", "g", "s", "t", "doc", "at")])
     rows = rows[order]
-    g, s = rows["g"], rows["s"]
-    new_g = np.concatenate([[True], g[1:] != g[:-1]])
-    first = new_g | np.concatenate([[True], s[1:] != s[:-1]])
+    w, g = rows["w"], rows["g"]
+    differs = lambda *names: np.concatenate([[True], np.logical_or.reduce([rows[c][1:] != rows[c][:-1] for c in names])])
+    new_g = differs("w", "g")
+    first = new_g | differs("s", "t")
     run = np.cumsum(new_g) - 1
     kinds = np.bincount(run, weights=first)
     several = kinds > 1
@@ -291,27 +340,49 @@ def _sorted_spans(batches) -> Iterator[pa.RecordBatch]:
     keep = np.flatnonzero(open_ | ~first)
     for a in range(0, len(keep), 200_000):
         k = keep[a : a + 200_000]
-        made = [pa.array(open_[k]), pa.array(rows["doc"][k]), pa.array(rows["at"][k]), pa.array(rows["n"][k].astype(np.int32)), _signed(g[k])]
-        yield pa.RecordBatch.from_arrays(made, names=["open", "doc", "at", "n", "g"])
+        made = [pa.array(open_[k]), pa.array(rows["doc"][k]), pa.array(rows["at"][k]), pa.array(rows["n"][k].astype(np.int32)), _signed(w[k]), _signed(g[k])]
+        yield pa.RecordBatch.from_arrays(made, names=["open", "doc", "at", "n", "w", "g"])
 
 
-def _open_strings(batches) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, list[bytes], np.ndarray]]:
-    """From batches (doc, text, ats, ns, gs): per portion the open spans with their bytes and hashes of their strings."""
+def _open_strings(batches):
+    """From batches (doc, text, ats, ns, ws, gs): per portion the open spans (doc, at, n, w, g) with their bytes."""
     for b in batches:
         for lo, hi in common.text_runs(b.column(1)):
-            doc, at, n, g, cut = [], [], [], [], []
-            for d, t, ats, ns, gs in zip(*(c.slice(lo, hi - lo).to_pylist() for c in b.columns), strict=True):
+            doc, at, n, w, g, cut = [], [], [], [], [], []
+            for d, t, ats, ns, ws, gs in zip(*(c.slice(lo, hi - lo).to_pylist() for c in b.columns), strict=True):
                 raw = (t or "").encode()
                 doc += [d] * len(ats)
                 at += ats
                 n += ns
+                w += ws
                 g += gs
                 cut += [raw[a : a + k - 1 + WIDTH] for a, k in zip(ats, ns, strict=True)]
-            yield np.array(doc), np.array(at), np.array(n), np.array(g, dtype=np.int64).view(np.uint64), cut
+            tokens = (np.array(x, dtype=np.int64).view(np.uint64) for x in (w, g))
+            yield np.array(doc), np.array(at), np.array(n), *tokens, cut
+
 
+@dataclass
+class Strings:
+    """Every string of some spans: its keys, its place in data, and its span."""
 
-def expand(doc, at, n, g, cut):
-    """Every string of the spans: (span, token, hash, document, position, place in data) and the data."""
+    data: np.ndarray
+    span: np.ndarray
+    w: np.ndarray
+    g: np.ndarray
+    h: np.ndarray
+    doc: np.ndarray
+    at: np.ndarray
+    where: np.ndarray
+
+    @property
+    def keys(self) -> tuple[np.ndarray, ...]:
+        return self.w, self.g, self.h, self.doc, self.at
+
+    def take(self, rows: np.ndarray) -> Strings:
+        return Strings(self.data, *(getattr(self, c)[rows] for c in ("span", "w", "g", "h", "doc", "at", "where")))
+
+
+def expand(doc, at, n, w, g, cut) -> Strings:
     data = np.frombuffer(b"".join(cut), dtype=np.uint8)
     begin = np.cumsum([0, *map(len, cut)])
     span = np.repeat(np.arange(len(n)), n)
@@ -325,31 +396,32 @@ def expand(doc, at, n, g, cut):
         part = slice(edge[a], edge[b])
         h[part] = string_hashes(substring_hashes(data[begin[a] : begin[b]]), where[part] - begin[a])
         a = b
-    return span, g[span], h, doc[span], at[span] + step, where, data
+    return Strings(data, span, w[span], g[span], h, doc[span], at[span] + step, where)
 
 
 def _round_two(batches, splitters: Splitters) -> Iterator[pa.RecordBatch]:
     """Open spans with their bytes, one row for each bucket that gets strings of the span."""
-    for doc, at, n, g, cut in _open_strings(batches):
+    for doc, at, n, w, g, cut in _open_strings(batches):
         if not len(n):
             continue
-        low = np.searchsorted(splitters.lead, g, side="left")
-        split = low != np.searchsorted(splitters.lead, g, side="right")
+        low = np.searchsorted(splitters.lead, w, side="left")
+        split = low != np.searchsorted(splitters.lead, w, side="right")
         span, bucket = np.flatnonzero(~split), low[~split]
         if split.any():
             some = np.flatnonzero(split)
-            part, token, h, d, pos, _, _ = expand(doc[some], at[some], n[some], g[some], [cut[k] for k in some])
-            pairs = np.unique(np.stack([some[part], splitters.buckets(token, h, d, pos)]), axis=1)
+            x = expand(*(c[some] for c in (doc, at, n, w, g)), [cut[k] for k in some])
+            pairs = np.unique(np.stack([some[x.span], splitters.buckets(*x.keys)]), axis=1)
             span, bucket = np.concatenate([span, pairs[0]]), np.concatenate([bucket, pairs[1]])
         made = [
             pa.array(bucket.astype(np.int32)),
             pa.array(doc[span]),
             pa.array(at[span]),
             pa.array(n[span].astype(np.int32)),
+            _signed(w[span]),
             _signed(g[span]),
             pa.array([cut[k] for k in span], type=pa.binary()),
         ]
-        yield pa.RecordBatch.from_arrays(made, names=["bucket", "doc", "at", "n", "g", "bytes"])
+        yield pa.RecordBatch.from_arrays(made, names=["bucket", "doc", "at", "n", "w", "g", "bytes"])
 
 
 def _sorted_strings(batches, splitters: Splitters) -> Iterator[pa.RecordBatch]:
@@ -360,45 +432,53 @@ def _sorted_strings(batches, splitters: Splitters) -> Iterator[pa.RecordBatch]:
     t = pa.Table.from_batches(got).combine_chunks()
     mine = t.column("bucket")[0].as_py()
     doc, at, n = (t.column(c).to_numpy() for c in ("doc", "at", "n"))
-    g = t.column("g").to_numpy().view(np.uint64)
-    _, token, h, d, pos, where, data = expand(doc, at, n, g, t.column("bytes").to_pylist())
-    here = np.flatnonzero(splitters.buckets(token, h, d, pos) == mine)
-    token, h, d, pos, where = (x[here] for x in (token, h, d, pos, where))
-    order = multikey_order([token, h, d, pos])
-    token, h, d, pos, where = (x[order] for x in (token, h, d, pos, where))
-    if not len(d):
+    w, g = (t.column(c).to_numpy().view(np.uint64) for c in "wg")
+    x = expand(doc, at, n, w, g, t.column("bytes").to_pylist())
+    x = x.take(np.flatnonzero(splitters.buckets(*x.keys) == mine))
+    if not len(x.doc):
         return
-    same = np.flatnonzero((token[1:] == token[:-1]) & (h[1:] == h[:-1]))
-    repeated = np.zeros(len(d), dtype=bool)
+    edge = [_extreme(x.keys, side) for side in (np.min, np.max)]
+    ends = [(x.data[v : v + WIDTH].tobytes(), int(x.doc[k]), int(x.at[k])) for k, v in zip(edge, x.where[edge].tolist(), strict=True)]
+    suffix = [lambda rows, k=k: words_at(x.data, x.where[rows] + 8 * k, min(8, WIDTH - 8 * k)) for k in range(WORDS)]
+    x = x.take(multikey_order([x.w, x.g, *suffix, x.doc, x.at]))
+    same = np.flatnonzero((x.w[1:] == x.w[:-1]) & (x.g[1:] == x.g[:-1]) & (x.h[1:] == x.h[:-1]))  # equal bytes have equal hashes
+    repeated = np.zeros(len(x.doc), dtype=bool)
     for a in range(0, len(same), 100_000):
         k = same[a : a + 100_000]
-        left, right = (data[where[x][:, None] + np.arange(WIDTH)] for x in (k, k + 1))
+        left, right = (x.data[x.where[y][:, None] + np.arange(WIDTH)] for y in (k, k + 1))
         repeated[k[(left == right).all(axis=1)] + 1] = True
-    d2, p2 = d[repeated], pos[repeated]
+    d2, p2 = x.doc[repeated], x.at[repeated]
     by = np.lexsort([p2, d2])
     d2, p2 = d2[by], p2[by]
     # strings that overlap or touch make one stretch
     new = np.flatnonzero(np.concatenate([[True], (d2[1:] != d2[:-1]) | (p2[1:] > p2[:-1] + WIDTH)])) if len(d2) else np.zeros(0, dtype=np.int64)
     m = len(new)
     last = np.append(new[1:], len(d2))[:m] - 1
-    strings = [data[w : w + WIDTH].tobytes() for w in where[[0, -1]]]
     yield pa.RecordBatch.from_arrays(
         [
             pa.array(["run"] * m + ["first", "last"]),
             pa.array([mine] * (m + 2), type=pa.int32()),
-            pa.array([*d2[new], d[0], d[-1]], type=pa.int64()),
-            pa.array([*p2[new], pos[0], pos[-1]], type=pa.int64()),
-            pa.array([*(p2[last] + WIDTH), pos[0] + WIDTH, pos[-1] + WIDTH], type=pa.int64()),
-            pa.array([None] * m + strings, type=pa.binary()),
+            pa.array([*d2[new], *(e[1] for e in ends)], type=pa.int64()),
+            pa.array([*p2[new], *(e[2] for e in ends)], type=pa.int64()),
+            pa.array([*(p2[last] + WIDTH), *(e[2] + WIDTH for e in ends)], type=pa.int64()),
+            pa.array([None] * m + [e[0] for e in ends], type=pa.binary()),
         ],
         names=["kind", "bucket", "doc", "begin", "end", "bytes"],
     )
 
 
+def _extreme(keys: tuple[np.ndarray, ...], side) -> int:
+    """Row of the smallest or largest key."""
+    rows = np.arange(len(keys[0]))
+    for c in keys:
+        rows = rows[c[rows] == side(c[rows])]
+    return int(rows[0])
+
+
 # ---- on Spark ----------------------------------------------------------------------------------------------------------
 
 
-def _buckets(df: DataFrame) -> int:
+def _partitions(df: DataFrame) -> int:
     return int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
 
@@ -408,35 +488,38 @@ def _sample(df: DataFrame, rows: int) -> DataFrame:
     return df.sample(min(1.0, rows / have), seed=17)
 
 
-def _keys(df: DataFrame, f, buckets: int) -> list[tuple[int, int, int, int]]:
-    """Keys of sampled spans or strings: f gives (token, second, doc, at) arrays per portion. At most a bounded number
-    per task reaches the driver: SAMPLED_ROWS for each bucket in all, evenly from what the sample holds."""
+def _keys(df: DataFrame, f, names: str, buckets: int) -> list[tuple]:
+    """Keys of sampled spans or strings: f gives their columns per portion. At most a bounded number per task reaches the
+    driver: SAMPLED_ROWS for each bucket in all, evenly from what the sample holds."""
+    columns = names.split()
 
     def run(batches):
-        for token, second, doc, at in f(batches):
-            pick = np.arange(0, len(token), max(1, len(token) // (SAMPLED_ROWS * 4)))
-            yield pa.RecordBatch.from_arrays([_signed(token[pick]), _signed(second[pick]), pa.array(doc[pick]), pa.array(at[pick])], names=["t", "s", "doc", "at"])
+        for made in f(batches):
+            pick = np.arange(0, len(made[0]), max(1, len(made[0]) // (SAMPLED_ROWS * 4)))
+            yield pa.RecordBatch.from_arrays([_signed(c[pick]) for c in made], names=columns)
 
-    rows = common.map_arrow(df, run, "t long, s long, doc long, at long")
-    got = rows.orderBy(F.xxhash64("t", "s", "doc", "at")).limit(SAMPLED_ROWS * buckets).collect()
+    rows = common.map_arrow(df, run, ", ".join(f"{c} long" for c in columns))
+    got = rows.orderBy(F.xxhash64(*columns)).limit(SAMPLED_ROWS * buckets).collect()
     wrap = (1 << 64) - 1
-    return [(r["t"] & wrap, r["s"] & wrap, r["doc"], r["at"]) for r in got]
+    return [tuple(r[c] if c in ("doc", "at") else r[c] & wrap for c in columns) for r in got]
 
 
-def _numbered(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """docs (doc_id, text, ...) -> docs with KEY, and its texts (doc, text), one row per document.
+def _numbered(docs: DataFrame) -> tuple[DataFrame, DataFrame, int]:
+    """docs (doc_id, text, ...) -> docs with KEY, its texts (doc, text), one row per document, and their bytes.
 
     Where no two rows share a doc_id, it is the key. Otherwise the distinct (doc_id, text) are numbered in their order.
     """
     spark = docs.sparkSession
     plain = F.coalesce("doc_id", F.lit(NULL_ID))
-    if not docs.groupBy(plain.alias("doc")).count().filter("count > 1").limit(1).count():
+    per_id = docs.groupBy(plain.alias("doc")).agg(F.count("*").alias("rows"), F.sum(F.octet_length("text")).alias("size"))
+    most, size = per_id.agg(F.max("rows"), F.sum("size")).first()
+    if (most or 0) <= 1:
         own = docs.withColumn(KEY, plain)
-        return own, own.select(F.col(KEY).alias("doc"), "text")
+        return own, own.select(F.col(KEY).alias("doc"), "text"), size or 0
     digest = F.sha2(docs["text"], 256)
     some = docs.select("doc_id", digest.alias("digest")).distinct()
     order = (F.col("doc_id").asc_nulls_first(), F.col("digest").asc_nulls_first())
-    ranged = some.repartitionByRange(_buckets(docs), *order).sortWithinPartitions(*order)
+    ranged = some.repartitionByRange(_partitions(docs), *order).sortWithinPartitions(*order)
     # the low 33 bits of the id count the rows of a partition
     place = F.monotonically_increasing_id()
     ranged = common.materialise(ranged.select("doc_id", "digest", F.shiftright(place, 33).alias("part"), place.bitwiseAND(F.lit((1 << 33) - 1)).alias("at")), "documents")
@@ -448,38 +531,39 @@ def _numbered(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     keys = ranged.join(F.broadcast(first), "part").select("doc_id", "digest", (F.col("first") + F.col("at")).alias("doc"))
     met = docs.join(keys, docs["doc_id"].eqNullSafe(keys["doc_id"]) & digest.eqNullSafe(keys["digest"]))
     own = met.select(*[docs[c] for c in docs.columns], keys["doc"].alias(KEY))
-    return own, common.materialise(own.select(F.col(KEY).alias("doc"), "text").dropDuplicates(["doc"]), "texts")
+    return own, common.materialise(own.select(F.col(KEY).alias("doc"), "text").dropDuplicates(["doc"]), "texts"), size or 0
+
 
+def repeated_stretches(texts: DataFrame, size: int = 0) -> DataFrame:
+    """texts (doc, text), doc distinct and in order -> doc, begin, end: byte stretches to remove; they may overlap.
 
-def repeated_stretches(texts: DataFrame) -> DataFrame:
-    """texts (doc, text), doc distinct and in order -> doc, begin, end: byte stretches to remove; they may overlap."""
+    size: bytes of all texts, from which the number of buckets follows.
+    """
     spark = texts.sparkSession
-    buckets = _buckets(texts)
+    buckets = max(_partitions(texts), -(-size // BUCKET_BYTES))
 
     def span_keys(batches):
         for r in spans_of(batches):
-            yield r["g"], r["s"], r["doc"], r["at"]
+            yield tuple(np.ascontiguousarray(r[c]) for c in SPAN_KEYS)
 
-    cut = spark.sparkContext.broadcast(
-        Splitters.sampled(_keys(_sample(texts, SAMPLED_DOCS * buckets), span_keys, buckets), buckets)
-    )
+    found = _keys(_sample(texts, SAMPLED_DOCS * buckets), span_keys, " ".join(SPAN_KEYS), buckets)
+    cut = spark.sparkContext.broadcast(Splitters.sampled(found, buckets))
     dealt = common.map_arrow(texts, lambda b: _dealt(b, cut.value), "bucket int, spans binary").repartitionById(buckets, "bucket")
-    spans = common.materialise(common.map_arrow(dealt, _sorted_spans, "open boolean, doc long, at long, n int, g long"), "spans")
+    spans = common.materialise(common.map_arrow(dealt, _sorted_spans, "open boolean, doc long, at long, n int, w long, g long"), "spans")
     whole = spans.filter("not open").select("doc", F.col("at").alias("begin"), (F.col("at") + F.col("n") - 1 + WIDTH).alias("end"))
 
     open_ = spans.filter("open").groupBy(F.col("doc").alias("key"))
-    open_ = open_.agg(*[F.collect_list(c).alias(c) for c in ("at", "n", "g")])
-    with_text = texts.join(open_, F.col("doc") == F.col("key")).select("doc", "text", "at", "n", "g")
+    open_ = open_.agg(*[F.collect_list(c).alias(c) for c in ("at", "n", "w", "g")])
+    with_text = texts.join(open_, F.col("doc") == F.col("key")).select("doc", "text", "at", "n", "w", "g")
 
     def string_keys(batches):
-        for doc, at, n, g, pieces in _open_strings(batches):
-            if len(n):
-                _, token, h, d, pos, _, _ = expand(doc, at, n, g, pieces)
-                yield token, h, d, pos
-
-    sampled = _sample(texts, SAMPLED_DOCS * buckets).join(open_, F.col("doc") == F.col("key")).select("doc", "text", "at", "n", "g")
-    again = spark.sparkContext.broadcast(Splitters.sampled(_keys(sampled, string_keys, buckets), buckets))
-    ddl = "bucket int, doc long, at long, n int, g long, bytes binary"
+        for portion in _open_strings(batches):
+            if len(portion[0]):
+                yield expand(*portion).keys
+
+    sampled = _sample(texts, SAMPLED_DOCS * buckets).join(open_, F.col("doc") == F.col("key")).select("doc", "text", "at", "n", "w", "g")
+    again = spark.sparkContext.broadcast(Splitters.sampled(_keys(sampled, string_keys, "w g h doc at", buckets), buckets))
+    ddl = "bucket int, doc long, at long, n int, w long, g long, bytes binary"
     strings = common.map_arrow(with_text, lambda b: _round_two(b, again.value), ddl).repartitionById(buckets, "bucket")
     ddl = "kind string, bucket int, doc long, begin long, end long, bytes binary"
     runs = common.materialise(common.map_arrow(strings, lambda b: _sorted_strings(b, again.value), ddl), "strings")
@@ -509,8 +593,8 @@ def cut_out(raw: bytes, stretches: list[tuple[int, int]]) -> tuple[list[tuple[in
 
 def _attached(docs: DataFrame) -> DataFrame:
     """docs (doc_id, text, ...) with a last column: all stretches of the document."""
-    own, texts = _numbered(docs)
-    packed = repeated_stretches(texts).select("doc", (F.col("begin") * 65536 * 65536 + F.col("end")).alias("x"))
+    own, texts, size = _numbered(docs)
+    packed = repeated_stretches(texts, size).select("doc", (F.col("begin") * 65536 * 65536 + F.col("end")).alias("x"))
     per_doc = packed.groupBy("doc").agg(F.collect_list("x").alias("x")).select(F.col("doc").alias("key"), "x")
     met = own.join(per_doc, own[KEY] == per_doc["key"], "left")
     return met.select(*[own[c] for c in docs.columns], per_doc["x"].alias(CUT))

@@ -97,8 +97,10 @@ def test_suffix_dedup_of_repeated_and_missing_ids(spark):
     assert len(kept) == len(rows)
 
 
-def test_suffix_dedup_over_many_buckets(spark):
+@pytest.mark.parametrize("size", [12_000_000, 1000])
+def test_suffix_dedup_over_many_buckets(spark, monkeypatch, size):
     """One passage in every document: the run is split, and settled over the boundaries."""
+    monkeypatch.setattr(suffix_dedup, "BUCKET_BYTES", size)
     rng = random.Random(9)
     passage = "".join(rng.choices("abcdefghijklm", k=130))
     rows = [(k, "".join(rng.choices("nopq", k=30)) + passage + "".join(rng.choices("nopq", k=30))) for k in range(400)]

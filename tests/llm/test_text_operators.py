@@ -228,11 +228,38 @@ def test_similarity():
     assert simhash.similarity("a b c d e f", "a b c d e g", 5) == pytest.approx(1 / 3)
 
 
-def test_multikey_order():
+@pytest.mark.parametrize("small", [4, 64, 10_000])
+def test_multikey_order(small):
     rng = np.random.default_rng(1)
-    cols = [rng.integers(0, 3, 5000, dtype=np.uint64), rng.integers(0, 50, 5000, dtype=np.uint64), rng.integers(0, 9**9, 5000)]
-    got = suffix_dedup.multikey_order(cols, small=16)
-    assert got.tolist() == np.lexsort(cols[::-1]).tolist() or [tuple(c[k] for c in cols) for k in got] == sorted(zip(*cols, strict=True))
+    cols = [rng.integers(0, 3, 5000, dtype=np.uint64), rng.integers(0, 50, 5000, dtype=np.uint64), rng.integers(0, 2, 5000), rng.integers(0, 9**9, 5000)]
+    got = suffix_dedup.multikey_order([cols[0], lambda rows: cols[1][rows], *cols[2:]], small=small)
+    assert sorted(got.tolist()) == list(range(5000))
+    assert [tuple(c[k] for c in cols) for k in got] == sorted(zip(*cols, strict=True))
+
+
+def test_suffixes_are_sorted_by_their_bytes():
+    rng = np.random.default_rng(2)
+    data = rng.integers(97, 99, 3000, dtype=np.uint8)
+    at = np.arange(2900)
+    words = [lambda rows, k=k: suffix_dedup.words_at(data, at[rows] + 8 * k, min(8, 100 - 8 * k)) for k in range(suffix_dedup.WORDS)]
+    order = suffix_dedup.multikey_order([np.zeros(2900, dtype=np.uint64), *words, at], small=32)
+    raw = data.tobytes()
+    assert order.tolist() == sorted(range(2900), key=lambda k: raw[k : k + 100])
+
+
+def test_equal_spans_have_equal_keys_and_others_do_not():
+    rng = random.Random(5)
+    base = "".join(rng.choices("ab cd", k=400)).encode()
+    keys: dict[tuple, bytes] = {}
+    for _ in range(300):
+        cut = bytearray(base)
+        cut[rng.randrange(400)] = 120
+        data = np.frombuffer(bytes(cut), dtype=np.uint8)
+        f = suffix_dedup.find_spans(data, np.full(400, 400))
+        assert f["n"].sum() == 301
+        for k, a in enumerate(f["start"].tolist()):
+            text = bytes(cut[a : a + int(f["n"][k]) + 99])
+            assert keys.setdefault(tuple(int(f[c][k]) for c in "wgst"), text) == text
 
 
 def test_cut_out():
@@ -241,11 +268,9 @@ def test_cut_out():
 
 
 def test_splitters_split_inside_a_run():
-    keys = [(7, 7, d, 0) for d in range(100)]
+    keys = [(7, 7, 7, d, 0) for d in range(100)]
     s = suffix_dedup.Splitters.sampled(keys, 4)
-    cols = (np.array(c) for c in zip(*keys, strict=True))
-    token, second, doc, at = cols
-    got = s.buckets(token.astype(np.uint64), second.astype(np.uint64), doc, at)
+    got = s.buckets(*(np.array(c) for c in zip(*keys, strict=True)))
     assert Counter(got.tolist()) == {0: 25, 1: 25, 2: 25, 3: 25}
 
 
