@@ -9,9 +9,15 @@ Records of equal payloads: the one with the largest page_id is a response, the o
 payloads are found by digest; the winner per digest is pre-aggregated before any row moves, and large groups of equal
 digests are split by Spark's adaptive join.
 
+Archives of other writers are read as well: frames without a content size (decoded up to MAX_RECORD bytes), no dictionary or
+one stored plain, any record identifier, all record types, header lines that go on in the next line, HTTP messages without a
+length. Blocks of the type application/http give the bytes behind the HTTP head as payload, all others the whole block.
+Digests in SHA-1, SHA-256 or MD5, as base32 or hex, are checked where they are given; others are handed on unchecked.
+
 Defined results: a null html is an empty payload; rows with the same page_id that share a payload are all responses if
 it is the largest page_id; a null page_id loses to any other and is never referred to unless alone; damaged frames
-or records that break a rule of the format come back with ``error`` set instead of stopping the job.
+or records that break a rule of the format come back with ``error`` set instead of stopping the job; identifiers that no
+page of ours has give a null page_id and stand in ``record_id`` and ``refers_to_id``.
 """
 
 from __future__ import annotations
@@ -19,6 +25,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import os
+import re
 import struct
 from collections.abc import Iterator
 
@@ -38,8 +45,15 @@ REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-dig
 #: Payload bytes after which an archive is closed, and bytes of the dictionary.
 ARCHIVE_BYTES = 8_000_000
 DICTIONARY_BYTES = 32_768
+#: Bytes of a dictionary that a reader accepts.
+MAX_DICTIONARY = 1 << 24
 RECORD_DATE = "2024-01-01T00:00:00Z"
-FIELDS = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary, error string"
+#: Bytes of one record that a reader decodes at most; a larger one gives an error row.
+MAX_RECORD = 1 << 30
+FIELDS = (
+    "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary, "
+    "record_id string, refers_to_id string, content_type string, date string, error string"
+)
 
 
 def payload_digest(payload: bytes) -> str:
@@ -50,9 +64,10 @@ def _uri(page_id: int | None) -> str:
     return f"<urn:page:{'none' if page_id is None else page_id}>"
 
 
-def _page(uri: str) -> int | None:
-    name = uri.removeprefix("<urn:page:").removesuffix(">")
-    return None if name == "none" else int(name)
+def _page(uri: str | None) -> int | None:
+    """The page of an identifier of ours, null for any other."""
+    found = re.fullmatch(r"<urn:page:(-?[0-9]{1,19})>", uri or "")
+    return int(found[1]) if found else None
 
 
 def _clean(value: str) -> str:
@@ -139,53 +154,107 @@ def load_dictionary(data: bytes) -> tuple[zstandard.ZstdCompressionDict | None,
             if len(raw) < size:
                 raise ValueError("truncated dictionary")
             if raw[:4] == struct.pack("<I", ZSTD_MAGIC):
-                raw = zstandard.ZstdDecompressor().decompress(raw)
+                raw = _decoded(zstandard.ZstdDecompressor(), raw, MAX_DICTIONARY)
             return zstandard.ZstdCompressionDict(raw), 8 + size
     return None, 0
 
 
+def _fields(lines: list[str]) -> dict[str, str]:
+    """Header lines by lower-case name; a line that begins with white space goes on with the one before."""
+    out: dict[str, str] = {}
+    last = None
+    for line in lines:
+        if line[:1] in (" ", "\t") and last:
+            out[last] += " " + line.strip()
+            continue
+        name, colon, value = line.partition(":")
+        if not colon or not name or name != name.strip():
+            raise ValueError("malformed header line")
+        last = name.lower()
+        out[last] = value.strip()
+    return out
+
+
+def _check_digest(told: str, data: bytes) -> str:
+    """The bare digest; raises if it can be checked and is wrong."""
+    name, colon, digest = told.partition(":")
+    if not colon or not digest:
+        raise ValueError("malformed digest")
+    if name.lower().replace("-", "") in ("sha1", "sha256", "md5"):
+        own = hashlib.new(name.lower().replace("-", ""), data).digest()
+        if digest.upper().rstrip("=") != base64.b32encode(own).decode().rstrip("=") and digest.lower() != own.hex():
+            raise ValueError("payload does not match its length or digest")
+    return digest
+
+
+def _http(block: bytes) -> tuple[bytes, int | None]:
+    """The body of an HTTP message, and the length that its head tells, if any."""
+    head, mark, body = block.partition(b"\r\n\r\n")
+    if not mark:
+        raise ValueError("malformed HTTP head")
+    told = {}
+    for line in head.split(b"\r\n")[1:]:
+        name, _, value = line.partition(b":")
+        told[name.strip().lower()] = value.strip()
+    length = told.get(b"content-length", b"")
+    return body, int(length) if length.isdigit() and b"transfer-encoding" not in told else None
+
+
 def parse_record(raw: bytes) -> dict:
-    """One record, validated: version, header lines, Content-Length, end marks, HTTP length and payload digest."""
+    """One record, validated: version, header lines, Content-Length, end marks, HTTP length and digests."""
     head, mark, rest = raw.partition(b"\r\n\r\n")
     lines = head.decode("utf-8").split("\r\n")
     if not mark or lines[0] not in ("WARC/1.0", "WARC/1.1"):
         raise ValueError("no WARC version line")
-    fields: dict[str, str] = {}
-    for line in lines[1:]:
-        name, colon, value = line.partition(":")
-        if not colon or not name or name != name.strip():
-            raise ValueError("malformed header line")
-        fields[name.lower()] = value.strip()
+    fields = _fields(lines[1:])
     for name in ("warc-type", "warc-record-id", "warc-date", "content-length"):
         if name not in fields:
             raise ValueError(f"no {name}")
+    if not re.fullmatch("[0-9]+", fields["content-length"]):
+        raise ValueError("malformed Content-Length")
     size = int(fields["content-length"])
-    if size < 0 or len(rest) != size + 4 or rest[size:] != b"\r\n\r\n":
+    if len(rest) != size + 4 or rest[size:] != b"\r\n\r\n":
         raise ValueError("Content-Length does not match")
-    kind = fields["warc-type"]
-    out = {"record_type": kind, "page_id": _page(fields["warc-record-id"]), "url": fields.get("warc-target-uri")}
-    if kind == "warcinfo":
-        return out
-    http, mark, payload = rest[:size].partition(b"\r\n\r\n")
-    length = next((int(x.split(b":", 1)[1]) for x in http.split(b"\r\n")[1:] if x.lower().startswith(b"content-length:")), -1)
-    if not mark or length < 0:
-        raise ValueError("malformed HTTP head")
-    name, _, digest = fields.get("warc-payload-digest", "").partition(":")
-    if name != "sha1" or not digest:
-        raise ValueError("no payload digest")
-    out |= {"payload_bytes": length, "payload_digest": digest, "refers_to": None, "payload": None}
-    if kind == "response":
-        if len(payload) != length or payload_digest(payload) != digest:
-            raise ValueError("payload does not match its length or digest")
-        out["payload"] = payload
-    elif kind == "revisit":
-        if payload or "warc-refers-to" not in fields:
+    kind, block = fields["warc-type"], rest[:size]
+    if told := fields.get("warc-block-digest"):
+        _check_digest(told, block)
+    url = fields.get("warc-target-uri")
+    out = {
+        "record_type": kind,
+        "record_id": fields["warc-record-id"],
+        "page_id": _page(fields["warc-record-id"]),
+        "url": url.strip("<>") if url else url,
+        "refers_to_id": fields.get("warc-refers-to"),
+        "refers_to": _page(fields.get("warc-refers-to")),
+        "content_type": fields.get("content-type"),
+        "date": fields["warc-date"],
+    }
+    payload, length = block, None
+    if (out["content_type"] or "").replace(" ", "").lower().startswith("application/http") and (block or kind != "revisit"):
+        payload, length = _http(block)
+    told = fields.get("warc-payload-digest")
+    if kind == "revisit":
+        if payload or not (out["refers_to_id"] or fields.get("warc-refers-to-target-uri") or told):
             raise ValueError("malformed revisit")
-        out["refers_to"] = _page(fields["warc-refers-to"])
+        return out | {"payload_bytes": length, "payload_digest": told.partition(":")[2] if told else None}
+    if kind == "response" and length not in (None, len(payload)) and "warc-truncated" not in fields:
+        raise ValueError("payload does not match its length or digest")
+    digest = None
+    if told:
+        digest = _check_digest(told, payload) if "warc-truncated" not in fields else told.partition(":")[2]
+    return out | {"payload_bytes": len(payload), "payload_digest": digest, "payload": payload}
+
+
+def _decoded(reader: zstandard.ZstdDecompressor, frame: bytes, most: int) -> bytes:
+    """The content of one frame, with or without a content size in its header."""
+    with reader.stream_reader(frame) as stream:
+        out = stream.read(most + 1)
+    if len(out) > most:
+        raise ValueError(f"a record of over {most} bytes")
     return out
 
 
-def read_records(data: bytes) -> Iterator[dict]:
+def read_records(data: bytes, most: int | None = None) -> Iterator[dict]:
     """Every record of an archive; a damaged frame gives a row with ``error``, a lost frame border ends the archive."""
     try:
         dictionary, at = load_dictionary(data)
@@ -197,7 +266,10 @@ def read_records(data: bytes) -> Iterator[dict]:
         try:
             (magic,) = struct.unpack_from("<I", data, at)
             if magic in SKIPPABLE:
-                at += 8 + struct.unpack_from("<I", data, at + 4)[0]
+                size = struct.unpack_from("<I", data, at + 4)[0]
+                if at + 8 + size > len(data):
+                    raise ValueError("truncated skippable frame")
+                at += 8 + size
                 continue
             if magic != ZSTD_MAGIC:
                 raise ValueError("no frame where one should begin")
@@ -206,9 +278,7 @@ def read_records(data: bytes) -> Iterator[dict]:
             yield {"error": f"at byte {at}: {e}"}
             return
         try:
-            record = parse_record(reader.decompress(data[at:end]))
-            if record["record_type"] != "warcinfo":
-                yield record
+            yield parse_record(_decoded(reader, data[at:end], MAX_RECORD if most is None else most))
         except (ValueError, UnicodeDecodeError, zstandard.ZstdError) as e:
             yield {"error": f"at byte {at}: {e}"}
         at = end
@@ -259,8 +329,9 @@ def write_archives(pages: DataFrame, least_bytes: int = 0, archive_bytes_limit:
     return common.materialise(made.select(name.alias("archive_id"), "content"), "warc")
 
 
-def read_archives(archives: DataFrame) -> DataFrame:
-    """archives (archive_id, content) -> archive_id and the columns of FIELDS, one row per record."""
+def read_archives(archives: DataFrame, info: bool = False) -> DataFrame:
+    """archives (archive_id, content) -> archive_id and the columns of FIELDS, one row per record; records about the
+    archive itself (warcinfo) only with ``info``."""
     names = [x.split()[0] for x in FIELDS.split(", ")]
     types = {"page_id": pa.int64(), "payload_bytes": pa.int64(), "refers_to": pa.int64(), "payload": pa.binary()}
 
@@ -275,6 +346,8 @@ def read_archives(archives: DataFrame) -> DataFrame:
                     return pa.RecordBatch.from_arrays([pa.array([name] * len(rows), type=pa.string()), *cols], names=["archive_id", *names])
 
                 for r in read_records(content):
+                    if r.get("record_type") == "warcinfo" and not info:
+                        continue
                     rows.append(r)
                     size += len(r.get("payload") or b"")
                     if size > 4_000_000:

@@ -1,5 +1,7 @@
 """Operators on single texts: exact round trips and brute force. Without Spark."""
 
+import base64
+import hashlib
 import random
 import zlib
 from collections import Counter
@@ -7,6 +9,7 @@ from collections import Counter
 import numpy as np
 import public_tokenizers
 import pytest
+import zstandard
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from tokenizers import Tokenizer
@@ -147,7 +150,8 @@ def test_chunks_cover_the_text(data):
 @pytest.mark.parametrize("rows", [[], [(1, "u", b"x", None)], [(k, None, b"page %d" % (k % 3), k % 3 if k > 2 else None) for k in range(40)]])
 def test_archives_round_trip(rows):
     data = warc.archive_bytes([warc.page_record(*r) for r in rows])
-    got = list(warc.read_records(data))
+    info, *got = warc.read_records(data)
+    assert info["record_type"] == "warcinfo"
     assert [(r["page_id"], r["record_type"], r["refers_to"]) for r in got] == [(r[0], "response" if r[3] is None else "revisit", r[3]) for r in rows]
     assert all(r["payload_bytes"] == len(x[2]) and r["payload_digest"] == warc.payload_digest(x[2]) for r, x in zip(got, rows, strict=True))
 
@@ -166,6 +170,66 @@ def test_damaged_archives_are_reported():
             warc.parse_record(bad)
 
 
+def _foreign(kind: str, block: bytes, *more: tuple[str, str], ident: str = "<urn:uuid:6b5b1d8e-0000-4000-8000-000000000001>") -> bytes:
+    lines = ["WARC/1.0", f"WARC-Type: {kind}", f"WARC-Record-ID: {ident}", "WARC-Date: 2020-02-03T04:05:06Z", f"Content-Length: {len(block)}"]
+    return "\r\n".join([*lines, *(f"{k}: {v}" for k, v in more)]).encode() + b"\r\n\r\n" + block + b"\r\n\r\n"
+
+
+def _streamed(raw: bytes, **how) -> bytes:
+    """A frame without content size, as streaming writers make it."""
+    packer = zstandard.ZstdCompressor(**how).compressobj()
+    return packer.compress(raw) + packer.flush()
+
+
+HTTP = ("Content-Type", "application/http; msgtype=response")
+
+
+@pytest.mark.parametrize("dictionary", [None, "plain", "packed"])
+def test_archives_of_other_writers(dictionary):
+    body = b"<p>hi</p>" * 9
+    sha = base64.b32encode(hashlib.sha1(body).digest()).decode()
+    records = [
+        _foreign("warcinfo", b"software: other\r\n", ("Content-Type", "application/warc-fields")),
+        _foreign("request", b"GET / HTTP/1.1\r\nHost: h\r\n\r\n", ("Content-Type", "application/http;msgtype=request")),
+        _foreign("response", b"HTTP/1.1 200 OK\r\nServer: s\r\n\r\n" + body, HTTP, ("WARC-Payload-Digest", f"sha1:{sha}"), ("WARC-Target-URI", "<http://h/>")),
+        _foreign("response", b"HTTP/1.1 200 OK\r\nTransfer-Encoding: chunked\r\nContent-Length: 7\r\n\r\n" + body, HTTP, ("WARC-Payload-Digest", f"sha256:{hashlib.sha256(body).hexdigest()}")),
+        _foreign("metadata", b"outlink: http://h/2\r\n", ("X-Long", "one\r\n  two")),
+        _foreign("resource", b"\x00\x01png", ("Content-Type", "image/png"), ("WARC-Block-Digest", "blake3:ab")),
+        _foreign("revisit", b"HTTP/1.1 304 Not Modified\r\n\r\n", HTTP, ("WARC-Refers-To", "<urn:uuid:x>"), ("WARC-Payload-Digest", f"sha1:{sha}")),
+        _foreign("revisit", b"", ("WARC-Refers-To-Target-URI", "http://h/")),
+        _foreign("conversion", b"hi", ("Content-Type", "text/plain")),
+    ]
+    raw = b"WARC/1.0\r\nWARC-Type: response\r\n" * 9
+    stored = zstandard.ZstdCompressor().compress(raw) if dictionary == "packed" else raw
+    how = {"dict_data": zstandard.ZstdCompressionDict(raw)} if dictionary else {}
+    data = (warc.DICTIONARY_FRAME.to_bytes(4, "little") + len(stored).to_bytes(4, "little") + stored) if dictionary else b""
+    data += b"".join(_streamed(r, **how) for r in records) + b"\x50\x2a\x4d\x18\x02\x00\x00\x00ab"
+    got = list(warc.read_records(data))
+    assert [r.get("error") for r in got] == [None] * len(records)
+    assert [r["record_type"] for r in got] == ["warcinfo", "request", "response", "response", "metadata", "resource", "revisit", "revisit", "conversion"]
+    assert {r["record_id"] for r in got} == {"<urn:uuid:6b5b1d8e-0000-4000-8000-000000000001>"}
+    assert {r["page_id"] for r in got} == {None}
+    assert [r.get("payload") for r in got] == [b"software: other\r\n", b"", body, body, b"outlink: http://h/2\r\n", b"\x00\x01png", None, None, b"hi"]
+    assert (got[2]["url"], got[2]["payload_digest"], got[2]["payload_bytes"]) == ("http://h/", sha, len(body))
+    assert (got[6]["refers_to_id"], got[6]["refers_to"], got[6]["payload_digest"]) == ("<urn:uuid:x>", None, sha)
+
+
+def test_wrong_records_of_other_writers_are_reported():
+    ok = b"HTTP/1.1 200 OK\r\nContent-Length: 2\r\n\r\nhi"
+    bad = [
+        _foreign("response", ok + b"!", HTTP),
+        _foreign("response", ok, HTTP, ("WARC-Payload-Digest", "sha1:AAAA")),
+        _foreign("resource", b"x", ("WARC-Block-Digest", "md5:00")),
+        _foreign("response", b"no head", HTTP),
+        _foreign("revisit", b"", ("X", "y")),
+        _foreign("resource", b"x" * 600),
+    ]
+    frames = [_streamed(r) for r in [*bad, _foreign("response", ok, HTTP)]]
+    got = list(warc.read_records(b"".join(frames), most=500))
+    assert [bool(r.get("error")) for r in got] == [True] * len(bad) + [False]
+    assert got[-1]["payload"] == b"hi"
+
+
 def test_shingles_and_fingerprints():
     assert simhash.fingerprints([None, "", " \n"], 4).tolist() == [0, 0, 0]
     one = simhash.shingle_hashes("A b", 4)
