@@ -183,13 +183,22 @@ class Verdict:
     bound: float
 
 
+def _exceeded(rule: Rule, limits: list[float], holds: bool) -> Column:
+    """How many of the limits (already times the rule's sign) the value exceeds, or does not. The limits are one literal,
+    so the plan stays small."""
+    value = F.expr(rule.value) * rule.sign
+    return F.size(F.filter(F.array(*[F.lit(float(x)) for x in limits]), lambda x: value > x if holds else value <= x))
+
+
 def _strictness(rules: tuple[Rule, ...]) -> Column:
     """Per rule, the number of its cutoffs that reject the document."""
-    out = []
-    for r in rules:
-        value = F.expr(r.value) * r.sign
-        out.append(sum((F.when(value > c * r.sign, 1).otherwise(0) for c in r.cutoffs), F.lit(0)))
-    return F.array(*out)
+    return F.array(*[_exceeded(r, [c * r.sign for c in r.cutoffs], True) for r in rules])
+
+
+def _first_step(steps: list[tuple[float | None, ...]], rules: tuple[Rule, ...]) -> Column:
+    """The first step that rejects the document, or their number. Steps are nested, rule by rule."""
+    limits = [[math.inf if x[k] is None else x[k] * r.sign for x in steps] for k, r in enumerate(rules)]
+    return F.least(*[_exceeded(r, n, False) for r, n in zip(rules, limits, strict=True)], F.lit(len(steps)))
 
 
 def design_path(hits: dict[tuple[int, int], tuple[int, int]], rules: tuple[Rule, ...], risk: float) -> list[tuple[float | None, ...]]:
@@ -266,10 +275,7 @@ def calibrate(
     paths = {g: design_path(h, rules, risk) for g, h in zip(groups, hits, strict=True)}
     step = F.lit(None).cast("int")
     for g, steps in paths.items():
-        first = F.lit(len(steps))
-        for k in reversed(range(len(steps))):
-            first = F.when(_beyond(steps[k], rules), k).otherwise(first)
-        step = F.when(_among(g, F.col("stratum")), first).otherwise(step)
+        step = F.when(_among(g, F.col("stratum")), _first_step(steps, rules)).otherwise(step)
     losses = {g: [0] * (len(STEPS) + 1) for g in groups}
     for r in rows.filter("held and quality = 1").groupBy("stratum", step.alias("step")).count().collect():
         losses[groups[number[r["stratum"]]]][r["step"]] += r["count"]
