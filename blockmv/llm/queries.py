@@ -71,23 +71,23 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 #: Hashes, models and tokens have no SQL; tests hold those queries against brute force.
 ORACLE_SQL: dict[str, str] = {
     "op4_tool_call_linking": """WITH RECURSIVE c AS (
-  SELECT 'c' || conv_id || '-' || turn AS id, turn, text, role, conv_id,
-    CASE WHEN EXISTS (SELECT 1 FROM conversations s WHERE s.role = 'system' AND s.conv_id = t.conv_id AND s.turn = t.turn - 1)
-      THEN 'c' || conv_id || '-' || (turn - 1) ELSE 'c' || conv_id || '-' || (turn - 2) END AS after
-  FROM conversations t WHERE role IN ('user', 'system')),
-r AS (SELECT 'c' || conv_id || '-' || (turn - 1) AS id, turn, text FROM conversations WHERE role = 'assistant'),
-p AS (SELECT id, depth FROM (SELECT id, 0::BIGINT AS depth FROM c WHERE after NOT IN (SELECT id FROM c))
-  UNION ALL SELECT c.id, p.depth + 1 FROM p JOIN c ON c.after = p.id),
-n AS (SELECT id, count(*) AS same FROM c GROUP BY id),
-q AS (SELECT c.id, CASE role WHEN 'user' THEN 'ask' ELSE 'configure' END AS tool, c.turn, depth, same, c.text IS NOT NULL AS ok,
+  SELECT 'c' || conv_id || '-' || turn AS id, turn, text, role, conv_id, row_number() OVER () AS k FROM conversations WHERE role IN ('user', 'system')),
+r AS (SELECT 'c' || conv_id || '-' || (turn - 1) AS id, turn, text FROM conversations WHERE role IS NULL OR role NOT IN ('user', 'system')),
+w AS (SELECT DISTINCT a.id, b.id AS up FROM c a JOIN c b ON b.conv_id = a.conv_id AND (b.turn = a.turn - 2 OR (b.turn = a.turn - 1 AND b.role = 'system'))),
+p AS (SELECT DISTINCT id, 0::BIGINT AS depth FROM c WHERE id NOT IN (SELECT id FROM w)
+  UNION SELECT w.id, p.depth + 1 FROM p JOIN w ON w.up = p.id),
+d AS (SELECT id, max(depth) AS depth FROM p GROUP BY id),
+q AS (SELECT c.id, CASE role WHEN 'user' THEN 'ask' ELSE 'configure' END AS tool, c.turn, depth, c.text IS NOT NULL AS ok,
     CASE role WHEN 'user' THEN '{"conversation":' || conv_id || ',"prompt":' || to_json(c.text) || ',"turn":' || turn || '}'
-      ELSE '{"instructions":' || to_json(c.text) || ',"turn":' || turn || '}' END AS args
-  FROM c JOIN n ON c.id = n.id LEFT JOIN p ON c.id = p.id)
+      ELSE '{"instructions":' || to_json(c.text) || ',"turn":' || turn || '}' END AS args,
+    row_number() OVER (PARTITION BY c.id ORDER BY role <> 'user', to_json(c.text)::VARCHAR, k) AS nth,
+    row_number() OVER (PARTITION BY conv_id ORDER BY depth, turn, c.id, role <> 'user', to_json(c.text)::VARCHAR) - 1 AS ordinal
+  FROM c LEFT JOIN d ON c.id = d.id)
 SELECT coalesce(q.id, r.id) AS call_id,
-  CASE WHEN q.id IS NULL THEN 'no_call' WHEN same > 1 THEN 'repeated_call' WHEN r.id IS NULL THEN 'no_result' ELSE 'linked' END AS status,
-  tool, q.turn AS call_position, r.turn AS result_position, depth, ok AS arguments_valid,
+  CASE WHEN q.id IS NULL THEN 'no_call' WHEN nth > 1 THEN 'repeated_call' WHEN r.id IS NULL THEN 'no_result' ELSE 'linked' END AS status,
+  tool, q.turn AS call_position, r.turn AS result_position, depth, ordinal, ok AS arguments_valid,
   md5('{"arguments":' || coalesce(args, 'null') || ',"id":' || to_json(coalesce(q.id, r.id)) || ',"result":'
     || coalesce(to_json(r.text)::VARCHAR, 'null') || ',"tool":' || coalesce(to_json(tool)::VARCHAR, 'null') || '}') AS message_md5
-FROM q FULL JOIN r ON q.id = r.id
+FROM q FULL JOIN r ON q.id = r.id AND q.nth = 1
 """,
 }

@@ -172,14 +172,98 @@ def test_tool_calls(spark):
     assert a["message"] == r'{"arguments":{"conversation":2,"prompt":"x","turn":1},"id":"a","result":"say \"hi\"\n","tool":"ask"}'
     assert [got[k, p]["depth"] for k, p in (("b", 2), ("c", 3), ("d", 4), ("e", 5))] == [1, 2, None, None]
     assert [got[k, p]["arguments_valid"] for k, p in (("b", 2), ("c", 3), ("d", 4), ("f", 6), ("f", 7))] == [False] * 5
-    assert [got[k, p]["status"] for k, p in (("z", None), ("f", 6), ("b", 2), (None, 8))] == ["no_call", "repeated_call", "no_result", "no_result"]
+    assert [got[k, p]["status"] for k, p in (("z", None), ("f", 6), ("f", 7), ("b", 2), (None, 8))] == ["no_call", "linked", "repeated_call", "no_result", "no_result"]
     assert len(got) == 9
+    assert [got[k, p]["ordinal"] for k, p in (("a", 1), ("f", 6), ("f", 7), (None, 8), ("b", 2), ("c", 3), ("d", 4))] == [0, 1, 2, 3, 4, 5, None]
     none = chat.link_tool_calls(calls.limit(0), results.limit(0), chat.CONVERSATION_TOOLS)
     assert none.count() == 0
     plan = chat.link_conversations(spark.read.parquet(f"{SF}/conversations.parquet"))._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Arrow|Pandas", plan)
 
 
+@pytest.mark.parametrize("seed", [1, 2, 3])
+def test_order_of_call_graphs_equals_brute_force(spark, seed):
+    """Random graphs with long chains, joins of several ways, cycles, unknown and repeated identifiers."""
+    rng = random.Random(seed)
+    ids = [f"c{k}" for k in range(60)]
+    ups = {c: rng.sample(ids[:k], min(k, rng.choice([0, 1, 1, 1, 2, 3]))) for k, c in enumerate(ids)}
+    for k in range(30):
+        ups[f"n{k}"] = [f"n{k - 1}"] if k else ["c5", "missing"]
+    ups |= {"x0": ["x1"], "x1": ["x0"], "x2": ["x1", "c3"], "x3": ["x2"], "y": ["y"]}
+    rows = [(c, "t", "{}", [*u, None], rng.randrange(9), f"s{len(c)}") for c, u in ups.items()]
+    rows += [("c7", "t", "{}", ["c20"], 100, "s2"), ("c7", "t", "{}", None, 100, "s2")]
+    ups["c7"] = [*ups["c7"], "c20"]
+    ddl = "call_id string, tool string, arguments string, after array<string>, position bigint, thread string"
+    results = spark.createDataFrame([("c7", "r", 1), ("c7", "q", 2), ("c9", "r", 3)], "call_id string, content string, position bigint")
+    got = chat.link_tool_calls(spark.createDataFrame(rows, ddl).repartition(3), results, {"t": ()}).collect()
+    known: dict[str, int] = {}
+    for _ in ups:
+        for c, u in ups.items():
+            mine = [x for x in u if x in ups]
+            if c not in known and all(x in known for x in mine):
+                known[c] = 1 + max((known[x] for x in mine), default=-1)
+    assert {r["call_id"]: r["depth"] for r in got} == {c: known.get(c) for c in ups}
+    order = sorted((t, known[c], p, c) for c, _, _, _, p, t in rows if c in known)
+    first = {}
+    for k, (t, *_) in enumerate(order):
+        first.setdefault(t, k)
+    want = sorted((t, c, k - first[t]) for k, (t, _, _, c) in enumerate(order))
+    thread = {r[0]: r[5] for r in rows}
+    seen = sorted({(thread[r["call_id"]], r["call_id"], r["ordinal"]) for r in got if r["ordinal"] is not None})
+    assert seen == want
+    by = {(r["call_id"], r["ordinal"]): r["ordinal"] for r in got}
+    for c, u in ups.items():
+        for x in u:
+            if c in known and x in known and thread.get(c) == thread.get(x) and c != "c7" and x != "c7":
+                assert min(v for k, v in by.items() if k[0] == x) < min(v for k, v in by.items() if k[0] == c)
+    assert sorted(r["status"] for r in got if r["call_id"] == "c7") == ["linked", "linked", "repeated_call", "repeated_call"]
+
+
+SEARCH = {
+    "search": (
+        chat.Field("query", ("STRING",)),
+        chat.Field("mode", ("STRING",), required=False, one_of=("fast", "deep")),
+        chat.Field("top", ("BIGINT",), required=False, least=1, most=50),
+        chat.Field("tags", ("ARRAY",), required=False, items=chat.Field("", ("STRING",), one_of=("a", "b c"))),
+        chat.Field("where", ("OBJECT",), required=False, fields=(chat.Field("x y", ("BIGINT", "DECIMAL")), chat.Field("deep", ("OBJECT",), required=False, fields=(), open_=True))),
+        chat.Field("rows", ("ARRAY",), required=False, items=chat.Field("", ("OBJECT",), fields=(chat.Field("id", ("BIGINT",)),))),
+    )
+}
+
+
+@pytest.mark.parametrize(
+    ("arguments", "valid"),
+    [
+        ('{"query":"q"}', True),
+        ('{"query":1}', False),
+        ('{"query":"q","mode":"deep"}', True),
+        ('{"query":"q","mode":"slow"}', False),
+        ('{"query":"q","top":50}', True),
+        ('{"query":"q","top":51}', False),
+        ('{"query":"q","tags":["a","b c"]}', True),
+        ('{"query":"q","tags":["a",3]}', False),
+        ('{"query":"q","tags":[]}', True),
+        ('{"query":"q","where":{"x y":1.5}}', True),
+        ('{"query":"q","where":{"x y":1,"deep":{"any":[1]}}}', True),
+        ('{"query":"q","where":{"x y":1,"more":2}}', False),
+        ('{"query":"q","where":{}}', False),
+        ('{"query":"q","rows":[{"id":1},{"id":2}]}', True),
+        ('{"query":"q","rows":[{"id":1},{"id":"2"}]}', False),
+        ('{"query":"q","other":1}', False),
+        ("[1]", False),
+    ],
+)
+def test_nested_schemas(spark, arguments, valid):
+    df = spark.createDataFrame([("search", arguments)], "tool string, a string").select("tool", F.try_parse_json("a").alias("p"))
+    assert df.select(chat.arguments_valid(F.col("tool"), F.col("p"), SEARCH)).first()[0] is valid
+
+
+def test_turns_of_all_roles_are_calls_or_results(spark):
+    rows = [(1, 0, "system", "s"), (1, 1, "user", "u"), (1, 2, "tool", "t"), (1, 3, None, "n"), (None, None, "user", None)]
+    got = chat.link_conversations(spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string")).collect()
+    assert sorted((r["status"], r["depth"]) if r["depth"] is not None else (r["status"], -1) for r in got) == [("linked", 1), ("no_call", -1), ("no_result", 0), ("no_result", 0)]
+
+
 def test_toxicity_on_labelled_rows(spark, odd, labels, empty):
     got = toxicity.toxicity_scores(odd, labels).collect()
     assert len(got) == odd.count()
