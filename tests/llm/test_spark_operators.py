@@ -295,6 +295,42 @@ def test_resampling(spark, odd, labels, empty):
     assert all(r["log_weight"] == 0 for r in importance.resample(odd, labels.limit(0)).collect())
 
 
+def test_resampling_equals_brute_force(spark, odd, labels):
+    """Counts, log weights, noise and the draw again, text by text in plain Python."""
+    from math import log
+
+    rng = random.Random(2)
+    rows = [(100 + k, " ".join(rng.choices(["good", "bad", "other", "é", "word"], weights=[1 + k % 3, 2, 2, 1, 1], k=rng.randrange(30))), "en", "s", 0) for k in range(60)]
+    docs = spark.createDataFrame(rows, DDL).union(odd.filter("doc_id <> 4"))
+    told = labels.union(spark.createDataFrame([(100 + k, int(k % 3 == 2), 0) for k in range(60)], "doc_id bigint, quality int, toxic int"))
+    texts = [(r["doc_id"], r["text"]) for r in docs.collect()]
+    good = {r["doc_id"] for r in told.collect() if r["quality"] == 1}
+
+    def buckets(text):
+        h = [zlib.crc32(w.encode()) for w in re.findall(r"[^ \t\n\x0b\x0c\r]+", (text or "").lower())]
+        pairs = [((a * 0x9E3779B1 + b * 0x85EBCA77) % (1 << 64)) >> 7 for a, b in zip(h, h[1:], strict=False)]
+        return [x % importance.BUCKETS for x in [*h, *pairs]]
+
+    raw, target = np.zeros(importance.BUCKETS), np.zeros(importance.BUCKETS)
+    for d, t in texts:
+        for b in buckets(t):
+            raw[b] += 1
+            target[b] += d in good
+    ratio = np.log((target + 1) / (target.sum() + importance.BUCKETS)) - np.log((raw + 1) / (raw.sum() + importance.BUCKETS))
+    noise = {r["doc_id"]: (r["h"] % (1 << 52) + 0.5) / (1 << 52) for r in docs.select("doc_id", F.xxhash64(F.lit(importance.SEED), "doc_id").alias("h")).collect()}
+    weight = {d: sum(ratio[b] for b in buckets(t)) for d, t in texts}
+    key = {d: weight[d] - log(-log(noise[d])) for d, _ in texts}
+    order = sorted(key, key=key.get, reverse=True)
+    chosen = set(order[: round(0.6 * len(texts))])
+    got = {r["doc_id"]: r for r in importance.resample(docs, told, share=0.6).collect()}
+    assert len(got) == len(texts)
+    for d, t in texts:
+        assert got[d]["n_ngrams"] == len(buckets(t))
+        assert got[d]["log_weight"] == pytest.approx(weight[d], abs=1e-9)
+        assert got[d]["gumbel_key"] == pytest.approx(key[d], abs=1e-9)
+        assert got[d]["kept"] == (d in chosen)
+
+
 @pytest.mark.parametrize("k", [1, 3, 500, 999, 1000])
 def test_threshold_is_the_kth_largest(spark, k):
     rng = random.Random(1)

@@ -9,6 +9,7 @@ from collections import Counter
 import numpy as np
 import public_tokenizers
 import pytest
+import xxhash
 import zstandard
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -292,6 +293,35 @@ def test_similarity():
     assert simhash.similarity("a b c d e f", "a b c d e g", 5) == pytest.approx(1 / 3)
 
 
+def naive_edges(data: bytes) -> list[int]:
+    """Chunk ends by looking at one byte after the other, the hash of the last 16 bytes summed anew each time."""
+    gear = [xxhash.xxh32_intdigest(bytes([b]), 1) >> 16 for b in range(256)]
+    edges, begin = [0], 0
+    if len(data) <= 8:
+        return [0, len(data)] if data else [0]
+    for i in range(len(data)):
+        h = sum(gear[data[i - age]] << age for age in range(min(16, i + 1))) & 0xFFFF
+        size = i + 1 - begin
+        zeros = 16 - h.bit_length()
+        if (size >= 32 and zeros >= 4) or (8 <= size < 32 and zeros >= 6) or size == 128:
+            begin = i + 1
+            edges.append(begin)
+    return edges if edges[-1] == len(data) else [*edges, len(data)]
+
+
+def test_chunks_equal_those_found_byte_by_byte():
+    rng = random.Random(6)
+    texts = [bytes(rng.choices(range(256), k=rng.randrange(900))) for _ in range(40)] + [b"a" * 400, b"ab" * 300, b"", b"12345678", b"123456789"]
+    texts += [" ".join(rng.choices(["some", "words", "of", "a", "text"], k=200)).encode() for _ in range(20)]
+    for t in texts:
+        assert fingerprints.chunk_edges(t) == naive_edges(t)
+    for a, b in zip(texts, texts[1:], strict=False):
+        pieces = [[t[i:j] for i, j in zip(e, e[1:], strict=False)] for t in (a, b) for e in [naive_edges(t)]]
+        common_ = sum(min(pieces[0].count(c), pieces[1].count(c)) * len(c) for c in set(pieces[0]))
+        got = fingerprints.containment(*(fingerprints.fingerprint(t.decode("latin-1")) for t in (a, b))) if max(a + b"\0" + b) < 128 else None
+        assert got is None or got == pytest.approx(common_ / len(a) if a else float(not b))
+
+
 @pytest.mark.parametrize("small", [4, 64, 10_000])
 def test_multikey_order(small):
     rng = np.random.default_rng(1)
