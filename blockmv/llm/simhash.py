@@ -51,6 +51,8 @@ _REFERENCES = np.array([xxhash.xxh64_intdigest(str(k), 7) for k in range(1, PIVO
 #: Bits of the parity sketch of a shingle set, and partners that a document is given in the first verifying round.
 SKETCH_BITS = 1024
 PARTNERS = 8
+#: Rows behind it that every row of a bucket is compared with before the largest component is set aside.
+NEXT = 64
 
 
 def shingle_hashes(text: str | None, words: int) -> np.ndarray:
@@ -154,43 +156,64 @@ def sweep_order(fp: np.ndarray, group: np.ndarray) -> np.ndarray:
     return np.lexsort([np.bitwise_count(fp ^ _REFERENCES[0]), group])
 
 
-def swept(fp: np.ndarray, group: np.ndarray, radius: int, wanted):
-    """Pairs (i, j), i < j, of one group at most ``radius`` bits apart. Rows are in sweep order.
+def swept(fp: np.ndarray, group: np.ndarray, radius: int, wanted, starts: np.ndarray | None = None, first: int = 1, last: int | None = None, back: bool = False):
+    """Pairs (i, j) of one group at most ``radius`` bits apart, i among ``starts``, j ``first`` to ``last`` places behind
+    it, or before it with ``back``. Rows are in sweep order.
 
-    A row is compared with those behind it until their first distances differ by more than the radius. ``wanted`` is
+    A row is compared with the next ones until their first distances differ by more than the radius. ``wanted`` is
     asked with (i, j), or with (i, None) for the rows that are still open, and says which to go on with.
     """
-    n = len(fp)
+    n, sign = len(fp), -1 if back else 1
     table = pivot_table(fp)
-    left, step = np.arange(n), 1
-    while True:
-        left = left[left + step < n]
-        left = left[(group[left] == group[left + step]) & (table[left + step, 0] - table[left, 0] <= radius)]
-        if step & (step - 1) == 0 and len(left):
-            left = left[wanted(left, None)]
-        if not len(left):
+    i, step = np.arange(n) if starts is None else starts, first
+    while last is None or step <= last:
+        j = i + sign * step
+        i = i[(j >= 0) & (j < n)]
+        j = i + sign * step
+        i = i[(group[i] == group[j]) & (np.abs(table[i, 0] - table[j, 0]) <= radius)]
+        if step & (step - 1) == 0 and len(i):
+            i = i[wanted(i, None)]
+        if not len(i):
             return
-        i, j = left, left + step
+        j = i + sign * step
         ask = wanted(i, j)
-        i, j = undiscarded(table, i[ask], j[ask], radius, 1)
-        near = np.bitwise_count(fp[i] ^ fp[j]) <= radius
+        x, y = undiscarded(table, i[ask], j[ask], radius, 1)
+        near = np.bitwise_count(fp[x] ^ fp[y]) <= radius
         if near.any():
-            yield i[near], j[near]
+            yield x[near], y[near]
         step += 1
 
 
+def _numbers(group: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where each group begins, and the number of each row's group."""
+    begin = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
+    return begin, np.repeat(np.arange(len(begin)), np.diff(np.append(begin, len(group))))
+
+
+def outsiders(number: np.ndarray, begin: np.ndarray, label: np.ndarray) -> np.ndarray:
+    """Rows that are not of the most frequent label of their group; of two as frequent, the smaller one counts."""
+    order = np.lexsort([label, number])
+    new = np.concatenate([[True], (number[order][1:] != number[order][:-1]) | (label[order][1:] != label[order][:-1])])
+    run = np.cumsum(new) - 1
+    size = np.empty(len(label), dtype=np.int64)
+    size[order] = np.bincount(run)[run]
+    most = np.maximum.reduceat(size, begin)[number]
+    chosen = np.minimum.reduceat(np.where(size == most, label, np.iinfo(np.int64).max), begin)
+    return np.flatnonzero(label != chosen[number])
+
+
 def link_labels(fp: np.ndarray, group: np.ndarray, radius: int) -> np.ndarray:
     """Smallest index of each row's component under all links of at most ``radius`` bits inside its group.
 
-    Rows are in sweep order. Pairs that are in one component already are passed over, and groups that have become
-    one component are left out from then on: a group of near copies takes a few steps, not all its pairs.
+    Rows are in sweep order. First each row meets the NEXT ones behind it, which joins most of what belongs together.
+    Rows of the largest component of a group need not meet each other any more, so then the others alone meet the rest:
+    a group of near copies with a few strangers takes the strangers' pairs, not all.
     """
     n = len(fp)
     label = np.arange(n)
     if not n:
         return label
-    begin = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
-    number = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, n)))
+    begin, number = _numbers(group)
 
     def wanted(i, j):
         if j is not None:
@@ -198,8 +221,12 @@ def link_labels(fp: np.ndarray, group: np.ndarray, radius: int) -> np.ndarray:
         open_ = ~np.logical_and.reduceat(label == begin[number], begin)
         return open_[number[i]]
 
-    for i, j in swept(fp, group, radius, wanted):
+    for i, j in swept(fp, group, radius, wanted, last=NEXT):
         _settle(label, i, j)
+    left = outsiders(number, begin, label)
+    for back in (False, True):
+        for i, j in swept(fp, group, radius, wanted, left, NEXT + 1, back=back):
+            _settle(label, i, j)
     return label
 
 
@@ -348,31 +375,35 @@ def with_sketches(texts: DataFrame, words: int) -> DataFrame:
 
 
 def open_pairs(fp, group, root, size, radius: int, least: float, most: int):
-    """Pairs (i, j) of one group that may be similar and have different roots: at most ``most`` for each j.
+    """Pairs (i, j) of one group that may be similar and have different roots: at most ``most`` for each i.
 
-    Rows are in sweep order. -> i, j, and the rows j that have further pairs. Fingerprints are at most ``radius`` bits
-    apart, and the sizes do not rule a similarity of ``least`` out. Groups of one root are left out as a whole.
+    Rows are in sweep order. -> i, j, and the rows i that have further pairs. Fingerprints are at most ``radius`` bits
+    apart, and the sizes do not rule a similarity of ``least`` out. Of two rows with different roots one is not of the
+    most frequent root of its group, so only those rows, i, meet the others.
     """
     seen = np.zeros(len(fp), dtype=np.int64)
     none = np.zeros(0, dtype=np.int64)
     if not len(fp):
         return none, none, none
-    begin = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
-    number = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, len(group))))
-    mixed = np.minimum.reduceat(root, begin) != np.maximum.reduceat(root, begin)
-
-    def wanted(i, j):
-        if j is None:
-            return mixed[number[i]]
-        # sets with a similarity of ``least`` differ in so many shingles at most
-        room = (size[i] + size[j]) * (1 - least) + 1e-6
-        return (root[i] != root[j]) & (np.abs(size[i] - size[j]) * (1 + least) <= room)
-
+    begin, number = _numbers(group)
+    left = outsiders(number, begin, root)
+    is_left = np.zeros(len(fp), dtype=bool)
+    is_left[left] = True
     found = [(none, none)]
-    for i, j in swept(fp, group, radius, wanted):
-        seen[j] += 1
-        within = seen[j] <= most
-        found.append((i[within], j[within]))
+    for back in (False, True):
+
+        def wanted(i, j, back=back):
+            if j is None:
+                return np.ones(len(i), dtype=bool)
+            # sets with a similarity of ``least`` differ in so many shingles at most
+            room = (size[i] + size[j]) * (1 - least) + 1e-6
+            fits = (root[i] != root[j]) & (np.abs(size[i] - size[j]) * (1 + least) <= room)
+            return fits & ~is_left[j] if back else fits  # two such rows have met on the way forward
+
+        for i, j in swept(fp, group, radius, wanted, left, back=back):
+            seen[i] += 1
+            within = seen[i] <= most
+            found.append((i[within], j[within]))
     i, j = (np.concatenate(x) for x in zip(*found, strict=True))
     return i, j, np.flatnonzero(seen > most)
 

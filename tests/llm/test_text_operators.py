@@ -238,7 +238,9 @@ def test_shingles_and_fingerprints():
     assert len(simhash.shingle_hashes("a a a a a a", 4)) == 3
 
 
-def test_link_labels_equal_brute_force():
+@pytest.mark.parametrize("next_", [1, 5, 64])
+def test_link_labels_equal_brute_force(monkeypatch, next_):
+    monkeypatch.setattr(simhash, "NEXT", next_)
     rng = np.random.default_rng(1)
     base = rng.integers(0, 2**63, 30, dtype=np.uint64)
     fp = np.unique(np.concatenate([base, *[base ^ np.uint64(1 << int(rng.integers(63))) ^ np.uint64(1 << int(rng.integers(63))) for _ in range(6)]]))
@@ -268,6 +270,32 @@ def test_pivots_discard_pairs_but_none_within_the_radius():
     assert len(simhash.undiscarded(both, np.arange(2000), np.arange(2000, 4000), 4)[0]) == 2000
 
 
+def test_outsiders():
+    group = np.array([0, 0, 0, 0, 3, 3, 9, 9, 9])
+    label = np.array([5, 4, 5, 1, 2, 1, 7, 7, 7])
+    begin, number = simhash._numbers(group)
+    assert simhash.outsiders(number, begin, label).tolist() == [1, 3, 4]
+
+
+@pytest.mark.parametrize("most", [1, 10**6])
+def test_open_pairs_equal_brute_force(most):
+    rng = np.random.default_rng(7)
+    fp = rng.integers(0, 2**9, 300, dtype=np.uint64)
+    group, root, size = np.sort(rng.integers(0, 6, 300)), rng.choice([5, 5, 5, 6, 7, 8], 300), rng.integers(80, 130, 300)
+    fp = fp[simhash.sweep_order(fp, group)]
+    i, j, more = simhash.open_pairs(fp, group, root, size, 2, 0.8, most)
+    near = (np.bitwise_count(fp[:, None] ^ fp[None, :]) <= 2) & (group[:, None] == group[None, :]) & (root[:, None] != root[None, :])
+    near &= np.abs(size[:, None] - size[None, :]) * 1.8 <= (size[:, None] + size[None, :]) * 0.2 + 1e-6
+    want = {(a, b) for a, b in zip(*map(np.ndarray.tolist, np.nonzero(near)), strict=True) if a < b}
+    got = [(min(p), max(p)) for p in zip(i.tolist(), j.tolist(), strict=True)]
+    assert len(got) == len(set(got))
+    assert set(got) <= want
+    assert (set(got) == want) == (not len(more))
+    assert len(more) > 0 or most > 1
+    # a row that gives no more pairs has given all of its own
+    assert all((a, b) in set(got) for a, b in want if a not in more and b not in more)
+
+
 def test_sweep_yields_exactly_the_pairs_within_the_radius():
     rng = np.random.default_rng(3)
     fp = rng.integers(0, 2**9, 400, dtype=np.uint64)
