@@ -50,7 +50,7 @@ PIVOTS = 24
 _REFERENCES = np.array([xxhash.xxh64_intdigest(str(k), 7) for k in range(1, PIVOTS + 1)], dtype=np.uint64)
 #: Bits of the parity sketch of a shingle set, and partners that a document is given in the first verifying round.
 SKETCH_BITS = 1024
-PARTNERS = 8
+PARTNERS = 64
 #: Rows behind it that every row of a bucket is compared with before the largest component is set aside.
 NEXT = 64
 
