@@ -1,98 +1,141 @@
 """The experiment workloads on the given tables. Each function returns a table of figures.
 
     python -m blockmv.experiments growing --tables /root/testdata/sf0.1 --cores 8
+
+Elements and statuses are counted and can be had in SQL as well; seconds and bytes depend on the machine.
 """
 
 from __future__ import annotations
 
 import argparse
-import time
+import statistics
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions import algebra as A
+from .functions.psi import named
 from .operators import algorithms as al
 from .operators import baselines, loop
-from .operators.arrow_kernels import multiply_arrow
+from .operators.arrow_kernels import iterate_arrow
 from .plans import blocks, cost
-from .plans.session import loop_settings, reliable
+from .plans.session import held
 from .sources import graphs as G
 
 FRACTIONS = (0.25, 0.35, 0.5, 0.71, 1.0)
+GRAPHS = ("conv_chain", "fk_forest", "word_bigram", "weblink_sym", "part_chain", "user_trans", "trade")
+METHODS = (*loop.PLACEMENTS, "reshuffle", "vertex_cut", "vertex_cut_memory", "vertex_centric")
+#: Workers of the growing study and bytes of memory that each of them may hold.
+WORKERS, BUDGET_BYTES = 4, 128 * 1024
+THETA = 24
 
 
-def _ranked(edges: DataFrame, vertices: DataFrame, method: str, b: int, iters: int, budget: int | None, seconds: float | None) -> tuple[str, float, int]:
-    """status, seconds, elements per iteration of one method."""
+def _run(edges: DataFrame, vertices: DataFrame, method: str, b: int | loop.Workers, iters: int, theta=THETA, psi: str = "md5", budget: int | None = None) -> tuple[loop.Result, int]:
+    """PageRank by one method, and the bytes that its largest task holds. The same budget stops any method that does not
+    fit it, the block methods included."""
     n = vertices.count()
     start = vertices.select("node", F.lit(1.0 / max(n, 1)).alias("val"))
     cells, alg = al.stochastic(edges), A.rank_algebra(0.85, max(n, 1))
-    shape = cost.GraphShape(n, edges.count())
-    began = time.time()
     if method in loop.PLACEMENTS:
-        if budget is not None and cost.memory_elements("hybrid" if method == "hybrid" else "vertical", shape, b) > budget:
-            return "o.o.m.", 0.0, 0
-        out = loop.run(cells, vertices, start, alg, method, b, max_iter=iters, budget_seconds=seconds)
-    elif method == "reshuffle":
-        out = baselines.reshuffle(cells, start, alg, iters, b, seconds)
-    elif method == "vertex_cut":
-        out = baselines.vertex_cut(cells, start, alg, iters, 2)
-    elif method == "vertex_cut_memory":
-        out = baselines.vertex_cut(cells, start, alg, iters, 2, "MEMORY_ONLY", budget)
-    else:
-        out = baselines.vertex_centric(cells, start, alg, iters, b, budget)
-    return out.status, time.time() - began, out.history[-1].total if out.history else 0
-
-
-METHODS = (*loop.PLACEMENTS, "reshuffle", "vertex_cut", "vertex_cut_memory", "vertex_centric")
-
-
-def growing(spark: SparkSession, d: str, graph: str = "part_chain", b: int = 4, iters: int = 8, budget: int | None = None, fractions=FRACTIONS, methods=METHODS) -> DataFrame:
-    """Induced subgraphs of growing size, all methods: who still finishes. The default memory budget (elements per task)
-    is the number of edges over b at the second largest size, so rivals that hold edges stop there and blocks do not."""
-    edges, vertices = G.BUILDERS[graph](spark, d)
-    rows, sizes = [], []
-    for f in fractions:
-        e = al.induced_subgraph(edges, f).cache()
-        v = al.vertices_of(e).cache()
-        sizes.append(e.count())
-        rows.append((f, e, v))
-    limit = budget if budget is not None else max(sizes[-2] // b, 1) if len(sizes) > 1 else None
+        with loop.laid_out(cells, vertices, method, b, psi, theta) as (bg, _, _):
+            need = bg.held_elements() * cost.ELEMENT_BYTES
+            if budget is not None and need > budget:
+                return loop.Result(start, method, bg.b, bg.theta, status="o.o.m."), need
+            return loop.iterate(bg, start, alg, iters), need
+    parts, f = b.number if isinstance(b, loop.Workers) else b, named(psi)
+    grid = max(2, round(parts**0.5))
+    part = f(F.col("src"), grid) * grid + f(F.col("dst"), grid)
+    if method == "reshuffle":
+        return baselines.reshuffle(cells, start, alg, iters, parts, psi=psi), cost.CELL_BYTES
+    if method == "vertex_cut":
+        return baselines.vertex_cut(cells, start, alg, iters, grid, psi=psi), cost.CELL_BYTES
+    if method == "vertex_cut_memory":
+        need = baselines.vertex_cut_bytes(edges.select("src", "dst", part.alias("part")))
+        return baselines.vertex_cut(cells, start, alg, iters, grid, "MEMORY_ONLY", budget, psi), need
+    out = edges.groupBy(F.col("src").alias("v")).agg(F.collect_list(F.struct("dst", "w")).alias("out")).withColumn("part", f(F.col("v"), parts))
+    need = baselines.vertex_centric_bytes(out, vertices, f, parts)
+    return baselines.vertex_centric(cells, start, alg, iters, parts, budget, psi), need
+
+
+def growing(
+    spark: SparkSession, d: str, graph: str = "part_chain", iters: int = 8, workers: int = WORKERS, budget: int = BUDGET_BYTES, fractions=FRACTIONS, methods=METHODS
+) -> DataFrame:
+    """Induced subgraphs of growing size, all methods: who still finishes, in which time, with how many elements.
+
+    Every worker may hold ``budget`` bytes. Block methods take as many blocks as that needs; what each method's largest
+    task holds is measured and decides its status."""
+    edges, _ = G.BUILDERS[graph](spark, d)
     out = []
-    for (f, e, v), m in zip(rows, sizes, strict=True):
-        for method in methods:
-            status, seconds, elements = _ranked(e, v, method, b, iters, limit, None)
-            out.append((graph, f, m, method, status, round(seconds, 3), elements))
-    return spark.createDataFrame(out, "graph string, fraction double, edges bigint, method string, status string, seconds double, elements bigint")
-
-
-def density(spark: SparkSession, d: str, graphs=("conv_chain", "fk_forest", "word_bigram", "weblink_sym", "part_chain", "user_trans", "trade"), bs=(4, 16), iters: int = 2) -> DataFrame:
-    """Four placements on graphs from sparse to dense: time and elements per iteration."""
+    with held(edges):
+        for fraction in fractions:
+            e = al.induced_subgraph(edges, fraction)
+            v = al.vertices_of(e)
+            with held(e, v):
+                m = e.count()
+                for method in methods:
+                    r, need = _run(e, v, method, loop.Workers(workers, budget), iters, budget=budget)
+                    last = r.history[-1] if r.history else None
+                    out.append((graph, fraction, m, method, r.status, need, last.total if last else 0, last.moved_bytes if last else 0, round(float(sum(h.seconds for h in r.history)), 3)))
+    ddl = "graph string, fraction double, edges bigint, method string, status string, held_bytes bigint, elements bigint, moved_bytes bigint, seconds double"
+    return spark.createDataFrame(out, ddl)
+
+
+def largest(figures: DataFrame) -> DataFrame:
+    """method, edges of the largest graph it did, and how many times as many the best of all methods did."""
+    per = figures.groupBy("method").agg(F.coalesce(F.max(F.when(F.col("status") == "done", F.col("edges"))), F.lit(0)).alias("edges"))
+    most = per.agg(F.max("edges").alias("most"))
+    return per.join(F.broadcast(most), F.lit(True)).select("method", "edges", F.round(F.col("most") / F.nullif("edges", F.lit(0)), 6).alias("ratio"))
+
+
+def density(spark: SparkSession, d: str, graphs=GRAPHS, bs=(4, 16, 64), iters: int = 2) -> DataFrame:
+    """Four placements on graphs from sparse to dense: time and elements per iteration. The hybrid's threshold is the one
+    of least expected cost."""
     out = []
     for g in graphs:
         edges, vertices = G.BUILDERS[g](spark, d)
-        shape = cost.shape_of(edges, vertices)
-        for b in bs:
-            for p in loop.PLACEMENTS:
-                status, seconds, elements = _ranked(edges, vertices, p, b, iters, None, None)
-                out.append((g, shape.density, b, p, round(seconds / iters, 3), elements))
-    return spark.createDataFrame(out, "graph string, density double, b int, method string, seconds double, elements bigint")
-
-
-def threshold(spark: SparkSession, d: str, graph: str = "supply_sym", b: int = 16, iters: int = 30, thetas=(0, 4, 16, 64, 256, None)) -> DataFrame:
-    """Time and elements of the hybrid over the degree threshold, beside the three models' expectations."""
+        with held(edges, vertices):
+            shape = cost.shape_of(edges, vertices)
+            for b in bs:
+                for p in loop.PLACEMENTS:
+                    r, _ = _run(edges, vertices, p, b, iters, "auto")
+                    last = r.history[-1]
+                    out.append((g, round(shape.density, 12), b, p, last.total, last.moved_bytes, round(statistics.mean(h.seconds for h in r.history), 3)))
+    return spark.createDataFrame(out, "graph string, density double, b int, method string, elements bigint, moved_bytes bigint, seconds double")
+
+
+def threshold(spark: SparkSession, d: str, graph: str = "supply_sym", b: int = 16, iters: int = 30, thetas=cost.THETAS) -> DataFrame:
+    """Time, elements and bytes of the hybrid over the degree threshold, beside the three models' expectations; which
+    threshold moves least and which is fastest."""
     edges, vertices = G.BUILDERS[graph](spark, d)
-    models = {m: dict(cost.choose_threshold(edges, vertices, b, m, tuple(thetas))[1]) for m in ("vertex_share", "edge_share", "row_conditional")}
     out = []
-    for t in thetas:
-        r = al.pagerank(edges, vertices, iters=iters, placement="hybrid", b=b, theta=t)
-        seconds = sum(h.seconds for h in r.history) / iters
-        out.append((t, r.history[-1].total, round(seconds, 4), *(float(models[m][t]) for m in models)))
-    return spark.createDataFrame(out, "theta bigint, elements bigint, seconds double, vertex_share double, edge_share double, row_conditional double")
+    with held(edges, vertices):
+        models = {m: dict(cost.choose_threshold(edges, vertices, b, m, tuple(thetas))[1]) for m in ("vertex_share", "edge_share", "row_conditional")}
+        for t in thetas:
+            r, _ = _run(edges, vertices, "hybrid", b, iters, t)
+            seconds = statistics.median(h.seconds for h in r.history)
+            out.append((t, r.history[-1].total, r.history[-1].moved_bytes, round(seconds, 4), *(round(float(models[m][t]), 3) for m in models)))
+    least, fast = min(x[1] for x in out), min(x[3] for x in out)
+    rows = [(*x, x[1] == least, x[3] == fast) for x in out]
+    ddl = "theta bigint, elements bigint, moved_bytes bigint, seconds double, vertex_share double, edge_share double, row_conditional double, moves_least boolean, is_fastest boolean"
+    return spark.createDataFrame(rows, ddl)
+
+
+def scaling(spark: SparkSession, d: str, graph: str = "cust_part_sym", workers=(1, 2, 4, 8), iters: int = 4, methods=("hybrid", "reshuffle")) -> DataFrame:
+    """Time on one worker over the time on n: a worker is a block, whose tasks run on one core at a time, so no more than
+    n cores work. The session needs as many cores as the largest number of workers."""
+    edges, vertices = G.BUILDERS[graph](spark, d)
+    out = []
+    with held(edges, vertices):
+        for method in methods:
+            runs = {w: _run(edges, vertices, method, w, iters, 64)[0] for w in workers}
+            seconds = {w: statistics.median(h.seconds for h in r.history) for w, r in runs.items()}
+            faster = cost.speedup(seconds, workers[0])
+            out += [(method, w, runs[w].history[-1].total, round(seconds[w], 4), round(faster[w], 3)) for w in workers]
+    return spark.createDataFrame(out, "method string, workers int, elements bigint, seconds double, speedup double")
 
 
-def balance(spark: SparkSession, d: str, graph: str = "cust_part_sym", workers=(4, 8, 16, 32, 64), psi: str = "hash") -> DataFrame:
+def balance(spark: SparkSession, d: str, graph: str = "cust_part_sym", workers=(4, 8, 16, 32, 64), psi: str = "md5") -> DataFrame:
     """What machine scaling rests on: the largest block's share of cells and partial results against the median, per
     number of workers, and the same for the rival that groups by destination alone (its last reducer)."""
     edges, _ = G.BUILDERS[graph](spark, d)
@@ -108,31 +151,29 @@ def balance(spark: SparkSession, d: str, graph: str = "cust_part_sym", workers=(
     return out
 
 
-def engines(spark: SparkSession, d: str, graph: str = "part_chain", b: int = 4, iters: int = 4, fractions=(0.5, 1.0)) -> DataFrame:
+def engines(spark: SparkSession, d: str, graph: str = "part_chain", b: int = 4, iters: int = 4, fractions=FRACTIONS) -> DataFrame:
     """State in memory against storage, columns against Arrow kernels, on growing subgraphs: seconds per iteration."""
-    edges, vertices = G.BUILDERS[graph](spark, d)
+    edges, _ = G.BUILDERS[graph](spark, d)
     out = []
-    for f in fractions:
-        e = al.induced_subgraph(edges, f).cache()
-        v = al.vertices_of(e).cache()
-        n, m = v.count(), e.count()
-        cells, alg = al.stochastic(e), A.rank_algebra(0.85, n)
-        bg = blocks.prepartition(cells, v, b, "hash", None)
-        start = v.select("node", F.lit(1.0 / n).alias("val"))
-        for state in ("memory", "storage"):
-            r = loop.iterate(bg, start, alg, iters, state=state)
-            out.append((f, m, f"columns, {state}", round(sum(h.seconds for h in r.history) / iters, 4)))
-        began = time.time()
-        with loop_settings(spark, b):
-            s = reliable(bg.nodes.withColumn("val", F.lit(1.0 / n)))
-            for _ in range(iters):
-                s = reliable(multiply_arrow(bg, s, alg))
-        out.append((f, m, "arrow, memory", round((time.time() - began) / iters, 4)))
-        bg.release()
-    return spark.createDataFrame(out, "fraction double, edges bigint, engine string, seconds double")
-
-
-EXPERIMENTS: dict[str, Callable[..., DataFrame]] = {"growing": growing, "density": density, "threshold": threshold, "balance": balance, "engines": engines}
+    with held(edges):
+        for f in fractions:
+            e = al.induced_subgraph(edges, f)
+            v = al.vertices_of(e)
+            with held(e, v):
+                n, m = v.count(), e.count()
+                alg = A.rank_algebra(0.85, n)
+                start = v.select("node", F.lit(1.0 / max(n, 1)).alias("val"))
+                with loop.laid_out(al.stochastic(e), v, "vertical", b, "md5") as (bg, _, _):
+                    runs = {f"columns, {state}": loop.iterate(bg, start, alg, iters, state=state) for state in ("memory", "storage")}
+                    runs["arrow, memory"] = iterate_arrow(bg, start, alg, iters)
+                    base = runs["columns, memory"].state
+                    for name, r in runs.items():
+                        gap = baselines.compare_states(r.state, base)
+                        out.append((f, m, n, name, gap < 1e-12, round(statistics.median(h.seconds for h in r.history), 4)))
+    return spark.createDataFrame(out, "fraction double, edges bigint, vertices bigint, engine string, agrees boolean, seconds double")
+
+
+EXPERIMENTS: dict[str, Callable[..., DataFrame]] = {"growing": growing, "density": density, "threshold": threshold, "scaling": scaling, "balance": balance, "engines": engines}
 
 
 def main() -> None:

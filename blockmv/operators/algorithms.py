@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from ..functions import algebra as A
 from ..plans.cost import degrees
-from .loop import Result, run
+from ..plans.session import held, loop_settings
+from .loop import Result, iterate, laid_out, run
 
 
 def stochastic(edges: DataFrame, weighted: bool = False) -> DataFrame:
@@ -19,50 +20,72 @@ def stochastic(edges: DataFrame, weighted: bool = False) -> DataFrame:
 
 
 def pagerank(edges: DataFrame, vertices: DataFrame, damping: float = 0.85, iters: int = 8, dangling: str = "leak", weighted: bool = False, **how) -> Result:
-    """Damped ranks from 1/n. dangling='uniform' spreads the rank of vertices without out-edges over all vertices."""
-    n = vertices.count()
-    start = vertices.select("node", F.lit(1.0 / max(n, 1)).alias("val"))
-    cells = stochastic(edges, weighted)
-    if dangling == "leak":
-        return run(cells, vertices, start, A.rank_algebra(damping, max(n, 1)), max_iter=iters, **how)
-    if dangling != "uniform":
+    """Damped ranks from 1/n. dangling='uniform' spreads the rank of vertices without out-edges over all vertices: their
+    mass is a single number, which enters the base of the next round."""
+    if dangling not in ("leak", "uniform"):
         raise ValueError(f"unknown treatment of dangling vertices: {dangling}")
-    return _uniform(cells, vertices, start, damping, n, iters, **how)
-
-
-def _uniform(cells: DataFrame, vertices: DataFrame, start: DataFrame, damping: float, n: int, iters: int, **how) -> Result:
-    """One round at a time: the dangling mass is a single number, added to the base of the next round."""
-    from ..plans.blocks import prepartition
-    from .loop import iterate, threshold_for
-
-    b = how.pop("b", 4)
-    placement, theta = threshold_for(how.pop("placement", "hybrid"), cells, vertices, b, how.pop("theta", "auto"), how.pop("model", "row_conditional"))
-    bg = prepartition(cells, vertices, b, how.pop("psi", "hash"), theta)
-    sources = cells.select(F.col("src").alias("node")).distinct()
-    state, history, status = start, [], "done"
-    try:
-        for k in range(1, iters + 1):
-            lost = state.join(sources, "node", "left_anti").agg(F.sum("val")).first()[0] or 0.0
+    with held(vertices):
+        n = vertices.count()
+        if dangling == "uniform":
+            return _uniform(stochastic(edges, weighted), vertices, damping, n, iters, **how)
+        start = vertices.select("node", F.lit(1.0 / max(n, 1)).alias("val"))
+        return run(stochastic(edges, weighted), vertices, start, A.rank_algebra(damping, max(n, 1)), max_iter=iters, **how)
+
+
+def _uniform(cells: DataFrame, vertices: DataFrame, damping: float, n: int, iters: int, **how) -> Result:
+    layout = {k: how.pop(k) for k in ("placement", "b", "psi", "theta", "model") if k in how}
+    start = vertices.select("node", F.lit(1.0 / max(n, 1)).alias("val"))
+    with laid_out(cells, vertices, **layout) as (bg, placement, theta):
+        with loop_settings(cells.sparkSession, bg.b):
+            # out of which vertices an edge goes, next to the vector: a join of the two moves neither
+            f = bg.psi
+            sources = cells.select(F.col("src").alias("s_node")).distinct().withColumn("s_blk", f(F.col("s_node"), bg.b))
+            sources = sources.repartitionById(bg.b, "s_blk").sortWithinPartitions("s_blk", "s_node").persist()
+
+        def shared(state: DataFrame, k: int) -> A.Algebra:
+            on = (state["blk"] == sources["s_blk"]) & (state["node"] == sources["s_node"])
+            lost = state.join(sources.hint("merge"), on, "left_anti").agg(F.sum("val")).first()[0] or 0.0
             base = (1.0 - damping) / n + damping * lost / n
-            step = A.Algebra("rank", "double", lambda w, v: w * v, F.sum, A.plus, 0.0, lambda old, acc, base=base: F.lit(base) + F.lit(damping) * acc)
-            one = iterate(bg, state, step, 1, **how)
-            state = one.state
-            history.append(one.history[0].__class__(k, *[getattr(one.history[0], f) for f in ("delta", "read", "written", "exchanged", "diagonal", "seconds")]))
-            if one.status == "converged":
-                status = "converged"
-                break
-    finally:
-        bg.release()
-    return Result(state, placement, b, theta, history, status)
-
-
-def random_walk_with_restart(edges: DataFrame, vertices: DataFrame, seeds: Column, n_seeds: int, restart: float = 0.15, iters: int = 8, weighted: bool = True, **how) -> Result:
-    """seeds: a condition over node, true for n_seeds vertices."""
+            return A.Algebra("rank", "double", lambda w, v: w * v, F.sum, A.plus, 0.0, lambda old, acc: F.lit(base) + F.lit(damping) * acc)
+
+        try:
+            out = iterate(bg, start, A.rank_algebra(damping, max(n, 1)), iters, shared=shared, **how)
+        finally:
+            sources.unpersist()
+    out.placement, out.theta = placement, theta
+    return out
+
+
+def random_walk_with_restart(edges: DataFrame, vertices: DataFrame, seeds: Column | DataFrame, n_seeds: int, restart: float = 0.15, iters: int = 8, weighted: bool = True, **how) -> Result:
+    """seeds: a condition over node, true for n_seeds vertices; or their ids (node), distinct, which are joined and
+    never collected: seeds hold their restart share in a state of their own scale."""
     share = 1.0 / max(n_seeds, 1)
+    if isinstance(seeds, DataFrame):
+        return _walk_from(edges, vertices, seeds, share, restart, iters, weighted, **how)
     start = vertices.select("node", F.when(seeds, F.lit(share)).otherwise(F.lit(0.0)).alias("val"))
     return run(stochastic(edges, weighted), vertices, start, A.restart_algebra(restart, seeds, share), max_iter=iters, **how)
 
 
+def _walk_from(edges: DataFrame, vertices: DataFrame, seeds: DataFrame, share: float, restart: float, iters: int, weighted: bool, **how) -> Result:
+    """The restart is a cell as well: a source outside the graph holds the constant 1 and has an edge to each seed, so
+    no table of seeds is joined in the loop."""
+    cells = stochastic(edges, weighted).withColumn("w", F.col("w") * F.lit(1.0 - restart))
+    home = vertices.agg(F.min("node")).first()[0]
+    source = (home or 0) - 1
+    spark = edges.sparkSession
+    outside = spark.createDataFrame([(source,)], "node bigint")
+    mine = seeds.select(F.lit(source).alias("src"), F.col("node").alias("dst"), F.lit(restart * share).alias("w"))
+    loop_ = spark.createDataFrame([(source, source, 1.0)], "src bigint, dst bigint, w double")
+    all_ = vertices.select("node").union(outside)
+    known = seeds.select(F.col("node").alias("s_node"))
+    start = all_.join(known, all_["node"] == known["s_node"], "left").select(
+        "node", F.when(F.col("node") == source, 1.0).when(F.col("s_node").isNotNull(), share).otherwise(0.0).alias("val")
+    )
+    out = run(cells.union(mine).union(loop_), all_, start, A.product_algebra(), max_iter=iters, **how)
+    out.state = out.state.filter(F.col("node") != source)
+    return out
+
+
 def _fixpoint(edges: DataFrame, vertices: DataFrame, start: DataFrame, algebra: A.Algebra, max_iter: int | None, **how) -> Result:
     """Rounds until nothing changes: no path without a cycle is longer than the number of vertices. Raises if
     ``max_iter`` rounds do not suffice; only a budget of seconds may end earlier, with its status."""
@@ -122,17 +145,25 @@ def spmv(edges: DataFrame, vertices: DataFrame, start: DataFrame, **how) -> Resu
 
 
 def power_iteration(edges: DataFrame, vertices: DataFrame, iters: int = 20, **how) -> tuple[float, Result]:
-    """The dominant eigenvalue (absolute) and vector, scaled to length one after each round."""
-    n = vertices.count()
-    state = vertices.select("node", F.lit(n**-0.5).alias("val"))
-    size, out = 0.0, None
-    for _ in range(iters):
-        out = spmv(edges, vertices, state, **how)
-        size = (out.state.agg(F.sum(F.col("val") * F.col("val"))).first()[0] or 0.0) ** 0.5
-        if not size:
-            break
-        state = out.state.select("node", (F.col("val") / F.lit(size)).alias("val"))
-    out.state = state
+    """The dominant eigenvalue (absolute) and vector of length one. Blocks are laid out once; each round scales by the
+    length of the vector before it, which is one number."""
+    layout = {k: how.pop(k) for k in ("placement", "b", "psi", "theta", "model") if k in how}
+    sizes: list[float] = []
+
+    def length(state: DataFrame) -> float:
+        return (state.agg(F.sum(F.col("val") * F.col("val"))).first()[0] or 0.0) ** 0.5
+
+    def shared(state: DataFrame, k: int) -> A.Algebra:
+        sizes.append(length(state))
+        scale = 1.0 / sizes[-1] if sizes[-1] else 0.0
+        return A.Algebra("power", "double", lambda w, v: w * v * F.lit(scale), F.sum, A.plus, 0.0, lambda old, acc: acc)
+
+    ones = vertices.select("node", F.lit(1.0).alias("val"))
+    with laid_out(edges, vertices, **layout) as (bg, placement, theta):
+        out = iterate(bg, ones, A.product_algebra(), iters, shared=shared, **how)
+    size = length(out.state)
+    out.state = out.state.select("node", (F.col("val") / F.lit(size or 1.0)).alias("val"))
+    out.placement, out.theta = placement, theta
     return size, out
 
 

@@ -6,13 +6,17 @@ Numeric algebras of the kinds sum, min and max over w*v, w+v or v.
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..functions.algebra import Algebra
 from ..plans.blocks import BlockedGraph
+from ..plans.session import Traffic, forget, loop_settings, reliable
+from .loop import Result, Round
 
 _COMBINE = {
     "times": lambda w, v: w * v,
@@ -64,3 +68,22 @@ def multiply_arrow(bg: BlockedGraph, state: DataFrame, algebra: Algebra, combine
     accs = [F.coalesce(F.col(c), algebra.zero()) for c in have] or [algebra.zero()]
     acc = accs[0] if len(accs) == 1 else algebra.merge(*accs)
     return now.select("node", "blk", "heavy", algebra.assign(F.col("val"), acc).cast("double").alias("val"))
+
+
+def iterate_arrow(bg: BlockedGraph, start: DataFrame, algebra: Algebra, max_iter: int, combine: str = "times", fold: str = "sum") -> Result:
+    """start (node, val) -> the state after ``max_iter`` products by Arrow kernels; one reliable checkpoint a round."""
+    spark = start.sparkSession
+    out = Result(start, "arrow", bg.b, bg.theta)
+    with loop_settings(spark, bg.b):
+        first = start.select(F.col("node").alias("s_node"), "val")
+        now = bg.nodes.join(first, bg.nodes["node"] == first["s_node"], "left")
+        now = reliable(now.select("node", "blk", "heavy", F.coalesce(F.col("val").cast("double"), algebra.zero()).alias("val")))
+        traffic = Traffic(spark)
+        for k in range(1, max_iter + 1):
+            tick, seen = time.time(), Observation()
+            made = multiply_arrow(bg, now, algebra, combine, fold).observe(seen, F.count(F.lit(1)).alias("n"))
+            last, now = now, reliable(made)
+            forget(last)
+            out.history.append(Round(k, float("nan"), bg.light_nodes + bg.b * bg.heavy_nodes, seen.get["n"], 0, 0, time.time() - tick, traffic.taken()))
+    out.state = now.select("node", "val")
+    return out

@@ -5,24 +5,41 @@ from __future__ import annotations
 import time
 import uuid
 from collections.abc import Callable
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.algebra import Algebra
 from ..functions.psi import Psi
 from ..plans import cost
 from ..plans.blocks import BlockedGraph, prepartition
-from ..plans.session import forget, loop_settings, reliable, shared_folder
+from ..plans.session import Traffic, drop_folder, forget, held, loop_settings, reliable, shared_folder
 from .multiply import multiply
 
+@dataclass(frozen=True)
+class Workers:
+    """What the number of blocks follows from: workers, bytes of memory of one, and whether the engine holds the old
+    and the new sub-vector at once."""
+
+    number: int
+    memory_bytes: int
+    expansion: float = 2.0
+
+    def blocks(self, vertices: int) -> int:
+        return cost.block_count(vertices, self.number, max(1, self.memory_bytes // cost.ELEMENT_BYTES), self.expansion)
+
+
 PLACEMENTS = ("horizontal", "vertical", "selected", "hybrid")
 
 
 @dataclass(frozen=True)
 class Round:
-    """Vector elements of one iteration. ``diagonal``: partial results of own blocks, which stay where they are."""
+    """Vector elements of one iteration, counted while it ran. read: elements that tasks took in, each copy counted;
+    written: elements of the new state; exchanged: partial results stored for other blocks and loaded there (for rivals
+    whatever else moves); diagonal: partial results of own blocks, which stay where they are. moved_bytes: what Spark
+    wrote for exchanges."""
 
     iteration: int
     delta: float
@@ -31,6 +48,7 @@ class Round:
     exchanged: int
     diagonal: int
     seconds: float
+    moved_bytes: int = 0
 
     @property
     def total(self) -> int:
@@ -49,8 +67,8 @@ class Result:
     status: str = "done"
 
     def history_frame(self) -> DataFrame:
-        rows = [(r.iteration, r.delta, r.read, r.written, r.exchanged, r.diagonal, r.total, r.seconds, self.status) for r in self.history]
-        ddl = "iter int, delta double, read bigint, written bigint, exchanged bigint, diagonal bigint, total bigint, seconds double, status string"
+        rows = [(r.iteration, r.delta, r.read, r.written, r.exchanged, r.diagonal, r.total, r.moved_bytes, r.seconds, self.status) for r in self.history]
+        ddl = "iter int, delta double, read bigint, written bigint, exchanged bigint, diagonal bigint, total bigint, moved_bytes bigint, seconds double, status string"
         return self.state.sparkSession.createDataFrame(rows, ddl)
 
 
@@ -75,8 +93,13 @@ def threshold_for(placement: str, edges: DataFrame, vertices: DataFrame, b: int,
     return placement, cost.choose_threshold(edges, vertices, b, model)[0] if theta == "auto" else theta
 
 
-def _account(bg: BlockedGraph, off: int, diagonal: int, k: int, delta: float, seconds: float, copies: int) -> Round:
-    return Round(k, delta, bg.light_nodes + copies * bg.heavy_nodes, bg.vertices, 2 * off, diagonal, seconds)
+def _account(bg: BlockedGraph, made, written: int, copy: str, k: int, delta: float, seconds: float, moved: int) -> Round:
+    """A broadcast element is read by the tasks of all row blocks; other copies were counted one by one."""
+    partials = made.partials.get if made.partials else {}
+    copied = (made.copies.get.get("copies") or 0) if made.copies else 0
+    off, all_ = partials.get("off_block") or 0, partials.get("all") or 0
+    read = bg.light_nodes + (bg.b * copied if copy == "broadcast" else copied)
+    return Round(k, delta, read, written, 2 * off, all_ - off, seconds, moved)
 
 
 def iterate(
@@ -90,14 +113,15 @@ def iterate(
     state: str = "memory",
     path: str | None = None,
     budget_seconds: float | None = None,
-    before: Callable[[DataFrame], DataFrame] | None = None,
+    shared: Callable[[DataFrame, int], Algebra] | None = None,
 ) -> Result:
     """start (node, val) -> the state after the last round.
 
     state='memory' keeps the vector's partitioning through a reliable checkpoint of each round; state='storage' writes
     it as Parquet, one folder per round, from which ``resume`` can go on. tol: stop when the change (``max`` or ``sum``
-    of absolute differences; for other than numbers, the count of changed vertices) is at most tol. ``before`` may
-    change the state ahead of each product (a uniform spread of dangling rank, for example).
+    of absolute differences; for other than numbers, the count of changed vertices) is at most tol. ``shared`` may make
+    the algebra of a round from the state ahead of it, so numbers of the whole vector (dangling rank, its length) can
+    enter each product while blocks and vector stay where they are.
     """
     spark = start.sparkSession
     folder = path or f"{shared_folder(spark)}/vector-{uuid.uuid4().hex}"
@@ -111,15 +135,17 @@ def iterate(
         now = nodes.join(first.withColumn("s_blk", _block(bg, "s_node")).hint("merge"), (nodes["blk"] == F.col("s_blk")) & (nodes["node"] == F.col("s_node")), "left")
         now = now.select("node", "blk", "heavy", F.coalesce(F.col("val").cast(algebra.dtype), algebra.zero()).alias("val"))
         now = _kept(now, bg, state, folder, 0)
+        traffic = Traffic(spark)
         for k in range(1, max_iter + 1):
             tick = time.time()
-            made = multiply(bg, before(now) if before else now, algebra, copy)
-            last, now = now, _kept(made.state, bg, state, folder, k)
+            made = multiply(bg, now, shared(now, k) if shared else algebra, copy)
+            count = Observation()
+            last, now = now, _kept(made.state.observe(count, F.count(F.lit(1)).alias("n")), bg, state, folder, k)
             forget(last)
-            seen = made.partials.get if made.partials else {"off_block": 0, "all": 0}
+            if state == "storage" and path is None and k > 1:
+                drop_folder(spark, f"{folder}/round={k - 2:05d}")  # nobody knows the folder, so nobody resumes from it
             delta = _change(now, numeric, norm) if tol is not None else float("nan")
-            off, all_ = seen.get("off_block") or 0, seen.get("all") or 0
-            out.history.append(_account(bg, off, all_ - off, k, delta, time.time() - tick, bg.b))
+            out.history.append(_account(bg, made, count.get["n"], copy, k, delta, time.time() - tick, traffic.taken()))
             if tol is not None and delta <= tol:
                 out.status = "converged"
                 break
@@ -165,13 +191,34 @@ def _change(now: DataFrame, numeric: bool, norm: str) -> float:
     return float(got or 0)
 
 
+@contextmanager
+def laid_out(edges: DataFrame, vertices: DataFrame, placement: str = "hybrid", b: int | Workers = 4, psi: str | Psi = "hash", theta: int | str | None = "auto", model: str = "row_conditional"):
+    """The blocks of a graph for as long as they are needed: (blocks, placement after selection, threshold).
+
+    The edges are read from their source once and held on executors' disks until they are laid out. b: a number, or the
+    workers and their memory, from which the number of blocks follows.
+    """
+    with held(edges, vertices):
+        workers = b if isinstance(b, Workers) else None
+        b = workers.blocks(vertices.count()) if workers else b
+        chosen, t = threshold_for(placement, edges, vertices, b, theta, model)
+        bg = prepartition(edges, vertices, b, psi, t)
+        if workers:
+            bg.hashed = 0
+            bg.hashed = max(0, workers.memory_bytes // cost.ELEMENT_BYTES - bg.held_elements())
+    try:
+        yield bg, chosen, t
+    finally:
+        bg.release()
+
+
 def run(
     edges: DataFrame,
     vertices: DataFrame,
     start: DataFrame,
     algebra: Algebra,
     placement: str = "hybrid",
-    b: int = 4,
+    b: int | Workers = 4,
     psi: str | Psi = "hash",
     theta: int | str | None = "auto",
     model: str = "row_conditional",
@@ -179,11 +226,7 @@ def run(
     **how,
 ) -> Result:
     """Partition once, then iterate. See ``iterate`` for the other settings."""
-    chosen, t = threshold_for(placement, edges, vertices, b, theta, model)
-    bg = prepartition(edges, vertices, b, psi, t)
-    try:
+    with laid_out(edges, vertices, placement, b, psi, theta, model) as (bg, chosen, t):
         out = iterate(bg, start, algebra, max_iter, **how)
-    finally:
-        bg.release()
     out.placement, out.theta = chosen, t
     return out

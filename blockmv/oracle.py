@@ -187,3 +187,89 @@ def hops(name: str, source: str, depth: int) -> str:
         f" SELECT e.dst, r.k + 1 FROM r JOIN e ON r.node = e.src WHERE r.k < {depth})"
         " SELECT v.node, l.k::BIGINT AS level FROM v LEFT JOIN (SELECT node, min(k) AS k FROM r GROUP BY node) l ON v.node = l.node"
     )
+
+
+def fraction_of(name: str, f: float) -> str:
+    """CTEs e, v of the subgraph that a vertex sample induces, without the leading WITH."""
+    keep = lambda x: f"('0x' || substr(md5({x}::VARCHAR), 1, 8))::BIGINT < floor({f}::DOUBLE * 4294967296)"
+    return (
+        f"e0 AS MATERIALIZED ({EDGES[name]}), e AS MATERIALIZED (SELECT * FROM e0 WHERE {keep('src')} AND {keep('dst')}),"
+        " v AS MATERIALIZED (SELECT src AS node FROM e UNION SELECT dst FROM e)"
+    )
+
+
+def placements(theta: int | None, b: str = "b") -> str:
+    """CTEs that count, for the blocks of md5 in table bb (b): n, m; heavy vertices; partial results; the largest block."""
+    light = "true" if theta is None else f"coalesce(k, 0) < {theta}"
+    p, q = block("md5", "src", b), block("md5", "dst", b)
+    return (
+        "c AS MATERIALIZED (SELECT (SELECT count(*) FROM v) AS n, (SELECT count(*) FROM e) AS m), d AS MATERIALIZED (SELECT src AS s, count(*) AS k FROM e GROUP BY src),"
+        f" h AS MATERIALIZED (SELECT count(*) FILTER ({light}) AS ns, count(*) FILTER (NOT ({light})) AS nd FROM v LEFT JOIN d ON node = s),"
+        f" pv AS MATERIALIZED (SELECT count(*) FILTER (cb <> rb) AS off FROM (SELECT DISTINCT {p} AS cb, {q} AS rb, dst FROM e, bb)),"
+        f" ph AS MATERIALIZED (SELECT count(*) FILTER (cb <> rb) AS off FROM (SELECT DISTINCT {p} AS cb, {q} AS rb, dst FROM e JOIN d ON src = s, bb WHERE {light})),"
+        f" mb AS MATERIALIZED (SELECT max(x) AS x FROM (SELECT count(*) AS x FROM v, bb GROUP BY {block('md5', 'node', b)}))"
+    )
+
+
+def growing(name: str, fractions: tuple[float, ...], workers: int, budget: int, theta: int, element: int = 16, cell: int = 24) -> str:
+    """What each method holds and moves on growing subgraphs, and whether it fits: fraction, edges, method, status,
+    held_bytes, elements."""
+    grid = max(2, round(workers**0.5))
+    part = f"{block('md5', 'src', grid)} * {grid} + {block('md5', 'dst', grid)}"
+    w = lambda x: block("md5", x, workers)
+    one = (
+        "SELECT * FROM (WITH {cut}, bb AS (SELECT CASE WHEN 2.0::DOUBLE * count(*) / {most} < {workers} THEN {workers} ELSE ceil(2.0::DOUBLE * count(*) / {most})::BIGINT END AS b FROM v), {counts},"
+        " l AS (SELECT greatest(0, {most} - 2 * x) AS hashed FROM mb),"
+        " pw AS (SELECT count(*) FILTER (cb <> rb) AS off, count(*) AS all_ FROM (SELECT DISTINCT {wsrc} AS cb, {wdst} AS rb, dst FROM e)),"
+        " cut AS MATERIALIZED (SELECT src, dst, {part} AS part FROM e),"
+        " mi AS (SELECT (SELECT count(*) FROM (SELECT DISTINCT part, src FROM cut)) + (SELECT count(*) FROM (SELECT DISTINCT part, dst FROM cut)) AS copies),"
+        " vm AS (SELECT max(x) AS x FROM (SELECT count(*) * {cell} + (count(DISTINCT src) + count(DISTINCT dst)) * {element} AS x FROM cut GROUP BY part)),"
+        " wc AS (SELECT max(x) AS x FROM (SELECT p, sum(x) AS x FROM (SELECT {wnode} AS p, count(*) * 2 * {element} AS x FROM v GROUP BY 1"
+        " UNION ALL SELECT {wsrc}, count(*) * {cell} FROM e GROUP BY 1 UNION ALL SELECT p, count(*) * {element} FROM (SELECT DISTINCT {wsrc} AS p, dst FROM e) GROUP BY 1) GROUP BY p)),"
+        " s AS (SELECT CASE WHEN power(1 - m::DOUBLE / (n::DOUBLE * n), n::DOUBLE / b) < 0.5 THEN 'horizontal' ELSE 'vertical' END AS choice FROM c, bb),"
+        " x AS (SELECT 'horizontal' AS method, {element} * (2 * x + CASE WHEN n <= hashed THEN n ELSE 0 END) AS held, b * n + n AS total FROM mb, c, bb, l"
+        " UNION ALL SELECT 'vertical', {element} * 2 * x, 2 * n + 2 * off FROM mb, c, pv"
+        " UNION ALL SELECT 'hybrid', {element} * (2 * x + CASE WHEN nd <= hashed THEN nd ELSE 0 END), ns + b * nd + n + 2 * off FROM mb, c, bb, l, h, ph"
+        " UNION ALL SELECT 'reshuffle', {cell}, m + 2 * n + 2 * (m + n + off) FROM c, pw"
+        " UNION ALL SELECT 'vertex_cut', {cell}, 2 * n + 2 * copies FROM c, mi"
+        " UNION ALL SELECT 'vertex_cut_memory', x, 2 * n + 2 * copies FROM c, mi, vm"
+        " UNION ALL SELECT 'vertex_centric', x, 2 * n + 2 * off FROM c, pw, wc),"
+        " y AS (SELECT * FROM x UNION ALL SELECT 'selected', held, total FROM x JOIN s ON method = choice)"
+        " SELECT {f}::DOUBLE AS fraction, m AS edges, method, CASE WHEN held > {budget} THEN 'o.o.m.' ELSE 'done' END AS status, held::BIGINT AS held_bytes,"
+        " CASE WHEN held > {budget} THEN 0 ELSE total END::BIGINT AS elements FROM y, c)"
+    )
+    return " UNION ALL ".join(
+        one.format(
+            cut=fraction_of(name, f), most=budget // element, workers=workers, counts=placements(theta), wsrc=w("src"), wdst=w("dst"), wnode=w("node"), part=part, cell=cell, element=element, budget=budget, f=f
+        )
+        for f in fractions
+    )
+
+
+def densities(names: tuple[str, ...], bs: tuple[int, ...], candidates: tuple[int | None, ...]) -> str:
+    """Elements of the four placements, the hybrid at the threshold of least row-conditional cost."""
+    rows = []
+    for g in names:
+        for b in bs:
+            rows.append(
+                f"SELECT * FROM (WITH {graph(g)}, th AS MATERIALIZED (SELECT theta FROM ({thetas(g, b, candidates)}) ORDER BY cost_row_conditional, theta NULLS LAST LIMIT 1),"
+                f" t AS (SELECT coalesce(theta, 9223372036854775807) AS theta FROM th), bb AS (SELECT {b} AS b), {placements(None)},"
+                " hh AS MATERIALIZED (SELECT count(*) FILTER (coalesce(k, 0) < theta) AS ns, count(*) FILTER (coalesce(k, 0) >= theta) AS nd FROM t, v LEFT JOIN d ON node = s),"
+                f" po AS MATERIALIZED (SELECT count(*) FILTER (cb <> rb) AS off FROM (SELECT DISTINCT {block('md5', 'src', b)} AS cb, {block('md5', 'dst', b)} AS rb, dst FROM e JOIN d ON src = s, t WHERE k < theta)),"
+                " x AS (SELECT 'horizontal' AS method, b * n + n AS total FROM c, bb UNION ALL SELECT 'vertical', 2 * n + 2 * off FROM c, pv"
+                " UNION ALL SELECT 'hybrid', ns + b * nd + n + 2 * off FROM c, bb, hh, po),"
+                " y AS (SELECT * FROM x UNION ALL SELECT 'selected', total FROM x, c, bb WHERE method = CASE WHEN power(1 - m::DOUBLE / (n::DOUBLE * n), n::DOUBLE / b) < 0.5 THEN 'horizontal' ELSE 'vertical' END)"
+                f" SELECT '{g}' AS graph, round(m / (n::DOUBLE * n), 12) AS density, {b}::INT AS b, method, total::BIGINT AS elements FROM y, c)"
+            )
+    return " UNION ALL ".join(rows)
+
+
+def rmat(scale: int, draws: str, seed: int, quadrants: tuple[float, ...]) -> str:
+    """Edges of the generator; draws: a scalar query."""
+    a, b, c = (round(sum(quadrants[: k + 1]) * 65536) for k in range(3))
+    parts = ", ".join(f"md5(id || '-{seed}-{p}') AS x{p}" for p in range(-(-scale // 8)))
+    bits = ", ".join(f"('0x' || substr(x{k // 8}, {k % 8 * 4 + 1}, 4))::INT AS u{k}" for k in range(scale))
+    src = " + ".join(f"(u{k} >= {b})::BIGINT * {1 << (scale - 1 - k)}" for k in range(scale))
+    dst = " + ".join(f"((u{k} >= {a} AND u{k} < {b}) OR u{k} >= {c})::BIGINT * {1 << (scale - 1 - k)}" for k in range(scale))
+    drawn = f"SELECT {bits} FROM (SELECT {parts} FROM (SELECT unnest(range(({draws})::BIGINT)) AS id))"
+    return _pairs(f"SELECT {src} AS src, {dst} AS dst FROM ({drawn})")

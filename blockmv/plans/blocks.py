@@ -16,6 +16,12 @@ from ..functions.psi import Psi, named
 from .session import loop_settings
 
 
+#: Heavy vertices (8 bytes each) that are broadcast while cells are laid out.
+MAX_BROADCAST = 4_000_000
+#: Vector elements of a task up to which they are hashed.
+MAX_HASHED = 4_000_000
+
+
 @dataclass
 class BlockedGraph:
     """light: cells by column block; heavy: cells by row block; nodes: node, blk, heavy. Any frame may be empty."""
@@ -28,12 +34,31 @@ class BlockedGraph:
     heavy: DataFrame | None
     light_nodes: int
     heavy_nodes: int
+    light_cells: int = 0
+    heavy_cells: int = 0
+    #: Vector elements that a task may hash; beyond, cells and vector are merged, which spills.
+    hashed: int = MAX_HASHED
     held: list[DataFrame] = field(default_factory=list)
+    _routes: DataFrame | None = None
+
+    def heavy_routes(self) -> DataFrame:
+        """r_src, to: the row blocks that have a cell of a heavy vertex; made once, partitioned by vertex block."""
+        if self._routes is None:
+            made = self.heavy.select(F.col("src").alias("r_src"), F.col("rb").alias("to")).distinct()
+            self._routes = made.repartition("r_src").persist(StorageLevel.MEMORY_AND_DISK)
+            self.held.append(self._routes)
+        return self._routes
 
     @property
     def vertices(self) -> int:
         return self.light_nodes + self.heavy_nodes
 
+    def held_elements(self) -> int:
+        """Vector elements of the largest task, as they lie: the old and the new sub-vector, and the copies of heavy
+        vertices where they are hashed."""
+        block = self.nodes.groupBy("blk").count().agg(F.max("count")).first()[0] or 0
+        return 2 * block + (self.heavy_nodes if self.heavy is not None and self.heavy_nodes <= self.hashed else 0)
+
     def release(self) -> None:
         for df in self.held:
             df.unpersist()
@@ -56,10 +81,11 @@ def prepartition(
     theta: int | None = None,
     level: StorageLevel = StorageLevel.MEMORY_AND_DISK,
 ) -> BlockedGraph:
-    """edges (src, dst, w), vertices (node) -> blocks. The only time that cells are shuffled.
+    """edges (src, dst, w), vertices (node) -> blocks, laid out when this returns. The only time that cells are shuffled.
 
     Each cell goes to exactly one of the two layouts, sorted by block and source, so the join of an iteration reads it
-    in order. The frames are persisted; a lost executor recomputes its blocks from the source.
+    in order. The frames are persisted; a lost executor recomputes its blocks from the source. Up to MAX_BROADCAST heavy
+    vertices are broadcast to tell the cells apart; with more, cells are joined with the degrees, one more shuffle.
     """
     f = named(psi)
     spark = edges.sparkSession
@@ -70,19 +96,22 @@ def prepartition(
             nodes = nodes.withColumn("heavy", F.lit(theta is not None))
             parts = {"light": cells if theta is None else None, "heavy": None if theta is None else cells}
         else:
-            deg = out_degrees(edges)
-            cells = cells.join(deg, F.col("src") == F.col("node")).withColumn("heavy", F.col("deg") >= theta)
-            parts = {k: cells.filter("heavy" if k == "heavy" else "not heavy") for k in ("light", "heavy")}
-            nodes = nodes.join(deg, "node", "left").withColumn("heavy", F.coalesce(F.col("deg") >= theta, F.lit(False)))
+            large = out_degrees(edges).filter(F.col("deg") >= theta).select(F.col("node").alias("large")).persist(level)
+            known = F.broadcast(large) if large.count() <= MAX_BROADCAST else large
+            parts = {k: cells.join(known, cells["src"] == known["large"], f"left_{how}") for k, how in (("light", "anti"), ("heavy", "semi"))}
+            nodes = nodes.join(known, nodes["node"] == known["large"], "left").withColumn("heavy", F.col("large").isNotNull())
         nodes = nodes.select("node", "blk", "heavy").repartitionById(b, "blk").sortWithinPartitions("blk", "node").persist(level)
         counts = {r["heavy"]: r["count"] for r in nodes.groupBy("heavy").count().collect()}
-        held, made = [nodes], {}
+        held, made, cells_of = [nodes], {}, {"light": 0, "heavy": 0}
         for k, by in (("light", "cb"), ("heavy", "rb")):
             made[k] = None
             if parts[k] is not None and not (k == "heavy" and theta and not counts.get(True)):
                 made[k] = parts[k].select("src", "dst", "w", "cb", "rb").repartitionById(b, by).sortWithinPartitions(by, "src").persist(level)
                 held.append(made[k])
-    return BlockedGraph(b, theta, f, nodes, made["light"], made["heavy"], counts.get(False, 0), counts.get(True, 0), held)
+                cells_of[k] = made[k].count()
+        if theta is not None and theta > 0:
+            large.unpersist()
+    return BlockedGraph(b, theta, f, nodes, made["light"], made["heavy"], counts.get(False, 0), counts.get(True, 0), *cells_of.values(), held=held)
 
 
 def block_statistics(edges: DataFrame, b: int, psi: str | Psi = "hash", theta: int | None = None) -> DataFrame:

@@ -18,6 +18,10 @@ from pyspark.sql import functions as F
 THETAS: tuple[int | None, ...] = (0, 1, 2, 4, 8, 16, 32, 64, 128, 256, 512, 1024, None)
 
 
+#: Bytes of a vector element (id and value) and of a cell (two ids and a weight) in memory models.
+ELEMENT_BYTES, CELL_BYTES = 16, 24
+
+
 @dataclass(frozen=True)
 class GraphShape:
     vertices: int

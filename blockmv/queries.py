@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 import uuid
 from collections.abc import Callable
 from functools import partial
@@ -9,12 +10,16 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import experiments
 from . import oracle as O
 from .functions import algebra as A
+from .functions import psi
 from .operators import algorithms as al
 from .operators import baselines as rivals
 from .operators import loop
+from .operators.multiply import reference
 from .plans import blocks, cost
+from .plans.session import held, loop_settings, reliable, shared_folder
 from .sources import graphs as G
 from .sources.graphs import table
 from .streaming import edges as streams
@@ -90,7 +95,9 @@ def _prepartition(spark: SparkSession, d: str) -> DataFrame:
     edges, vertices = G.part_chain(spark, d)
     bg = blocks.prepartition(edges, vertices, 4, "mod", 16)
     cells = bg.light.unionByName(bg.heavy)
-    return cells.groupBy("rb", "cb").agg(F.count("*").alias("edges"), F.sum("w").alias("weight"))
+    out = reliable(cells.groupBy("rb", "cb").agg(F.count("*").alias("edges"), F.sum("w").alias("weight")))
+    bg.release()
+    return out
 
 
 _add(
@@ -143,14 +150,48 @@ _add(
 
 
 def _rmat(spark: SparkSession, d: str) -> DataFrame:
-    return _ordered_summary(*G.rmat_from(spark, d))
+    row = al.graph_summary(*G.rmat_from(spark, d))
+    return row.withColumns({"density": F.round("density", 12), "average": F.round("average", 9)})
+
+
+O.EDGES["rmat"] = O.rmat(12, "SELECT count(*) FROM lineitem", 42, G.RMAT)
+_add("rmat_edges", _rmat, O.summary("rmat"))
 
 
-def _ordered_summary(edges: DataFrame, vertices: DataFrame) -> DataFrame:
-    return al.graph_summary(edges, vertices)
+def _formats(spark: SparkSession, d: str) -> DataFrame:
+    """Edges written in each format and read again; weights are not part of an adjacency list."""
+    from .sources import edges_io
 
+    edges, _ = G.supply_sym(spark, d)
+    folder, out = f"{shared_folder(spark)}/formats-{uuid.uuid4().hex}", None
+    with held(edges):
+        for fmt in ("parquet", "csv", "tsv", "json", "adjacency"):
+            edges_io.write_edges(edges, f"{folder}/{fmt}", fmt)
+            back = edges_io.read_edges(spark, f"{folder}/{fmt}", fmt)
+            row = back.agg(F.lit(fmt).alias("format"), F.count("*").alias("m"), F.sum("src").cast("decimal(38,0)").cast("string").alias("sources"), F.sum("dst").cast("decimal(38,0)").cast("string").alias("targets"), F.sum("w").alias("w"))
+            out = row if out is None else out.union(row)
+    edges_io.write_blocks(blocks.with_blocks(edges, 4, "mod"), f"{folder}/blocks")
+    one = edges_io.read_block(spark, f"{folder}/blocks", 1)
+    row = one.agg(F.lit("block 1").alias("format"), F.count("*").alias("m"), F.sum("src").cast("decimal(38,0)").cast("string").alias("sources"), F.sum("dst").cast("decimal(38,0)").cast("string").alias("targets"), F.sum("w").alias("w"))
+    return out.union(row)
+
+
+_add(
+    "edge_formats",
+    _formats,
+    f"WITH {O.graph('supply_sym')}, f AS (SELECT unnest(['parquet', 'csv', 'tsv', 'json', 'adjacency', 'block 1']) AS format)"
+    " SELECT format, count(*) AS m, sum(src)::HUGEINT::VARCHAR AS sources, sum(dst)::HUGEINT::VARCHAR AS targets, sum(w) AS w FROM e, f WHERE format <> 'block 1' OR src % 4 = 1 GROUP BY format",
+)
 
-_add("rmat_edges", _rmat)
+
+def _renamed(spark: SparkSession, d: str) -> DataFrame:
+    """Ids replaced by names, and all edges turned around."""
+    edges, vertices = G.supply_sym(spark, d)
+    names = vertices.select("node", (F.col("node") * 2 + 1).alias("id"))
+    return al.transpose(al.relabel(edges, names)).select("src", "dst", "w")
+
+
+_add("relabel_transpose", _renamed, f"WITH {O.graph('supply_sym')} SELECT dst * 2 + 1 AS src, src * 2 + 1 AS dst, w FROM e")
 
 # ---- placements ----------------------------------------------------------------------------------------------------------
 
@@ -177,21 +218,10 @@ def _rwr_doc(spark: SparkSession, d: str) -> DataFrame:
     """From the labelled documents of good quality, over shared lines both ways."""
     edges, vertices = G.doc_line(spark, d)
     good = table(spark, d, "labels").filter("quality = 1").select(F.col("doc_id").alias("node")).distinct()
-    seeds = vertices.join(good, "node").select("node", F.lit(1).alias("seed"))
-    n = seeds.count()
-    edges = al.symmetrise(edges)
-    # the seeds are a column of the start vector and of the restart term alike: ids are joined, not collected
-    base = vertices.join(seeds, "node", "left").select("node", F.coalesce("seed", F.lit(0)).alias("seed"))
-    restart = 0.15
-    state = base.select("node", (F.col("seed") / n).alias("val"))
-    cells = al.stochastic(edges)
-    bg = blocks.prepartition(cells, vertices, 4, "hash", None)
-    for _ in range(6):
-        step = loop.iterate(bg, state, A.product_algebra(), 1).state
-        both = step.join(base, "node")
-        state = both.select("node", ((1 - restart) * F.col("val") + restart * F.col("seed") / n).alias("val"))
-    out = state.select("node", F.round("val", DIGITS).alias("score"))
-    return out
+    with held(edges, vertices):
+        seeds = vertices.join(good, "node", "left_semi")
+        found = al.random_walk_with_restart(al.symmetrise(edges), vertices, seeds, seeds.count(), iters=6, weighted=False, placement="vertical", b=4)
+    return found.state.select("node", F.round("val", DIGITS).alias("score"))
 
 
 _walk = O.FOLDED.format(fold="sum(m.w * o.val)")
@@ -292,13 +322,14 @@ _add(
 
 
 def _max_label(spark: SparkSession, d: str) -> DataFrame:
-    return al.largest_labels(*G.conv_chain(spark, d), placement="vertical", b=4).state.select("node", F.col("val").alias("label"))
+    edges, vertices = G.conv_chain(spark, d)
+    return al.largest_labels(al.symmetrise(edges), vertices, placement="vertical", b=4).state.select("node", F.col("val").alias("label"))
 
 
 _add(
     "max_label_conv",
-    _max_label,  # along the direction of the edges: a turn hears from the turns before it, itself the largest
-    f"WITH {O.graph('conv_chain')} SELECT node, node AS label FROM v",
+    _max_label,
+    f"WITH {O.graph('conv_chain')} SELECT node, max(node) OVER (PARTITION BY node // {1 << 20}) AS label FROM v",
 )
 
 
@@ -341,11 +372,64 @@ _add(
 
 
 def _power(spark: SparkSession, d: str) -> DataFrame:
-    size, _ = al.power_iteration(*G.user_trans(spark, d), iters=4, placement="horizontal", b=4)
-    return spark.createDataFrame([(4, round(size, 6))], "rounds int, eigenvalue double")
+    size, found = al.power_iteration(*G.user_trans(spark, d), iters=4, placement="horizontal", b=4)
+    return found.state.select("node", F.round("val", 8).alias("val"), F.lit(round(size, 6)).alias("eigenvalue"))
 
 
-_add("power_iteration_user_trans", _power)
+_add(
+    "power_iteration_user_trans",
+    _power,
+    O.chain(
+        f"{O.graph('user_trans')}, m AS (SELECT * FROM e)",
+        "SELECT node, 1.0::DOUBLE AS val FROM v",
+        "SELECT x.node, coalesce(acc, 0) / (SELECT sqrt(sum(val * val)) FROM {old}) AS val FROM {old} x " + O.FOLDED.format(fold="sum(m.w * o.val)"),
+        4,
+        "SELECT node, round(val / (SELECT sqrt(sum(val * val)) FROM {last}), 8) AS val, (SELECT round(sqrt(sum(val * val)), 6) FROM {last}) AS eigenvalue FROM {last}",
+    ),
+)
+
+
+def _reference(spark: SparkSession, d: str) -> DataFrame:
+    """The product without partitioning, four times: what all placements must equal."""
+    edges, vertices = G.part_chain(spark, d)
+    n = vertices.count()
+    state, cells = vertices.select("node", F.lit(1.0 / n).alias("val")), al.stochastic(edges)
+    for _ in range(4):
+        state = reference(cells, state, A.rank_algebra(0.85, n))
+    return state.select("node", F.round("val", DIGITS).alias("rank"))
+
+
+_add("pagerank4_reference", _reference, O.pagerank("part_chain", 4, DIGITS))
+
+
+def _by_memory(spark: SparkSession, d: str) -> DataFrame:
+    """Blocks from the workers' memory, heavy parts taken in chunks."""
+    edges, vertices = G.part_chain(spark, d)
+    return _ranks(al.pagerank(edges, vertices, iters=4, placement="horizontal", b=loop.Workers(4, 1 << 14), copy="chunked"))
+
+
+_add("pagerank4_blocks_by_memory", _by_memory, O.pagerank("part_chain", 4, DIGITS))
+_add("pagerank4_uniform_hybrid", partial(_pagerank, "part_chain", "hybrid", 4, 4, 24, dangling="uniform"), O.pagerank("part_chain", 4, DIGITS, uniform=True))
+
+
+def _block_counts(spark: SparkSession, d: str) -> DataFrame:
+    """The block-count rule: blocks for growing graphs and memories."""
+    rows = []
+    for g in ("trade", "part_chain", "fk_forest"):
+        n = G.BUILDERS[g](spark, d)[1].count()
+        rows += [(g, m, cost.block_count(n, 4, m, x), x) for m in (64, 1024, 1 << 20) for x in (1.0, 2.0)]
+    return spark.createDataFrame(rows, "graph string, memory bigint, b bigint, expansion double")
+
+
+_add(
+    "block_count_rule",
+    _block_counts,
+    " UNION ALL ".join(
+        f"SELECT * FROM (WITH {O.graph(g)}, n AS (SELECT count(*)::DOUBLE AS n FROM v) SELECT '{g}' AS graph, m::BIGINT AS memory, CASE WHEN x * n / m < 4 THEN 4 ELSE ceil(x * n / m)::BIGINT END AS b, x::DOUBLE AS expansion"
+        " FROM n, (VALUES (64), (1024), (1048576)) q(m), (VALUES (1.0), (2.0)) r(x))"
+        for g in ("trade", "part_chain", "fk_forest")
+    ),
+)
 
 
 def _sql_step(spark: SparkSession, d: str) -> DataFrame:
@@ -362,7 +446,10 @@ def _arrow(spark: SparkSession, d: str) -> DataFrame:
     edges, vertices = G.part_chain(spark, d)
     bg = blocks.prepartition(edges, vertices, 4, "hash", 24)
     state = bg.nodes.withColumn("val", (F.col("node") % 7).cast("double"))
-    return multiply_arrow(bg, state, A.product_algebra()).select("node", F.round("val", 6).alias("val"))
+    with loop_settings(spark, bg.b):
+        out = reliable(multiply_arrow(bg, state, A.product_algebra()).select("node", F.round("val", 6).alias("val")))
+    bg.release()
+    return out
 
 
 def _pandas_combine(spark: SparkSession, d: str) -> DataFrame:
@@ -380,7 +467,9 @@ def _saved(spark: SparkSession, d: str) -> DataFrame:
     name = f"blockmv_{uuid.uuid4().hex}"
     blocks.save_blocks(edges, name, 4)
     state = vertices.select("node", (F.col("node") % 7).cast("double").alias("val"))
-    return blocks.multiply_saved(name, state, 4, A.product_algebra()).select("node", F.round("val", 6).alias("val"))
+    out = reliable(blocks.multiply_saved(name, state, 4, A.product_algebra()).select("node", F.round("val", 6).alias("val")))
+    spark.sql(f"DROP TABLE {name}")
+    return out
 
 
 for _name, _f in (("spmv_sql", _sql_step), ("spmv_arrow", _arrow), ("spmv_pandas_combine", _pandas_combine), ("spmv_saved_blocks", _saved)):
@@ -496,16 +585,110 @@ def _regret(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "graph string, model string, choice string, regret double")
 
 
-_add("selection_regret", _regret)
+def _regret_sql() -> str:
+    rows = []
+    for g, b in (("part_chain", 4), ("weblink_sym", 4), ("conv_chain", 4), ("trade", 4)):
+        rows.append(
+            f"SELECT * FROM (WITH {O.graph(g)}, {O.DEGREES}, bb AS (SELECT {b} AS b), c AS (SELECT (SELECT count(*) FROM v)::DOUBLE AS n, (SELECT count(*) FROM e)::DOUBLE AS m),"
+            f" p AS (SELECT count(*) FILTER (cb <> rb) AS off FROM (SELECT DISTINCT {O.block('md5', 'src', b)} AS cb, {O.block('md5', 'dst', b)} AS rb, dst FROM e)),"
+            f" f AS (SELECT sum(1 - power(1 - 1.0::DOUBLE / {b}, in_degree)) AS filled FROM g),"
+            f" x AS (SELECT ({b} + 1) * n AS h, 2 * n + 2 * off AS vv, CASE WHEN power(1 - m / (n * n), n / {b}) < 0.5 THEN 'horizontal' ELSE 'vertical' END AS published,"
+            f" CASE WHEN ({b} + 1) * n < 2 * n + 2 * ({b} - 1) * filled THEN 'horizontal' ELSE 'vertical' END AS degree_aware FROM c, p, f)"
+            f" SELECT '{g}' AS graph, model, choice, round(CASE choice WHEN 'horizontal' THEN h ELSE vv END / least(h, vv), 6) AS regret FROM x,"
+            " LATERAL (SELECT 'published' AS model, published AS choice UNION ALL SELECT 'degree_aware', degree_aware))"
+        )
+    return " UNION ALL ".join(rows)
+
+
+_add("selection_regret", _regret, _regret_sql())
 
 
 def _memory(spark: SparkSession, d: str) -> DataFrame:
-    shape = cost.shape_of(*G.part_chain(spark, d))
-    rows = [(m, b, cost.memory_elements(m, shape, b, 100, shape.edges // b)) for m in ("vertical", "horizontal", "hybrid", "reshuffle", "vertex_cut", "vertex_centric") for b in (4, 16)]
-    return spark.createDataFrame(rows, "method string, b int, elements bigint")
+    """Bytes of the largest task of each method, measured on the laid out graph."""
+    edges, vertices = G.part_chain(spark, d)
+    rows = []
+    with held(edges, vertices):
+        for b in (4, 16):
+            for p, t in (("vertical", None), ("horizontal", 0), ("hybrid", 24)):
+                with loop.laid_out(edges, vertices, p, b, "md5", t) as (bg, _, _):
+                    rows.append((p, b, bg.held_elements() * cost.ELEMENT_BYTES))
+            grid = round(b**0.5)
+            part = psi.md5(F.col("src"), grid) * grid + psi.md5(F.col("dst"), grid)
+            rows.append(("vertex_cut", b, rivals.vertex_cut_bytes(edges.select("src", "dst", part.alias("part")))))
+            out = edges.groupBy(F.col("src").alias("v")).agg(F.collect_list(F.struct("dst", "w")).alias("out")).withColumn("part", psi.md5(F.col("v"), b))
+            rows.append(("vertex_centric", b, rivals.vertex_centric_bytes(out, vertices, psi.md5, b)))
+    return spark.createDataFrame(rows, "method string, b int, held_bytes bigint")
+
+
+def _memory_sql() -> str:
+    rows = []
+    for b in (4, 16):
+        grid = round(b**0.5)
+        w = lambda x: O.block("md5", x, b)  # noqa: B023, E731
+        rows.append(
+            f"SELECT method, {b}::INT AS b, held::BIGINT AS held_bytes FROM (WITH {O.graph('part_chain')}, bb AS (SELECT {b} AS b), {O.placements(24)},"
+            f" cut AS (SELECT src, dst, {O.block('md5', 'src', grid)} * {grid} + {O.block('md5', 'dst', grid)} AS part FROM e)"
+            " SELECT 'vertical' AS method, 32 * x AS held FROM mb UNION ALL SELECT 'horizontal', 32 * x + 16 * n FROM mb, c UNION ALL SELECT 'hybrid', 32 * x + 16 * nd FROM mb, h"
+            " UNION ALL SELECT 'vertex_cut', max(x) FROM (SELECT count(*) * 24 + (count(DISTINCT src) + count(DISTINCT dst)) * 16 AS x FROM cut GROUP BY part)"
+            f" UNION ALL SELECT 'vertex_centric', max(x) FROM (SELECT p, sum(x) AS x FROM (SELECT {w('node')} AS p, count(*) * 32 AS x FROM v GROUP BY 1"
+            f" UNION ALL SELECT {w('src')}, count(*) * 24 FROM e GROUP BY 1 UNION ALL SELECT p, count(*) * 16 FROM (SELECT DISTINCT {w('src')} AS p, dst FROM e) GROUP BY 1) GROUP BY p))"
+        )
+    return " UNION ALL ".join(rows)
+
+
+_add("memory_model", _memory, _memory_sql())
+
+
+def _partials(spark: SparkSession, d: str) -> DataFrame:
+    """Expected rows of a block's partial result, rows of all of them, and the bound of a round's elements that memory gives:
+    with M elements of memory, |v| / M blocks, no placement exchanges more than |v| * |v| / M elements and the vector."""
+    rows = []
+    for g in ("part_chain", "weblink_sym", "fk_forest"):
+        edges, vertices = G.BUILDERS[g](spark, d)
+        with held(edges, vertices):
+            shape = cost.shape_of(edges, vertices)
+            for b in (4, 16):
+                counted = blocks.block_statistics(edges, b, "md5").agg(F.sum("rows")).first()[0]
+                rho = 1 - cost.stays_empty(shape, b)
+                bound = shape.vertices**2 / (shape.vertices / b)
+                rows.append((g, b, round(cost.expected_partial(shape, b), 6), counted, round(rho, 9), round(bound, 3)))
+    return spark.createDataFrame(rows, "graph string, b int, expected double, all_rows bigint, rho double, bound double")
+
+
+_add(
+    "partial_sizes",
+    _partials,
+    " UNION ALL ".join(
+        f"SELECT * FROM (WITH {O.graph(g)}, c AS (SELECT (SELECT count(*) FROM v)::DOUBLE AS n, (SELECT count(*) FROM e)::DOUBLE AS m),"
+        f" p AS (SELECT count(*) AS rows FROM (SELECT DISTINCT {O.block('md5', 'src', b)} AS cb, {O.block('md5', 'dst', b)} AS rb, dst FROM e))"
+        f" SELECT '{g}' AS graph, {b}::INT AS b, round(n / {b} * (1 - power(1 - m / (n * n), n / {b})), 6) AS expected, rows AS all_rows,"
+        f" round(1 - power(1 - m / (n * n), n / {b}), 9) AS rho, round(n * {b}, 3) AS bound FROM c, p)"
+        for g in ("part_chain", "weblink_sym", "fk_forest")
+        for b in (4, 16)
+    ),
+)
 
 
-_add("memory_model", _memory)
+def _fitted(spark: SparkSession, d: str) -> DataFrame:
+    """The threshold table when the degrees come from the power-law fit instead of the counts."""
+    edges, vertices = G.word_bigram(spark, d)
+    with held(edges, vertices):
+        hist = cost.fitted_histogram(cost.degree_histogram(edges, vertices))
+        rows = cost.theta_table(hist, vertices.count(), 16, THETAS)
+        return reliable(rows.select("theta", F.round("cost_vertex_share", 2).alias("cost_vertex_share"), F.round("cost_edge_share", 2).alias("cost_edge_share")))
+
+
+_add(
+    "theta_table_power_law",
+    _fitted,
+    f"WITH h AS MATERIALIZED ({O.histogram('word_bigram')}), f AS (SELECT kind, regr_slope(ln(n), ln(degree)) AS a, regr_intercept(ln(n), ln(degree)) AS c FROM h WHERE degree > 0 GROUP BY kind),"
+    " q AS (SELECT h.kind, degree, n, CASE WHEN degree > 0 THEN exp(c + a * ln(degree)) END AS f FROM h JOIN f ON h.kind = f.kind),"
+    " z AS MATERIALIZED (SELECT kind, degree, CASE WHEN degree > 0 THEN f * sum(n) OVER w / sum(f) OVER w ELSE n END AS n FROM q WINDOW w AS (PARTITION BY kind, degree > 0)),"
+    f" t AS (SELECT th::BIGINT AS theta FROM (VALUES {", ".join("(NULL)" if t is None else f"({t})" for t in THETAS)}) q(th)), v AS (SELECT sum(n) AS n FROM h WHERE kind = 'out'),"
+    " p AS (SELECT theta, sum(CASE WHEN theta IS NULL OR degree < theta THEN n ELSE 0 END) / sum(n) AS pv, sum(CASE WHEN theta IS NULL OR degree < theta THEN n * degree ELSE 0 END) / sum(n * degree) AS pe FROM t, z WHERE kind = 'out' GROUP BY theta),"
+    " s AS (SELECT theta, pv, sum((1 - power(1 - pv / 16, degree)) * n) AS fv, sum((1 - power(1 - pe / 16, degree)) * n) AS fe FROM p, z WHERE kind = 'in' GROUP BY theta, pv)"
+    " SELECT theta, round(v.n * (pv + 16 * (1 - pv) + 1) + 30 * fv, 2) AS cost_vertex_share, round(v.n * (pv + 16 * (1 - pv) + 1) + 30 * fe, 2) AS cost_edge_share FROM s, v",
+)
 
 
 def _power_law(spark: SparkSession, d: str) -> DataFrame:
@@ -527,12 +710,12 @@ def _rival(how: Callable, spark: SparkSession, d: str) -> DataFrame:
     edges, vertices = G.part_chain(spark, d)
     n = vertices.count()
     start = vertices.select("node", F.lit(1.0 / n).alias("val"))
-    return _ranks(how(al.stochastic(edges), start, A.rank_algebra(0.85, n), iters=4))
+    return _ranks(how(al.stochastic(edges), start, A.rank_algebra(0.85, n), iters=8))
 
 
 for _name, _how in (("reshuffle", rivals.reshuffle), ("vertexcut", rivals.vertex_cut), ("vertexcentric", rivals.vertex_centric)):
-    _add(f"baseline_{_name}", partial(_rival, _how), O.pagerank("part_chain", 4, DIGITS))
-_add("baseline_vertexcut_memory", partial(_rival, partial(rivals.vertex_cut, storage="MEMORY_ONLY", budget_elements=10**9)), O.pagerank("part_chain", 4, DIGITS))
+    _add(f"baseline_{_name}", partial(_rival, _how), O.pagerank("part_chain", 8, DIGITS))
+_add("baseline_vertexcut_memory", partial(_rival, partial(rivals.vertex_cut, storage="MEMORY_ONLY", budget_bytes=10**9)), O.pagerank("part_chain", 8, DIGITS))
 
 
 def _replication(spark: SparkSession, d: str) -> DataFrame:
@@ -548,20 +731,63 @@ _add(
 )
 
 
-def _io_rivals(spark: SparkSession, d: str) -> DataFrame:
-    """Elements per iteration of all methods on one graph: only vectors against matrix and vector."""
+def _io_methods(spark: SparkSession, d: str) -> DataFrame:
+    """Elements of one round of each method on one graph: vectors alone against matrix and vector."""
     edges, vertices = G.part_chain(spark, d)
-    start = vertices.select("node", F.lit(1.0).alias("val"))
     rows = []
-    for p, t in (("horizontal", 0), ("vertical", None), ("hybrid", 24)):
-        h = loop.run(edges, vertices, start, A.product_algebra(), p, 4, "md5", t, max_iter=1).history[0]
-        rows.append((p, h.read, h.written, h.exchanged))
-    h = rivals.reshuffle(edges, start, A.product_algebra(), 1).history[0]
-    rows.append(("reshuffle", h.read, h.written, h.exchanged))
+    with held(edges, vertices):
+        for method in experiments.METHODS:
+            h = experiments._run(edges, vertices, method, 4, 1)[0].history[0]
+            rows.append((method, h.read, h.written, h.exchanged))
     return spark.createDataFrame(rows, "method string, read bigint, written bigint, exchanged bigint")
 
 
-_add("io_all_methods", _io_rivals)
+_cut = f"{O.block('md5', 'src', 2)} * 2 + {O.block('md5', 'dst', 2)}"
+_add(
+    "io_all_methods",
+    _io_methods,
+    f"WITH {O.graph('part_chain')}, bb AS (SELECT 4 AS b), {O.placements(experiments.THETA)}, cut AS (SELECT DISTINCT src, dst, {_cut} AS part FROM e),"
+    " mi AS (SELECT (SELECT count(*) FROM (SELECT DISTINCT part, src FROM cut)) + (SELECT count(*) FROM (SELECT DISTINCT part, dst FROM cut)) AS copies),"
+    " x AS (SELECT 'horizontal' AS method, 4 * n AS read, n AS written, 0 AS exchanged FROM c UNION ALL SELECT 'vertical', n, n, 2 * off FROM c, pv"
+    " UNION ALL SELECT 'hybrid', ns + 4 * nd, n, 2 * off FROM c, h, ph UNION ALL SELECT 'reshuffle', m + n, n, 2 * (m + n + off) FROM c, pv"
+    " UNION ALL SELECT 'vertex_cut', n, n, 2 * copies FROM c, mi UNION ALL SELECT 'vertex_cut_memory', n, n, 2 * copies FROM c, mi UNION ALL SELECT 'vertex_centric', n, n, 2 * off FROM c, pv)"
+    " SELECT method, read::BIGINT AS read, written::BIGINT AS written, exchanged::BIGINT AS exchanged FROM x UNION ALL SELECT 'selected', read, written, exchanged FROM x, c"
+    " WHERE method = CASE WHEN power(1 - m::DOUBLE / (n::DOUBLE * n), n::DOUBLE / 4) < 0.5 THEN 'horizontal' ELSE 'vertical' END",
+)
+
+
+def _differences(spark: SparkSession, d: str) -> DataFrame:
+    """Largest difference of each method's state from the unpartitioned product after two rounds: none over 1e-12."""
+    edges, vertices = G.part_chain(spark, d)
+    rows = []
+    with held(edges, vertices):
+        n = vertices.count()
+        state, cells = vertices.select("node", F.lit(1.0 / n).alias("val")), al.stochastic(edges)
+        for _ in range(2):
+            state = reliable(reference(cells, state, A.rank_algebra(0.85, n)))
+        for method in experiments.METHODS:
+            gap = rivals.compare_states(experiments._run(edges, vertices, method, 4, 2)[0].state, state)
+            rows.append((method, gap < 1e-12))
+    return spark.createDataFrame(rows, "method string, agrees boolean")
+
+
+_add("state_differences", _differences, f"SELECT method, true AS agrees FROM (VALUES {', '.join(f'({m!r})' for m in experiments.METHODS)}) q(method)")
+
+
+def _needed(spark: SparkSession, d: str) -> DataFrame:
+    """The ledger when a heavy element goes to those row blocks only that have a cell of it."""
+    edges, vertices = G.supply_sym(spark, d)
+    start = vertices.select("node", F.lit(1.0).alias("val"))
+    found = loop.run(edges, vertices, start, A.product_algebra(), "hybrid", 16, "md5", 16, max_iter=1, copy="needed")
+    return found.history_frame().select("read", "written", "exchanged")
+
+
+_add(
+    "io_measured_needed_supply_sym",
+    _needed,
+    f"WITH {O.graph('supply_sym')}, bb AS (SELECT 16 AS b), {O.placements(16)}, r AS (SELECT count(*) AS copies FROM (SELECT DISTINCT src, {O.block('md5', 'dst', 16)} FROM e JOIN d ON src = s WHERE k >= 16))"
+    " SELECT ns + copies AS read, n AS written, 2 * off AS exchanged FROM c, h, ph, r",
+)
 
 
 def _topk(spark: SparkSession, d: str) -> DataFrame:
@@ -583,42 +809,57 @@ _add(
     ),
 )
 
-# ---- experiments, small ----------------------------------------------------------------------------------------------------
-
-
-def _growing(spark: SparkSession, d: str) -> DataFrame:
-    from .experiments import growing
-
-    methods = ("selected", "hybrid", "reshuffle", "vertex_cut_memory", "vertex_centric")
-    return growing(spark, d, iters=1, fractions=(0.5, 1.0), methods=methods).drop("seconds")
-
-
-def _density(spark: SparkSession, d: str) -> DataFrame:
-    from .experiments import density
-
-    return density(spark, d, ("conv_chain", "trade"), (4,), 1).drop("seconds")
+# ---- experiments -----------------------------------------------------------------------------------------------------------
 
 
-def _threshold(spark: SparkSession, d: str) -> DataFrame:
-    from .experiments import threshold
+def _experiment(name: str, spark: SparkSession, d: str) -> DataFrame:
+    """The whole workload; what depends on the machine is left out of the rows that SQL must give."""
+    return getattr(experiments, name)(spark, d).drop("seconds", "moved_bytes", "is_fastest")
 
-    return threshold(spark, d, iters=1, thetas=(0, 64, None)).drop("seconds")
-
-
-def _balance(spark: SparkSession, d: str) -> DataFrame:
-    from .experiments import balance
-
-    return balance(spark, d)
 
+_growing = O.growing("part_chain", experiments.FRACTIONS, experiments.WORKERS, experiments.BUDGET_BYTES, experiments.THETA)
+_add("exp_growing", partial(_experiment, "growing"), f"SELECT 'part_chain' AS graph, * FROM ({_growing})")
+_add("exp_density", partial(_experiment, "density"), O.densities(experiments.GRAPHS, (4, 16, 64), THETAS))
+_add(
+    "exp_threshold",
+    partial(_experiment, "threshold"),
+    f"WITH m AS ({_sweep_sql('supply_sym', 'md5')}), t AS ({O.thetas('supply_sym', 16, THETAS)}) SELECT m.theta, measured::BIGINT AS elements, cost_vertex_share AS vertex_share,"
+    " cost_edge_share AS edge_share, cost_row_conditional AS row_conditional, measured = (SELECT min(measured) FROM m) AS moves_least FROM m JOIN t ON m.theta IS NOT DISTINCT FROM t.theta",
+)
+_add(
+    "exp_balance",
+    lambda spark, d: experiments.balance(spark, d).select("workers", *[F.round(c, 9).alias(c) for c in ("cells", "partials", "last_reducer")], "largest"),
+    " UNION ALL ".join(
+        f"SELECT * FROM (WITH {O.graph('cust_part_sym')}, x AS (SELECT {O.block('md5', 'src', w)} AS cb, {O.block('md5', 'dst', w)} AS rb, dst FROM e),"
+        " k AS (SELECT cb, count(*) AS edges FROM x GROUP BY cb), r AS (SELECT cb, count(*) AS rows FROM (SELECT DISTINCT cb, rb, dst FROM x) GROUP BY cb), l AS (SELECT rb, count(*) AS n FROM x GROUP BY rb)"
+        f" SELECT {w}::INT AS workers, round(max(edges) / median(edges)::DOUBLE, 9) AS cells, round((SELECT max(rows) / median(rows)::DOUBLE FROM r), 9) AS partials,"
+        " round((SELECT max(n) / median(n)::DOUBLE FROM l), 9) AS last_reducer, max(edges) AS largest FROM k)"
+        for w in (4, 8, 16, 32, 64)
+    ),
+)
+_add(
+    "exp_engines",
+    partial(_experiment, "engines"),
+    " UNION ALL ".join(
+        f"SELECT * FROM (WITH {O.fraction_of('part_chain', f)} SELECT {f}::DOUBLE AS fraction, (SELECT count(*) FROM e) AS edges, (SELECT count(*) FROM v) AS vertices, engine, true AS agrees"
+        " FROM (VALUES ('columns, memory'), ('columns, storage'), ('arrow, memory')) q(engine))"
+        for f in experiments.FRACTIONS
+    ),
+)
+_add("exp_scaling", lambda spark, d: experiments.scaling(spark, d).drop("seconds"))
 
-def _engines(spark: SparkSession, d: str) -> DataFrame:
-    from .experiments import engines
 
-    return engines(spark, d).drop("seconds")
+def _largest(spark: SparkSession, d: str) -> DataFrame:
+    """Who does the largest graph in the same memory, and how many times as large it is."""
+    return experiments.largest(experiments.growing(spark, d, iters=1))
 
 
-for _name, _f in (("growing", _growing), ("density", _density), ("threshold", _threshold), ("balance", _balance), ("engines", _engines)):
-    _add(f"exp_{_name}", _f)
+_add(
+    "exp_largest",
+    _largest,
+    f"WITH g AS ({_growing}), p AS (SELECT method, coalesce(max(edges) FILTER (status = 'done'), 0) AS edges FROM g GROUP BY method)"
+    " SELECT method, edges, round((SELECT max(edges) FROM p) / nullif(edges, 0)::DOUBLE, 6) AS ratio FROM p",
+)
 
 
 def _by_type(spark: SparkSession, d: str) -> DataFrame:
@@ -641,18 +882,76 @@ _add(
 
 
 def _stream(make: Callable[[DataFrame], DataFrame], mode: str, spark: SparkSession, d: str) -> DataFrame:
-    events = streams.event_stream(spark, f"{d}/events.parquet*")
-    return streams.run_to_end(make(events), f"s{uuid.uuid4().hex}", mode)
+    return streams.run_to_end(make(streams.event_stream(spark, f"{d}/events.parquet*")), mode)
+
+
+def _by_day(events: DataFrame, window: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    return window(events).select(F.date_format("start", "yyyy-MM-dd").alias("start"), "event_type", "n")
 
 
 _tumble = "SELECT date_trunc('day', ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"
-_add("stream_tumbling", partial(_stream, lambda e: streams.tumbling(e).select(F.date_format("start", "yyyy-MM-dd").alias("start"), "event_type", "n"), "complete"), f"SELECT strftime(start, '%Y-%m-%d') AS start, event_type, n FROM ({_tumble})")
+_add("stream_tumbling", partial(_stream, partial(_by_day, window=streams.tumbling), "complete"), f"SELECT strftime(start, '%Y-%m-%d') AS start, event_type, n FROM ({_tumble})")
 _add(
     "stream_sliding",
-    partial(_stream, lambda e: streams.sliding(e).select(F.date_format("start", "yyyy-MM-dd").alias("start"), "event_type", "n"), "complete"),
+    partial(_stream, partial(_by_day, window=streams.sliding), "complete"),
     f"SELECT strftime(s, '%Y-%m-%d') AS start, event_type, sum(n)::BIGINT AS n FROM (SELECT start AS s, event_type, n FROM ({_tumble})"
     f" UNION ALL SELECT start - INTERVAL 1 DAY, event_type, n FROM ({_tumble})) GROUP BY 1, 2",
 )
-_add("stream_session", partial(_stream, lambda e: streams.sessions(e).select("user_id", "n", F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start")), "complete"))
+_add(
+    "stream_session",
+    partial(_stream, lambda e: streams.sessions(e).select("user_id", "n", F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start")), "complete"),
+    # a session goes on while the next event comes before the gap after the last one has passed
+    "WITH g AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),"
+    " s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g)"
+    " SELECT user_id, count(*) AS n, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start FROM s GROUP BY user_id, k",
+)
 _add("stream_dedupe", partial(_stream, lambda e: streams.first_seen(e).select("event_id"), "append"), "SELECT DISTINCT event_id FROM events")
 _add("stream_degrees", partial(_stream, streams.running_degrees, "complete"), "SELECT user_id AS node, count(*) AS deg FROM events GROUP BY 1")
+
+
+def _stateful(spark: SparkSession, d: str) -> DataFrame:
+    """The latest degree of each user that the state of our own gave out."""
+    rows = _stream(streams.stateful_degrees, "update", spark, d)
+    return rows.groupBy("node").agg(F.max_by("deg", "batch").alias("deg"))
+
+
+_add("stream_stateful_degrees", _stateful, SQL["stream_degrees"])
+def _windowed(spark: SparkSession, d: str) -> DataFrame:
+    edges = _stream(streams.windowed_edges, "complete", spark, d)
+    return edges.groupBy("src").agg(F.sum("w").cast("bigint").alias("events"), F.count("*").alias("edges"))
+
+
+_add(
+    "stream_windowed_edges",
+    _windowed,
+    "SELECT user_id AS src, sum(w)::BIGINT AS events, count(*) AS edges FROM (SELECT user_id, date_trunc('day', ts), event_type, count(*) AS w FROM events GROUP BY ALL) GROUP BY 1",
+)
+
+
+def _with_ranks(spark: SparkSession, d: str) -> DataFrame:
+    """Events beside the rank that the last analysis gave their user."""
+    found = al.pagerank(*G.user_trans(spark, d), iters=2, placement="horizontal", b=4)
+    return _stream(lambda e: streams.with_ranks(e, found.state).select("event_id", F.round("rank", DIGITS).alias("rank")), "append", spark, d)
+
+
+_add("stream_with_ranks", _with_ranks, f"SELECT event_id, rank FROM events LEFT JOIN ({O.pagerank('user_trans', 2, DIGITS)}) r ON user_id = node")
+
+
+def _late(spark: SparkSession, d: str) -> DataFrame:
+    """The second half of the month comes first, then the first half: rows in time per day, and the late ones counted."""
+    folder = f"{shared_folder(spark)}/late-{uuid.uuid4().hex}"
+    rows = spark.read.parquet(f"{d}/events.parquet")
+    for k, half in enumerate(("ts >= timestamp_ntz '2024-01-16 00:00:00'", "ts < timestamp_ntz '2024-01-16 00:00:00'")):
+        rows.filter(half).coalesce(1).write.mode("append").parquet(f"{folder}/half={k}")
+        time.sleep(1.1)  # files are taken in the order of their times
+    in_time, late = streams.split_late(streams.event_stream(spark, f"{folder}/half=*"), f"{folder}/out")
+    days = in_time.groupBy(F.date_format("ts", "yyyy-MM-dd").alias("day")).agg(F.count("*").alias("n"))
+    return days.union(late.agg(F.lit("late").alias("day"), F.count("*").alias("n")))
+
+
+_add(
+    "stream_late",
+    _late,
+    "WITH m AS (SELECT max(ts) - INTERVAL 1 HOUR AS mark FROM events WHERE ts >= TIMESTAMP '2024-01-16'), x AS (SELECT ts, ts < TIMESTAMP '2024-01-16' AND ts < mark AS late FROM events, m)"
+    " SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS n FROM x WHERE NOT late GROUP BY 1 UNION ALL SELECT 'late', count(*) FROM x WHERE late",
+)

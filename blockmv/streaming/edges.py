@@ -6,10 +6,16 @@ watermarks need zoned ones.
 
 from __future__ import annotations
 
-from collections.abc import Callable
+import uuid
+from collections.abc import Callable, Iterator
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+from ..plans.session import shared_folder
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
@@ -56,14 +62,57 @@ def with_ranks(events: DataFrame, ranks: DataFrame) -> DataFrame:
     return events.join(ranks.select("node", F.col("val").alias("rank")), events["user_id"] == F.col("node"), "left").drop("node")
 
 
-def run_to_end(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Everything that is available now, into a table in memory: for reports and tests."""
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    if checkpoint:
-        writer = writer.option("checkpointLocation", checkpoint)
-    query = writer.start()
+def stateful_degrees(events: DataFrame) -> DataFrame:
+    """Out-degree so far of each user, kept by a state of our own: a row whenever a user's degree has grown."""
+
+    def grow(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        deg = (state.get[0] if state.exists else 0) + sum(len(f) for f in frames)
+        state.update((deg,))
+        yield pd.DataFrame({"node": [key[0]], "deg": [deg]})
+
+    return events.groupBy("user_id").applyInPandasWithState(grow, "node bigint, deg bigint", "deg bigint", "update", GroupStateTimeout.NoTimeout)
+
+
+def run_to_end(stream: DataFrame, mode: str = "append", path: str | None = None) -> DataFrame:
+    """Everything that is available now, as a Parquet table in the shared folder: no result passes through the driver.
+
+    A batch that is repeated replaces its own folder. mode: append (all batches), complete (the last one), update (all
+    batches, with the column ``batch``, which tells the latest row of a key).
+    """
+    spark = stream.sparkSession
+    folder = path or f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+
+    def write(batch: DataFrame, k: int) -> None:
+        to = f"{folder}/rows" if mode == "complete" else f"{folder}/rows/batch={k}"
+        batch.write.mode("overwrite").parquet(to)
+
+    query = stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    schema = stream.schema if mode == "complete" else T.StructType([*stream.schema.fields, T.StructField("batch", T.IntegerType())])
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{folder}/rows")
+    if not where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(where):
+        return spark.createDataFrame([], schema)
+    rows = spark.read.schema(schema).parquet(f"{folder}/rows")
+    return rows if mode != "append" else rows.drop("batch")
+
+
+def split_late(events: DataFrame, path: str, late: str = "1 hour") -> tuple[DataFrame, DataFrame]:
+    """The events in time, and those that came when the watermark - the latest time of the batches before, less ``late`` -
+    had passed them: nothing is lost silently. One number per batch reaches the driver."""
+    spark, latest = events.sparkSession, []
+
+    def write(batch: DataFrame, k: int) -> None:
+        held = batch.persist()
+        mark = F.lit(max(latest)) - F.expr(f"INTERVAL {late}") if latest else None
+        is_late = F.lit(False) if mark is None else F.coalesce(F.col("ts") < mark, F.lit(False))
+        held.filter(~is_late).write.mode("overwrite").parquet(f"{path}/in_time/batch={k}")
+        held.filter(is_late).write.mode("overwrite").parquet(f"{path}/late/batch={k}")
+        if (top := held.agg(F.max("ts")).first()[0]) is not None:
+            latest.append(top)
+        held.unpersist()
+
+    events.writeStream.foreachBatch(write).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start().awaitTermination()
+    return tuple(spark.read.schema(events.schema).parquet(f"{path}/{k}/*") for k in ("in_time", "late"))
 
 
 def append_blocks(edges: DataFrame, path: str, checkpoint: str, after: Callable[[DataFrame, int], None] | None = None) -> None:

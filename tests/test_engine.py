@@ -3,6 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
+from blockmv import experiments
 from blockmv.functions import algebra as A
 from blockmv.operators import algorithms as al
 from blockmv.operators import baselines, loop
@@ -69,9 +70,12 @@ def test_guard_sees_a_moved_matrix(spark, toy):
         assert guard.matrix_exchanges(moved)
 
 
-@pytest.mark.parametrize("copy", ["replicate", "broadcast", "needed"])
+@pytest.mark.parametrize("copy", ["replicate", "broadcast", "needed", "chunked"])
 def test_ways_to_copy(toy, copy):
     out = al.pagerank(*toy, iters=2, placement="horizontal", b=3, psi=pairs, copy=copy)
+    # each of six elements goes to three row blocks, or to those that have an edge of it
+    assert {h.read for h in out.history} == {10 if copy == "needed" else 18}
+    assert {h.written for h in out.history} == {6}
     want = al.pagerank(*toy, iters=2, placement="vertical", b=3, psi=pairs)
     assert baselines.compare_states(out.state, want.state) < 1e-15
 
@@ -150,8 +154,8 @@ def test_rivals_agree_and_run_out_of_memory(toy):
     want = reference(cells, reference(cells, start, alg), alg)
     for out in (baselines.reshuffle(cells, start, alg, 2), baselines.vertex_cut(cells, start, alg, 2), baselines.vertex_centric(cells, start, alg, 2)):
         assert baselines.compare_states(out.state, want) < 1e-15
-    assert baselines.vertex_cut(cells, start, alg, 2, storage="MEMORY_ONLY", budget_elements=1).status == "o.o.m."
-    assert baselines.vertex_centric(cells, start, alg, 2, budget_elements=1).status == "o.o.m."
+    assert baselines.vertex_cut(cells, start, alg, 2, storage="MEMORY_ONLY", budget_bytes=1).status == "o.o.m."
+    assert baselines.vertex_centric(cells, start, alg, 2, budget_bytes=1).status == "o.o.m."
     assert baselines.max_processed({"a": {5: "done", 9: "o.o.m."}}) == {"a": 5}
 
 
@@ -184,8 +188,100 @@ def test_rounds_leave_one_checkpoint(spark, toy):
     assert len(values(out.state)) == 6
 
 
-def test_balance_and_engines_are_registered_in_full(spark):
-    from blockmv import queries
+@pytest.mark.parametrize("analysis", [lambda e, v, **how: al.power_iteration(e, v, iters=3, **how)[1], lambda e, v, **how: al.pagerank(e, v, iters=3, dangling="uniform", **how)])
+def test_blocks_are_laid_out_once(toy, monkeypatch, analysis):
+    made = []
+    monkeypatch.setattr(loop, "prepartition", lambda *a, **k: made.append(1) or blocks.prepartition(*a, **k))
+    out = analysis(*toy, placement="hybrid", b=3, psi=pairs, theta=2)
+    assert len(made) == 1
+    assert len(out.history) == 3
 
-    assert queries._balance(spark, "/root/testdata/sf0.001").count() == 5
-    assert {r["fraction"] for r in queries._engines(spark, "/root/testdata/sf0.001").select("fraction").distinct().collect()} == {0.5, 1.0}
+
+def test_dominant_eigenvalue(spark):
+    import numpy as np
+
+    m = np.zeros((7, 7))
+    for a, b in graphs.TOY:
+        m[b, a] = 1.0
+    size, out = al.power_iteration(*graphs.toy6(spark), iters=60, placement="vertical", b=2)
+    assert size == pytest.approx(max(abs(np.linalg.eigvals(m))), abs=1e-6)
+    assert sum(x * x for x in values(out.state).values()) == pytest.approx(1.0)
+
+
+@pytest.mark.parametrize("theta", [0, 2, None])
+def test_merging_gives_what_hashing_gives(spark, toy, theta):
+    """A task that may hash nothing merges, in the same placement and without moving a cell."""
+    cells, start = al.stochastic(toy[0]), toy[1].withColumn("val", F.lit(1 / 6))
+    states = []
+    for hashed in (0, 10**6):
+        bg = blocks.prepartition(cells, toy[1], 3, pairs, theta)
+        bg.hashed = hashed
+        with loop_settings(spark, 3):
+            made = multiply(bg, reliable(bg.nodes.withColumn("val", F.lit(1 / 6))), A.rank_algebra(0.85, 6)).state
+            plan = made._jdf.queryExecution().executedPlan().toString()
+            assert ("ShuffledHashJoin" in plan) == (hashed > 0)
+            assert guard.matrix_exchanges(made) == []
+        states.append(values(loop.iterate(bg, start, A.rank_algebra(0.85, 6), 2).state))
+        bg.release()
+    assert states[0] == pytest.approx(states[1])
+
+
+def test_blocks_follow_from_memory(toy):
+    out = al.pagerank(*toy, iters=1, placement="vertical", b=loop.Workers(2, 64))
+    assert out.b == 3  # 64 bytes are 4 elements: 6 vertices, twice each, need 3 blocks
+    assert al.pagerank(*toy, iters=1, placement="vertical", b=loop.Workers(2, 1 << 20)).b == 2
+
+
+def test_ledgers_of_rivals(toy):
+    """b = 3: 10 edges, 6 vertices, 11 - 4 = 7 off-block partial results; two of a block's own."""
+    cells, start, alg = al.stochastic(toy[0]), toy[1].withColumn("val", F.lit(1 / 6)), A.rank_algebra(0.85, 6)
+    want = {(pairs_of(a), b) for a, b in graphs.TOY}
+    off = sum(c != pairs_of(b) for c, b in want)
+    h = baselines.reshuffle(cells, start, alg, 1, 3, psi=pairs).history[0]
+    assert (h.read, h.written, h.exchanged) == (16, 6, 2 * (16 + off))
+    assert h.moved_bytes > 0
+    h = baselines.vertex_centric(cells, start, alg, 1, 3, psi=pairs).history[0]
+    assert (h.read, h.written, h.exchanged, h.diagonal) == (6, 6, 2 * off, len(want) - off)
+    h = baselines.vertex_cut(cells, start, alg, 1, 2, psi="mod").history[0]
+    mirrors = {(a % 2 * 2 + b % 2, a) for a, b in graphs.TOY}
+    back = {(a % 2 * 2 + b % 2, b) for a, b in graphs.TOY}
+    assert h.exchanged == 2 * (len(mirrors) + len(back))
+
+
+def pairs_of(node):
+    return (node - 1) // 2
+
+
+def test_seeds_as_a_table(spark, toy):
+    ids = spark.createDataFrame([(2,), (6,)], "node bigint")
+    a = al.random_walk_with_restart(*toy, ids, 2, iters=4, placement="hybrid", b=2, theta=2)
+    b = al.random_walk_with_restart(*toy, F.col("node").isin(2, 6), 2, iters=4, placement="vertical", b=3)
+    assert values(a.state) == pytest.approx(values(b.state))
+
+
+def test_largest_graph_of_each_method(spark):
+    rows = [("x", 5, "done"), ("x", 9, "o.o.m."), ("y", 9, "done"), ("z", 5, "o.o.m.")]
+    got = experiments.largest(spark.createDataFrame(rows, "method string, edges bigint, status string"))
+    assert {r["method"]: (r["edges"], r["ratio"]) for r in got.collect()} == {"x": (5, 1.8), "y": (9, 1.0), "z": (0, None)}
+
+
+def test_memory_stops_those_that_hold_edges(spark):
+    got = experiments.growing(spark, "/root/testdata/sf0.001", iters=1, budget=4096, fractions=(0.5, 1.0), methods=("vertical", "hybrid", "vertex_cut_memory", "vertex_centric", "reshuffle"))
+    by = {(r["method"], r["fraction"]): r for r in got.collect()}
+    for (method, f), r in by.items():
+        assert (r["status"] == "o.o.m.") == (r["held_bytes"] > 4096), method
+        assert (r["elements"] > 0) == (r["status"] == "done")
+    assert by["hybrid", 1.0]["status"] == "done"
+    assert by["vertex_centric", 1.0]["status"] == "o.o.m."
+    assert {r["edges"] for r in experiments.largest(got).filter("method = 'hybrid'").collect()} == {by["hybrid", 1.0]["edges"]}
+
+
+def test_a_folder_of_one_machine_is_refused_on_clusters(spark, monkeypatch):
+    from blockmv.plans import session
+
+    class Elsewhere:
+        conf = type("C", (), {"get": staticmethod(lambda *a: None)})
+        sparkContext = type("S", (), {"master": "spark://host:7077", "getCheckpointDir": staticmethod(lambda: None)})  # noqa: N815
+
+    with pytest.raises(RuntimeError, match="checkpoint"):
+        session.shared_folder(Elsewhere)

@@ -72,7 +72,7 @@ def test_late_rows_and_appended_batches(spark, tmp_path):
     for name, rows in (("a", [row(1, t)]), ("b", [row(2, t + dt.timedelta(days=3))]), ("c", [row(3, t)])):
         spark.createDataFrame(rows, ddl).coalesce(1).write.parquet(f"{tmp_path}/in/{name}")
     events = streams.event_stream(spark, f"{tmp_path}/in/*")
-    got = streams.run_to_end(streams.tumbling(events, "1 hour", "1 minute"), "late_rows", "append", f"{tmp_path}/c1").collect()
+    got = streams.run_to_end(streams.tumbling(events, "1 hour", "1 minute"), "append", f"{tmp_path}/c1").collect()
     assert sum(r["n"] for r in got) <= 2  # the row that came three days late is dropped
     seen = []
     flow = streams.event_stream(spark, f"{tmp_path}/in/*").select(F.col("user_id").alias("src"), F.col("event_id").alias("dst"), F.lit(1.0).alias("w"))
