@@ -6,8 +6,9 @@ that any rule rejects goes. The labelled documents that pass the base rule are s
 * A third designs, for each stratum, a path of verdicts from lenient to strict: at each step every rule has the cutoff
   that catches most bad documents among those that lose at most the step's share of the good ones, or none.
 * The rest is the holdout. Along the path the exact binomial test rejects, step by step, "the verdict loses more than
-  ``risk`` of the good documents of this stratum"; the first step that fails ends it, and the last one that holds is the
-  verdict. The whole verdict is tested, so rules share no budget among them.
+  ``risk`` of the good documents of this stratum"; the first step that fails ends it. The whole verdict is tested, so
+  rules share no budget among them. Of the steps that hold, the verdict is the first one that catches ENOUGH of the bad
+  documents of the design third that the last one catches: what catches little more loses no further good documents.
 
 Multiple testing: each stratum starts with ``delta`` over the number of strata (Bonferroni), fixed sequences need no more,
 and a stratum whose path is certified to its end leaves its level to the others. Strata whose holdout is so small that
@@ -44,6 +45,7 @@ RISK = 0.02
 DELTA = 0.05
 #: Steps of a path: shares of the risk that the good documents of the design third may lose to a single rule.
 STEPS = (0.0, 0.1, 0.2, 0.3, 0.4, 0.5, 0.75, 1.0)
+ENOUGH = 0.98
 
 #: Odd multipliers of the five places of a window.
 _PLACES = np.array(
@@ -221,11 +223,11 @@ def design_path(hits: dict[tuple[int, int], tuple[int, int]], rules: tuple[Rule,
     return path
 
 
-def certify(paths: dict[tuple, list], losses: dict[tuple, list[int]], risk: float, delta: float) -> list[Verdict]:
+def certify(paths: dict[tuple, list], losses: dict[tuple, list[int]], caught: dict[tuple, list[int]], risk: float, delta: float) -> list[Verdict]:
     """paths: group of strata -> its steps; losses: group -> good holdout documents by the first step that rejects them,
-    the last entry for none. -> the strictest certified step of each group that has one."""
+    the last entry for none; caught: the same of bad design documents. -> the verdict of each group that has one."""
     level = {s: delta / len(paths) for s in paths}
-    at = dict.fromkeys(paths, 0)
+    at, used = dict.fromkeys(paths, 0), dict(level)
     total = {s: sum(losses[s]) for s in paths}
     moved = True
     while moved:
@@ -233,7 +235,7 @@ def certify(paths: dict[tuple, list], losses: dict[tuple, list[int]], risk: floa
         for s, steps in paths.items():
             while at[s] < len(steps) and total[s] and binomial_cdf(sum(losses[s][: at[s] + 1]), total[s], risk) <= level[s]:
                 at[s] += 1
-                moved = True
+                used[s], moved = level[s], True
         done = [s for s in paths if at[s] == len(paths[s]) and level[s]]
         rest = [s for s in paths if at[s] < len(paths[s])]
         for s in done if rest else []:
@@ -243,8 +245,9 @@ def certify(paths: dict[tuple, list], losses: dict[tuple, list[int]], risk: floa
     out = []
     for s in paths:
         if at[s] and any(c is not None for c in paths[s][at[s] - 1]):
-            lost = sum(losses[s][: at[s]])
-            out.append(Verdict(s, paths[s][at[s] - 1], total[s], lost, upper_bound(lost, total[s], delta / len(paths))))
+            k = next(k for k in range(1, at[s] + 1) if sum(caught[s][:k]) >= ENOUGH * sum(caught[s][: at[s]]))
+            lost = sum(losses[s][:k])
+            out.append(Verdict(s, paths[s][k - 1], total[s], lost, upper_bound(lost, total[s], used[s])))
     return out
 
 
@@ -276,10 +279,11 @@ def calibrate(
     step = F.lit(None).cast("int")
     for g, steps in paths.items():
         step = F.when(_among(g, F.col("stratum")), _first_step(steps, rules)).otherwise(step)
-    losses = {g: [0] * (len(STEPS) + 1) for g in groups}
-    for r in rows.filter("held and quality = 1").groupBy("stratum", step.alias("step")).count().collect():
-        losses[groups[number[r["stratum"]]]][r["step"]] += r["count"]
-    return certify(paths, losses, risk, delta)
+    losses, caught = ({g: [0] * (len(STEPS) + 1) for g in groups} for _ in range(2))
+    for r in rows.filter("held = (quality = 1)").groupBy("stratum", "held", step.alias("step")).count().collect():
+        if r["stratum"] in number:
+            (losses if r["held"] else caught)[groups[number[r["stratum"]]]][r["step"]] += r["count"]
+    return certify(paths, losses, caught, risk, delta)
 
 
 def _among(strata: tuple, column: Column) -> Column:

@@ -563,7 +563,7 @@ def brute_verdicts(features, labels, hashes, risk=0.02, delta=0.05):
                 step.append(best)
             paths[g].append(step)
         sample = [d for d in mine if held[d] and labels[d] == 1]
-        first[g] = ([next((k for k, x in enumerate(paths[g]) if rejects(x, features[d])), 99) for d in sample], len(sample))
+        first[g] = ([next((k for k, x in enumerate(paths[g]) if rejects(x, features[d])), 99) for d in sample], len(sample), bad)
     level, at = {g: delta / len(groups) for g in groups}, dict.fromkeys(groups, 0)
     for _ in range(100):
         for g in groups:
@@ -576,7 +576,11 @@ def brute_verdicts(features, labels, hashes, risk=0.02, delta=0.05):
                 for q in rest:
                     level[q] += level[g] / len(rest)
                 level[g] = 0
-    last = {s: paths[g][at[g] - 1] for g in groups if at[g] for s in g}
+    last = {}
+    for g in groups:
+        if at[g]:
+            caught = [sum(rejects(x, features[d]) for d in first[g][2]) for x in paths[g][: at[g]]]
+            last |= dict.fromkeys(g, next(x for x, n in zip(paths[g], caught, strict=False) if n >= 0.98 * caught[-1]))
     return {d: not base[d] and not (f["s"] in last and rejects(last[f["s"]], f)) for d, f in features.items()}
 
 

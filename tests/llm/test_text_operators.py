@@ -107,7 +107,7 @@ def test_certified_losses_are_rare():
     wrong = 0
     for _ in range(2000):
         losses = {s: [int(k), 2, 1, 500 - int(k) - 3] for s, k in zip(paths, rng.binomial(500, 0.0501, 3), strict=True)}
-        wrong += bool(quality_rules.certify(paths, losses, 0.05, 0.05))
+        wrong += bool(quality_rules.certify(paths, losses, losses, 0.05, 0.05))
     assert wrong <= 2000 * 0.05 + 3 * (2000 * 0.05) ** 0.5
     assert quality_rules.binomial_cdf(2, 10, 0.5) == pytest.approx(56 / 1024)
     assert quality_rules.least_good(0.02, 0.05 / 4) == 217
@@ -118,10 +118,13 @@ def test_levels_go_on_to_other_strata():
     """b alone fails at delta / 2; once a is certified to its end, b is tested at the whole of delta."""
     paths = {("a",): [(0.5,), (0.4,)], ("b",): [(0.5,)]}
     fit = {("a",): [0, 0, 400], ("b",): [0, 170]}  # 0.98**170 lies between 0.025 and 0.05
-    assert [v.strata for v in quality_rules.certify(paths, fit, 0.02, 0.05)] == [("a",), ("b",)]
+    seen = {("a",): [50, 50, 0], ("b",): [1, 0]}
+    assert [(v.strata, v.cutoffs) for v in quality_rules.certify(paths, fit, seen, 0.02, 0.05)] == [(("a",), (0.4,)), (("b",), (0.5,))]
     bad = {("a",): [0, 40, 360], ("b",): [0, 170]}
-    got = quality_rules.certify(paths, bad, 0.02, 0.05)
+    got = quality_rules.certify(paths, bad, seen, 0.02, 0.05)
     assert [(v.strata, v.cutoffs, v.good, v.lost) for v in got] == [(("a",), (0.5,), 400, 0)]
+    little = {("a",): [99, 1, 0], ("b",): [1, 0]}
+    assert [v.cutoffs for v in quality_rules.certify(paths, fit, little, 0.02, 0.05)] == [(0.5,), (0.5,)]
 
 
 def test_fingerprint_string_round_trip_and_containment():
