@@ -476,7 +476,8 @@ def similar_components(nodes: DataFrame, own: DataFrame, words: int, least: floa
             roots = connected_components(reduce(DataFrame.union, found))
         common.discard(pairs)
         if not open_[1]:
-            common.discard(texts)
+            for made in (texts, *found):
+                common.discard(made)
             return roots
         most *= 8
 
