@@ -175,10 +175,17 @@ def row_conditional_costs(edges: DataFrame, vertices: int, b: int, histogram: Da
     )
 
 
-def choose_threshold(edges: DataFrame, vertices: DataFrame, b: int, model: str = "row_conditional", thetas: tuple[int | None, ...] = THETAS) -> tuple[int | None, list[tuple[int | None, float]]]:
+def choose_threshold(
+    edges: DataFrame, vertices: DataFrame, b: int, model: str = "row_conditional", thetas: tuple[int | None, ...] = THETAS, distribution: str = "counted"
+) -> tuple[int | None, list[tuple[int | None, float]]]:
     """The candidate of least expected cost, and all costs. model: vertex_share (as published), edge_share,
-    row_conditional. At most one row per candidate reaches the driver. Ties go to the smaller threshold."""
+    row_conditional. distribution: degrees as counted, or their power_law fit (not for row_conditional, which looks at the
+    rows themselves). At most one row per candidate reaches the driver. Ties go to the smaller threshold."""
     hist = degree_histogram(edges, vertices)
+    if distribution == "power_law":
+        if model == "row_conditional":
+            raise ValueError("row_conditional counts rows; the power law has no use there")
+        hist = fitted_histogram(hist)
     n = vertices.count()
     if model == "row_conditional":
         table = row_conditional_costs(edges, n, b, hist, thetas).select("theta", F.col("cost_row_conditional").alias("cost"))
@@ -197,7 +204,8 @@ def power_law_exponents(histogram: DataFrame) -> DataFrame:
 
 
 def fitted_histogram(histogram: DataFrame) -> DataFrame:
-    """The histogram with positive degrees replaced by the power-law fit, rescaled to the same number of vertices."""
+    """The histogram with positive degrees replaced by the power-law fit, rescaled to the same number of vertices. Its
+    rows are degrees, not vertices: two windows over them are small whatever the graph's size."""
     fit = F.broadcast(power_law_exponents(histogram))
     some = histogram.join(fit, "kind").withColumn("f", F.when(F.col("degree") > 0, F.exp(F.col("intercept") + F.col("slope") * F.log("degree"))))
     w = Window.partitionBy("kind", F.col("degree") > 0)

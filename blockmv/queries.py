@@ -691,6 +691,25 @@ _add(
 )
 
 
+def _fitted_best(spark: SparkSession, d: str) -> DataFrame:
+    """The choice of the published formula, and of the edge share, when degrees follow the fit."""
+    edges, vertices = G.word_bigram(spark, d)
+    rows = []
+    with held(edges, vertices):
+        for model in ("vertex_share", "edge_share"):
+            best, costs = cost.choose_threshold(edges, vertices, 16, model, THETAS, "power_law")
+            rows.append((model, best, round(dict(costs)[best], 2)))
+    return spark.createDataFrame(rows, "model string, theta bigint, cost double")
+
+
+_add(
+    "theta_best_power_law",
+    _fitted_best,
+    f"WITH t AS MATERIALIZED ({SQL['theta_table_power_law']}) "
+    + " UNION ALL ".join(f"(SELECT '{m}' AS model, theta, cost_{m} AS cost FROM t ORDER BY cost_{m}, theta NULLS LAST LIMIT 1)" for m in ("vertex_share", "edge_share")),
+)
+
+
 def _power_law(spark: SparkSession, d: str) -> DataFrame:
     fit = cost.power_law_exponents(_histogram("word_bigram", spark, d))
     return fit.select("kind", F.round("slope", 6).alias("slope"), F.round("intercept", 6).alias("intercept"))
