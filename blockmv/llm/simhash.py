@@ -49,8 +49,8 @@ PIVOTS = 24
 #: Reference fingerprints: the first outputs of a 64-bit mixing of 1, 2, 3, ...
 _REFERENCES = np.array([xxhash.xxh64_intdigest(str(k), 7) for k in range(1, PIVOTS + 1)], dtype=np.uint64)
 #: Bits of the parity sketch of a shingle set, and partners that a document is given in the first verifying round.
-SKETCH_BITS = 1024
-PARTNERS = 64
+SKETCH_BITS = 512
+PARTNERS = 8
 #: Rows behind it that every row of a bucket is compared with before the largest component is set aside.
 NEXT = 64
 
@@ -374,11 +374,17 @@ def with_sketches(texts: DataFrame, words: int) -> DataFrame:
     return common.map_texts(texts, "text", "size int, sketch binary", lambda: f)
 
 
-def open_pairs(fp, group, root, size, radius: int, least: float, most: int):
+def not_ruled_out(size, sketch, i, j, least: float) -> np.ndarray:
+    """Whether the sketches of the pairs leave room for the similarity."""
+    room = (size[i] + size[j]) * (1 - least) + 1e-6
+    return np.bitwise_count(sketch[i] ^ sketch[j]).sum(axis=1, dtype=np.int64) * (1 + least) <= room
+
+
+def open_pairs(fp, group, root, size, sketch, radius: int, least: float, most: int):
     """Pairs (i, j) of one group that may be similar and have different roots: at most ``most`` for each i.
 
     Rows are in sweep order. -> i, j, and the rows i that have further pairs. Fingerprints are at most ``radius`` bits
-    apart, and the sizes do not rule a similarity of ``least`` out. Of two rows with different roots one is not of the
+    apart, and neither sizes nor sketches rule a similarity of ``least`` out. Of two rows with different roots one is not of the
     most frequent root of its group, so only those rows, i, meet the others.
     """
     seen = np.zeros(len(fp), dtype=np.int64)
@@ -401,6 +407,8 @@ def open_pairs(fp, group, root, size, radius: int, least: float, most: int):
             return fits & ~is_left[j] if back else fits  # two such rows have met on the way forward
 
         for i, j in swept(fp, group, radius, wanted, left, back=back):
+            near = not_ruled_out(size, sketch, i, j, least)
+            i, j = i[near], j[near]
             seen[i] += 1
             within = seen[i] <= most
             found.append((i[within], j[within]))
@@ -409,20 +417,21 @@ def open_pairs(fp, group, root, size, radius: int, least: float, most: int):
 
 
 def unsettled_pairs(candidates: DataFrame, radius: int, equal: int, least: float, most: int, block: int = BLOCK) -> DataFrame:
-    """candidates (fps, node, root, size) -> pairs (u, v), u > v, still to be verified, at most ``most`` for each node in
+    """candidates (fps, node, root, size, sketch) -> pairs (u, v), u > v, still to be verified, at most ``most`` for each node in
     a group; a row with u = v says that u has more."""
 
     def run(batches):
-        for t in _whole_groups(batches, ("g", "fp", "node", "root", "size")):
-            g, fp, node, root, size = (c.to_numpy() for c in t.columns)
+        for t in _whole_groups(batches, ("g", "fp", "node", "root", "size", "sketch")):
+            g, fp, node, root, size = (c.to_numpy() for c in t.columns[:-1])
+            sketch = np.frombuffer(b"".join(t.column("sketch").to_pylist()), dtype=np.uint64).reshape(len(g), -1)
             order = sweep_order(fp.view(np.uint64), g)
-            g, fp, node, root, size = (x[order] for x in (g, fp, node, root, size))
-            i, j, more = open_pairs(fp.view(np.uint64), g, root, size, radius, least, most)
+            g, fp, node, root, size, sketch = (x[order] for x in (g, fp, node, root, size, sketch))
+            i, j, more = open_pairs(fp.view(np.uint64), g, root, size, sketch, radius, least, most)
             u = np.concatenate([np.maximum(node[i], node[j]), node[more]])
             v = np.concatenate([np.minimum(node[i], node[j]), node[more]])
             yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], names=["u", "v"])
 
-    grouped = _grouped(candidates.select("fps", "node", "root", "size"), radius, equal, block)
+    grouped = _grouped(candidates.select("fps", "node", "root", "size", "sketch"), radius, equal, block)
     return common.map_arrow(grouped, run, "u long, v long")
 
 
@@ -433,9 +442,10 @@ def _may_be_similar(pairs: DataFrame, texts: DataFrame, least: float) -> DataFra
 
     def run(batches):
         for b in batches:
-            x, y = (np.frombuffer(b"".join(b.column(k).to_pylist()), dtype=np.uint64).reshape(b.num_rows, -1) for k in (4, 5))
-            room = (b.column(2).to_numpy() + b.column(3).to_numpy()) * (1 - least) + 1e-6
-            k = pa.array(np.flatnonzero(np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64) * (1 + least) <= room))
+            n = b.num_rows
+            size = np.concatenate([b.column(2).to_numpy(), b.column(3).to_numpy()])
+            sketch = np.frombuffer(b"".join([*b.column(4).to_pylist(), *b.column(5).to_pylist()]), dtype=np.uint64).reshape(2 * n, -1)
+            k = pa.array(np.flatnonzero(not_ruled_out(size, sketch, np.arange(n), np.arange(n, 2 * n), least)))
             yield pa.RecordBatch.from_arrays([b.column(0).take(k), b.column(1).take(k)], names=["u", "v"])
 
     return common.map_arrow(met, run, "u long, v long")
@@ -455,29 +465,30 @@ def similar_components(nodes: DataFrame, own: DataFrame, words: int, least: floa
     # a node without a link has no other within the radius
     texts = own.select(F.col("doc_id").alias("node"), "text").join(linked, "node", "left_semi").dropDuplicates(["node"])
     texts = common.materialise(with_sketches(texts, words), "linked")
-    known = nodes.select("node", "fps").join(texts.select("node", "size"), "node")
+    known = nodes.select("node", "fps").join(texts.select("node", "size", "sketch"), "node")
     # one link each first; only those that it does not settle look at the rest of their links
     lowest = links.groupBy("u").agg(F.min("v").alias("v"))
     first = common.materialise(similar_links(lowest, texts, words, least), "similar")
     rest = links.join(first.select("u"), "u", "left_anti").join(lowest, ["u", "v"], "left_anti")
     found = [first, common.materialise(similar_links(_may_be_similar(rest, texts, least), texts, words, least), "similar")]
     common.discard(links)
-    most = PARTNERS
+    roots, most = connected_components(reduce(DataFrame.union, found)), PARTNERS
+    for made in found:
+        common.discard(made)
     while True:
-        roots = connected_components(reduce(DataFrame.union, found))
-        settled = known.join(roots, "node", "left").select("fps", "node", F.coalesce("root", "node").alias("root"), "size")
+        settled = known.join(roots, "node", "left").select("fps", "node", F.coalesce("root", "node").alias("root"), "size", "sketch")
         settled = common.materialise(settled, "settled")
         pairs = common.materialise(unsettled_pairs(settled, radius, equal, least, most).distinct(), "pairs")
         common.discard(settled)
         open_ = pairs.agg(F.count_if(F.expr("u <> v")), F.count_if(F.expr("u = v"))).first()
         if open_[0]:
-            may_be = _may_be_similar(pairs.filter("u <> v"), texts, least)
-            found.append(common.materialise(similar_links(may_be, texts, words, least), "similar"))
-            roots = connected_components(reduce(DataFrame.union, found))
+            more = common.materialise(similar_links(pairs.filter("u <> v"), texts, words, least), "similar")
+            # what is joined already is a star for each component
+            roots = connected_components(roots.select(F.col("node").alias("u"), F.col("root").alias("v")).union(more))
+            common.discard(more)
         common.discard(pairs)
         if not open_[1]:
-            for made in (texts, *found):
-                common.discard(made)
+            common.discard(texts)
             return roots
         most *= 8
 

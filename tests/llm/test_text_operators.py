@@ -286,7 +286,7 @@ def test_open_pairs_equal_brute_force(most):
     fp = rng.integers(0, 2**9, 300, dtype=np.uint64)
     group, root, size = np.sort(rng.integers(0, 6, 300)), rng.choice([5, 5, 5, 6, 7, 8], 300), rng.integers(80, 130, 300)
     fp = fp[simhash.sweep_order(fp, group)]
-    i, j, more = simhash.open_pairs(fp, group, root, size, 2, 0.8, most)
+    i, j, more = simhash.open_pairs(fp, group, root, size, np.zeros((300, 8), dtype=np.uint64), 2, 0.8, most)
     near = (np.bitwise_count(fp[:, None] ^ fp[None, :]) <= 2) & (group[:, None] == group[None, :]) & (root[:, None] != root[None, :])
     near &= np.abs(size[:, None] - size[None, :]) * 1.8 <= (size[:, None] + size[None, :]) * 0.2 + 1e-6
     want = {(a, b) for a, b in zip(*map(np.ndarray.tolist, np.nonzero(near)), strict=True) if a < b}
