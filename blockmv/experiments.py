@@ -58,6 +58,11 @@ def _run(edges: DataFrame, vertices: DataFrame, method: str, b: int | loop.Worke
     return baselines.vertex_centric(cells, start, alg, iters, parts, budget, psi), need
 
 
+def _selected(edges: DataFrame, vertices: DataFrame, b: int) -> str:
+    """The basic placement that the rule picks; where that one has run already, its run is the selected one's."""
+    return loop.select_placement(cost.shape_of(edges, vertices), b)
+
+
 def growing(
     spark: SparkSession, d: str, graph: str = "part_chain", iters: int = 8, workers: int = WORKERS, budget: int = BUDGET_BYTES, fractions=FRACTIONS, methods=METHODS
 ) -> DataFrame:
@@ -72,9 +77,15 @@ def growing(
             e = al.induced_subgraph(edges, fraction)
             v = al.vertices_of(e)
             with held(e, v):
-                m = e.count()
+                m, runs = e.count(), {}
+                for method in sorted(methods, key=lambda x: x == "selected"):
+                    if method == "selected":
+                        method_ = _selected(e, v, loop.Workers(workers, budget).blocks(v.count()))
+                        runs["selected"] = runs.get(method_) or _run(e, v, method_, loop.Workers(workers, budget), iters, budget=budget)
+                    else:
+                        runs[method] = _run(e, v, method, loop.Workers(workers, budget), iters, budget=budget)
                 for method in methods:
-                    r, need = _run(e, v, method, loop.Workers(workers, budget), iters, budget=budget)
+                    r, need = runs[method]
                     last = r.history[-1] if r.history else None
                     out.append((graph, fraction, m, method, r.status, need, last.total if last else 0, last.moved_bytes if last else 0, round(float(sum(h.seconds for h in r.history)), 3)))
     ddl = "graph string, fraction double, edges bigint, method string, status string, held_bytes bigint, elements bigint, moved_bytes bigint, seconds double"
@@ -97,8 +108,10 @@ def density(spark: SparkSession, d: str, graphs=GRAPHS, bs=(4, 16, 64), iters: i
         with held(edges, vertices):
             shape = cost.shape_of(edges, vertices)
             for b in bs:
+                runs = {p: _run(edges, vertices, p, b, iters, "auto")[0] for p in loop.PLACEMENTS if p != "selected"}
+                runs["selected"] = runs[_selected(edges, vertices, b)]
                 for p in loop.PLACEMENTS:
-                    r, _ = _run(edges, vertices, p, b, iters, "auto")
+                    r = runs[p]
                     last = r.history[-1]
                     out.append((g, round(shape.density, 12), b, p, last.total, last.moved_bytes, round(statistics.mean(h.seconds for h in r.history), 3)))
     return spark.createDataFrame(out, "graph string, density double, b int, method string, elements bigint, moved_bytes bigint, seconds double")
@@ -106,13 +119,16 @@ def density(spark: SparkSession, d: str, graphs=GRAPHS, bs=(4, 16, 64), iters: i
 
 def threshold(spark: SparkSession, d: str, graph: str = "supply_sym", b: int = 16, iters: int = 30, thetas=cost.THETAS) -> DataFrame:
     """Time, elements and bytes of the hybrid over the degree threshold, beside the three models' expectations; which
-    threshold moves least and which is fastest."""
+    threshold moves least and which is fastest. Thresholds that part the vertices alike share a run."""
     edges, vertices = G.BUILDERS[graph](spark, d)
-    out = []
+    out, runs = [], {}
     with held(edges, vertices):
         models = {m: dict(cost.choose_threshold(edges, vertices, b, m, tuple(thetas))[1]) for m in ("vertex_share", "edge_share", "row_conditional")}
+        shares = {r["theta"]: r["p_vertex"] for r in cost.light_shares(cost.degree_histogram(edges, vertices), tuple(thetas)).collect()}
         for t in thetas:
-            r, _ = _run(edges, vertices, "hybrid", b, iters, t)
+            if shares[t] not in runs:
+                runs[shares[t]] = _run(edges, vertices, "hybrid", b, iters, t)[0]
+            r = runs[shares[t]]
             seconds = statistics.median(h.seconds for h in r.history)
             out.append((t, r.history[-1].total, r.history[-1].moved_bytes, round(seconds, 4), *(round(float(models[m][t]), 3) for m in models)))
     least, fast = min(x[1] for x in out), min(x[3] for x in out)
