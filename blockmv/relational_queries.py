@@ -77,7 +77,9 @@ def _asof(spark: SparkSession, d: str) -> DataFrame:
     " AND epoch(b.ts)::BIGINT <= epoch(a.ts)::BIGINT + 3600 GROUP BY 1",
 )
 def _interval(spark: SparkSession, d: str) -> DataFrame:
-    e = table(spark, d, "events").select("event_id", "user_id", F.date_trunc("second", "ts").alias("ts"))
+    # whole seconds as the SQL's cast makes them: the nearest one, halves to the even one
+    seconds = F.bround(F.unix_micros(F.col("ts").cast("timestamp")) / F.lit(1e6)).cast("bigint")
+    e = table(spark, d, "events").select("event_id", "user_id", F.timestamp_seconds(seconds).alias("ts"))
     other = e.select("user_id", F.col("ts").alias("later"))
     return R.interval_join(e, other, "user_id", "ts", "later", 3600).groupBy("event_id").agg(F.count("*").alias("n"))
 
