@@ -247,10 +247,10 @@ def _whole_groups(batches, names: tuple[str, ...]):
         yield held
 
 
-def _links(batches, radius: int):
-    """From batches (g, fp, node) sorted by g inside the task: forest links (u, v) of every group.
+def _joined(batches, radius: int):
+    """From batches (g, fp, node) sorted by g inside the task: g, fp, node, low of the rows that have a link in their group.
 
-    v is the smallest node that links inside the group reach from u.
+    low is the smallest node that links inside the group reach, the row's own included.
     """
     for t in _whole_groups(batches, ("g", "fp", "node")):
         g, fp, node = (c.to_numpy() for c in t.columns)
@@ -259,8 +259,15 @@ def _links(batches, radius: int):
         label = link_labels(fp.view(np.uint64), g, radius)
         low = node.copy()
         np.minimum.at(low, label, node)
-        child = np.flatnonzero(low[label] != node)
-        yield pa.RecordBatch.from_arrays([pa.array(node[child]), pa.array(low[label[child]])], names=["u", "v"])
+        k = np.flatnonzero(np.bincount(label, minlength=len(label))[label] > 1)
+        yield g[k], fp[k], node[k], low[label[k]]
+
+
+def _links(batches, radius: int):
+    """Of the same batches: forest links (u, v) of every group, v the smallest node that links inside the group reach from u."""
+    for _, _, node, low in _joined(batches, radius):
+        child = np.flatnonzero(low != node)
+        yield pa.RecordBatch.from_arrays([pa.array(node[child]), pa.array(low[child])], names=["u", "v"])
 
 
 def _grouped(classes: DataFrame, radius: int, equal: int, block: int) -> DataFrame:
@@ -299,6 +306,19 @@ def near_links(classes: DataFrame, radius: int = RADIUS, equal: int = EQUAL, blo
     return common.map_arrow(grouped, lambda batches: _links(batches, radius), "u long, v long")
 
 
+def near_members(classes: DataFrame, radius: int, equal: int, block: int = BLOCK) -> DataFrame:
+    """classes (fps, node), nodes distinct -> g, fp, node, low: the rows of every bucket that others in it lie within
+    ``radius`` bits of, and the smallest node that links inside the bucket reach from them. Two nodes with such a pair of
+    fingerprints share a g and a low at least once."""
+    grouped = _grouped(classes.select("fps", "node"), radius, equal, block)
+
+    def run(batches):
+        for found in _joined(batches, radius):
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in found], names=["g", "fp", "node", "low"])
+
+    return common.map_arrow(grouped, run, "g long, fp long, node long, low long")
+
+
 def near_duplicates(fingerprinted: DataFrame, radius: int = RADIUS) -> DataFrame:
     """(doc_id, fp), durable -> doc_id, fp, component_id: the smallest doc_id that links of at most ``radius`` bits reach."""
     classes = common.materialise(fingerprinted.groupBy("fp").agg(F.min("doc_id").alias("first")), "classes")
@@ -416,9 +436,12 @@ def open_pairs(fp, group, root, size, sketch, radius: int, least: float, most: i
     return i, j, np.flatnonzero(seen > most)
 
 
-def unsettled_pairs(candidates: DataFrame, radius: int, equal: int, least: float, most: int, block: int = BLOCK) -> DataFrame:
-    """candidates (fps, node, root, size, sketch) -> pairs (u, v), u > v, still to be verified, at most ``most`` for each node in
-    a group; a row with u = v says that u has more."""
+def unsettled_pairs(members: DataFrame, settled: DataFrame, radius: int, least: float, most: int) -> DataFrame:
+    """members of ``near_members``, settled (node, root, size, sketch) -> pairs (u, v), u > v, still to be verified, at most
+    ``most`` for each node in a group; a row with u = v says that u has more.
+
+    Rows meet where links joined them, and only where these rows have several roots.
+    """
 
     def run(batches):
         for t in _whole_groups(batches, ("g", "fp", "node", "root", "size", "sketch")):
@@ -431,7 +454,10 @@ def unsettled_pairs(candidates: DataFrame, radius: int, equal: int, least: float
             v = np.concatenate([np.minimum(node[i], node[j]), node[more]])
             yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], names=["u", "v"])
 
-    grouped = _grouped(candidates.select("fps", "node", "root", "size", "sketch"), radius, equal, block)
+    own = members.select(F.xxhash64("g", "low").alias("g"), "fp", "node")
+    roots = own.join(settled.select("node", "root"), "node").groupBy("g").agg(F.min("root").alias("a"), F.max("root").alias("b"))
+    open_ = own.join(roots.filter("a < b").select("g"), "g", "left_semi").join(settled, "node")
+    grouped = open_.select("g", "fp", "node", "root", "size", "sketch").repartition("g").sortWithinPartitions("g")
     return common.map_arrow(grouped, run, "u long, v long")
 
 
@@ -455,30 +481,32 @@ def similar_components(nodes: DataFrame, own: DataFrame, words: int, least: floa
     """nodes (node, fps), own (doc_id, text) -> node, root: components of all pairs of nodes with a fingerprint within
     ``radius`` bits whose texts have the similarity. Nodes without such a pair do not appear.
 
-    The links of ``near_links`` are verified first, which settles most groups. Then, in each round, every pair that
-    may be similar and is not in one component of verified links yet is verified, up to a number of partners for each
-    node that grows eightfold, until no node has more: groups of true copies take one round, and the number of rounds
-    is bounded by the size of a group, since a round without limit leaves no pair out.
+    Links to the smallest node of a bucket's component are verified first, which settles most groups. Then, in each
+    round, every pair that may be similar and is not in one component of verified links yet is verified, up to a number
+    of partners for each node that grows eightfold, until no node has more: groups of true copies take one round, and the
+    number of rounds is bounded by the size of a group, since a round without limit leaves no pair out. Buckets are dealt
+    once; the rounds go over the rows that have a link in them. Texts are moved where sketches leave a pair open.
     """
-    links = common.materialise(near_links(nodes.select("fps", "node"), radius, equal).distinct(), "links")
-    linked = links.select(F.explode(F.array("u", "v")).alias("node")).distinct()
+    members = common.materialise(near_members(nodes, radius, equal), "members")
+    linked = members.select("node").distinct()
     # a node without a link has no other within the radius
     texts = own.select(F.col("doc_id").alias("node"), "text").join(linked, "node", "left_semi").dropDuplicates(["node"])
     texts = common.materialise(with_sketches(texts, words), "linked")
-    known = nodes.select("node", "fps").join(texts.select("node", "size", "sketch"), "node")
+    links = members.filter("node <> low").select(F.col("node").alias("u"), F.col("low").alias("v")).distinct()
+    links = common.materialise(_may_be_similar(links, texts, least), "links")
     # one link each first; only those that it does not settle look at the rest of their links
     lowest = links.groupBy("u").agg(F.min("v").alias("v"))
     first = common.materialise(similar_links(lowest, texts, words, least), "similar")
     rest = links.join(first.select("u"), "u", "left_anti").join(lowest, ["u", "v"], "left_anti")
-    found = [first, common.materialise(similar_links(_may_be_similar(rest, texts, least), texts, words, least), "similar")]
+    found = [first, common.materialise(similar_links(rest, texts, words, least), "similar")]
     common.discard(links)
     roots, most = connected_components(reduce(DataFrame.union, found)), PARTNERS
     for made in found:
         common.discard(made)
     while True:
-        settled = known.join(roots, "node", "left").select("fps", "node", F.coalesce("root", "node").alias("root"), "size", "sketch")
+        settled = texts.join(roots, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "size", "sketch")
         settled = common.materialise(settled, "settled")
-        pairs = common.materialise(unsettled_pairs(settled, radius, equal, least, most).distinct(), "pairs")
+        pairs = common.materialise(unsettled_pairs(members, settled, radius, least, most).distinct(), "pairs")
         common.discard(settled)
         open_ = pairs.agg(F.count_if(F.expr("u <> v")), F.count_if(F.expr("u = v"))).first()
         if open_[0]:
@@ -488,6 +516,7 @@ def similar_components(nodes: DataFrame, own: DataFrame, words: int, least: floa
             common.discard(more)
         common.discard(pairs)
         if not open_[1]:
+            common.discard(members)
             common.discard(texts)
             return roots
         most *= 8
@@ -519,5 +548,6 @@ def keep_firsts(
     nodes = common.materialise(nodes.groupBy("node").agg(F.min("fps").alias("fps")), "nodes")
     near = similar_components(nodes, own, shingle, least, radius, equal).filter("node <> root").select(F.col("node").alias("u"))
     later = held.join(nodes.select("node"), held["doc_id"] == F.col("node"), "left_anti").select("doc_id")
-    gone = later.union(near).distinct().select(F.col("doc_id").alias("_gone"))
+    # written, so that its size is known before the texts would be moved for the join
+    gone = common.materialise(later.union(near).distinct().select(F.col("doc_id").alias("_gone")), "gone")
     return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")

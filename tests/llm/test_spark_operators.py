@@ -462,6 +462,44 @@ def test_copies_inside_families_go(spark, monkeypatch, partners):
     assert kept == {d for d, r in want.items() if d == r}
 
 
+def test_removal_deals_every_bucket_once(spark, monkeypatch):
+    """Rounds of verification move the rows that links join, not each row into all its buckets again."""
+    rng = random.Random(4)
+    base = [f"w{rng.randrange(3000)}" for _ in range(600)]
+    rows = {}
+    for k in range(20):
+        words = list(base)
+        for p in rng.sample(range(600), 30):
+            words[p] = f"v{rng.randrange(10**6)}"
+        rows[k] = " ".join(words)
+        words[7] = "edited"
+        rows[1000 + k] = " ".join(words)
+    dealt, grouped = [], simhash._grouped
+    monkeypatch.setattr(simhash, "_grouped", lambda *a: dealt.append(a) or grouped(*a))
+    monkeypatch.setattr(simhash, "PARTNERS", 1)
+    want = similar_roots(rows)
+    kept = {r["doc_id"] for r in simhash.keep_firsts(spark.createDataFrame(list(rows.items()), "doc_id bigint, text string")).collect()}
+    assert kept == {d for d, r in want.items() if d == r}
+    assert len(dealt) == 1
+
+
+@pytest.mark.parametrize("block", [16, 2048])
+def test_near_pairs_share_a_member_group(spark, block):
+    rng = np.random.default_rng(6)
+    base = rng.integers(0, 2**63, 40)
+    flips = [sum(1 << int(b) for b in rng.choice(62, rng.integers(0, 9), replace=False)) for _ in range(240)]
+    fp = np.array([int(base[k % 40]) ^ f for k, f in enumerate(flips)], dtype=np.int64)
+    classes = spark.createDataFrame([([int(x)], k) for k, x in enumerate(fp)], "fps array<bigint>, node bigint")
+    met = {}
+    for r in simhash.near_members(classes, 6, 2, block).collect():
+        assert r["fp"] == fp[r["node"]] and r["low"] <= r["node"]
+        met.setdefault((r["g"], r["low"]), set()).add(r["node"])
+    met = list(met.values())
+    assert all(len(m) > 1 for m in met)
+    near = [(i, j) for j in range(len(fp)) for i in range(j) if int(fp[i] ^ fp[j]).bit_count() <= 6]
+    assert len(near) > 100 and all(any(i in m and j in m for m in met) for i, j in near)
+
+
 def test_open_pairs_lose_none_that_is_similar(spark):
     rng = random.Random(8)
     texts = [" ".join(rng.choices([f"w{k}" for k in range(3 + n % 7)], k=n)) for n in range(60)] + ["", "a"]
