@@ -457,7 +457,9 @@ def unsettled_pairs(members: DataFrame, settled: DataFrame, radius: int, least:
     own = members.select(F.xxhash64("g", "low").alias("g"), "fp", "node")
     roots = own.join(settled.select("node", "root"), "node").groupBy("g").agg(F.min("root").alias("a"), F.max("root").alias("b"))
     open_ = own.join(roots.filter("a < b").select("g"), "g", "left_semi").join(settled, "node")
-    grouped = open_.select("g", "fp", "node", "root", "size", "sketch").repartition("g").sortWithinPartitions("g")
+    # a fixed number: few bytes may be much work here, so that their partitions must not be put together
+    parts = int(members.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    grouped = open_.select("g", "fp", "node", "root", "size", "sketch").repartition(parts, "g").sortWithinPartitions("g")
     return common.map_arrow(grouped, run, "u long, v long")
 
 
